@@ -17,9 +17,31 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op4_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.media import text_media
+
+    return text_media(_table(spark, sf_dir, "documents"))
+
+
+def op5_voronoi_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.topk import top_k
+
+    rows = _table(spark, sf_dir, "embeddings")
+    return top_k(rows, rows.where("vec_id % 100 = 0"), k=10)
+
+
+def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.mixing import plan_mix
+
+    plan = plan_mix(_table(spark, sf_dir, "documents"))
+    return plan.select("doc_id", "size", "source_size", "target", "taken", "position").orderBy("position", "doc_id")
+
+
 def queries() -> dict:
-    return {"op1_token_counts": op1_token_counts}
+    return {f.__name__: f for f in (op1_token_counts, op4_flac_media, op5_voronoi_topk, op10_curriculum_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from zplane.llm import mixing, topk
+
+    return {"op5_voronoi_topk": topk.SQL, "op10_curriculum_mix": mixing.SQL}
