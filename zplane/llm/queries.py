@@ -30,6 +30,12 @@ def op5_voronoi_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(rows, rows.where("vec_id % 100 = 0"), k=10)
 
 
+def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.jaccard_join import jaccard_components
+
+    return jaccard_components(_table(spark, sf_dir, "documents"), k=3, percent=90)
+
+
 def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zplane.llm.mixing import plan_mix
 
@@ -38,10 +44,10 @@ def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op4_flac_media, op5_voronoi_topk, op10_curriculum_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op4_flac_media, op5_voronoi_topk, op9_jaccard_join, op10_curriculum_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    from zplane.llm import mixing, topk
+    from zplane.llm import jaccard_join, mixing, topk
 
-    return {"op5_voronoi_topk": topk.SQL, "op10_curriculum_mix": mixing.SQL}
+    return {"op5_voronoi_topk": topk.SQL, "op9_jaccard_join": jaccard_join.SQL, "op10_curriculum_mix": mixing.SQL}
