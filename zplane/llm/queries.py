@@ -17,6 +17,15 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op3_mixture_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from zplane.llm.packing import pack
+
+    pieces = pack(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), with_ids=False)
+    return pieces.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
+
+
 def op4_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zplane.llm.media import text_media
 
@@ -44,7 +53,7 @@ def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op4_flac_media, op5_voronoi_topk, op9_jaccard_join, op10_curriculum_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op9_jaccard_join, op10_curriculum_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
