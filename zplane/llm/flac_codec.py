@@ -404,7 +404,7 @@ def _residuals(frames: list[_Frame], buf: np.ndarray, base: np.ndarray) -> list[
         pm, km = p[:m], k[:m]
         x = w[np.minimum(pm >> 3, last)] << (pm & seven).astype(np.uint64)
         zeros = 53 - np.frexp((x >> eleven).astype(np.float64))[1].astype(np.int64)
-        far = np.flatnonzero(zeros + 1 + km.astype(np.int64) > 56)
+        far = np.flatnonzero((zeros >= 53) | (zeros + 1 + km.astype(np.int64) > 56))  # 53: no one bit in sight
         z = zeros.astype(np.uint64)
         u = (z << km) | ((x << (z + one)) >> one >> (_U(63) - km))
         step = zeros + 1 + km.astype(np.int64)

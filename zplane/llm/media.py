@@ -7,19 +7,23 @@ from pyspark.sql import functions as F
 
 from zplane.session import ship
 
-#: Payload bytes that are encoded or decoded together; bounds the memory of a Python worker.
-GROUP_BYTES = 3 << 19
+#: Bytes that are encoded, or decoded, together; they bound the memory of a Python worker.
+ENCODE_BYTES, DECODE_BYTES = 1 << 19, 1 << 20
 
 
-def _groups(items: list, size) -> list[slice]:
+def _groups(column, most: int) -> list[slice]:
+    """Slices of a binary column of at most `most` bytes, or one longer row."""
+    import numpy as np
+    import pyarrow.compute as pc
+
     out, lo, room = [], 0, 0
-    for i, x in enumerate(items):
-        if room and room + size(x) > GROUP_BYTES:
+    for i, n in enumerate(np.asarray(pc.fill_null(pc.binary_length(column), 0)).tolist()):
+        if room and room + n > most:
             out.append(slice(lo, i))
             lo, room = i, 0
-        room += size(x)
-    if items:
-        out.append(slice(lo, len(items)))
+        room += n
+    if len(column):
+        out.append(slice(lo, len(column)))
     return out
 
 
@@ -37,10 +41,9 @@ def encode_flac(df: DataFrame, data: str = "data", keep: tuple[str, ...] = (), l
         from zplane.llm import flac_codec, media
 
         for b in batches:
-            data = [x or b"" for x in b.column(b.num_columns - 1).to_pylist()]
-            for part in media._groups(data, len):
-                streams = flac_codec.encode(data[part], lpc_order)
-                kept = [c.slice(part.start, part.stop - part.start) for c in b.columns[:-1]]
+            for part in media._groups(b.column(b.num_columns - 1), media.ENCODE_BYTES):
+                *kept, data = (c.slice(part.start, part.stop - part.start) for c in b.columns)
+                streams = flac_codec.encode([x or b"" for x in data.to_pylist()], lpc_order)
                 yield pa.RecordBatch.from_arrays([*kept, pa.array(streams, pa.binary())], [*b.schema.names[:-1], "media"])
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in picked.schema.fields[:-1]), "media binary"])
@@ -66,9 +69,8 @@ def decode_flac(df: DataFrame, media: str = "media", keep: tuple[str, ...] = ())
 
         block = pa.list_(pa.struct([("first_sample", pa.int64()), ("n_samples", pa.int64()), ("byte_offset", pa.int64())]))
         for b in batches:
-            streams = b.column(b.num_columns - 1).to_pylist()
-            for part in m._groups(streams, lambda x: len(x or b"")):
-                got = flac_codec.decode(streams[part])
+            for part in m._groups(b.column(b.num_columns - 1), m.DECODE_BYTES):
+                got = flac_codec.decode(b.column(b.num_columns - 1).slice(part.start, part.stop - part.start).to_pylist())
                 pcm = [None if "error" in g else ((g["samples"] + 128).astype(np.uint8) if g["info"]["bits"] <= 8 else g["samples"].astype("<i2")).tobytes() for g in got]
                 fields = [
                     pa.array(pcm, pa.binary()),
@@ -107,7 +109,7 @@ def text_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     raw = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.encode(F.coalesce(F.col(text_col).cast("string"), F.lit("")), "utf-8").alias("raw"))
     sized = raw.select("doc_id", F.octet_length("raw").cast("long").alias("n_bytes"), "raw")
     payload = sized.select("doc_id", "n_bytes", F.expr("concat(raw, unhex(repeat('00', cast(greatest(64, ceil(n_bytes / 64) * 64) - n_bytes as int))))").alias("data"))
-    read = decode_flac(encode_flac(payload, "data", ("doc_id", "n_bytes")), "media", ("doc_id", "n_bytes"))
+    stored = encode_flac(payload, "data", ("doc_id", "n_bytes"))
 
     def digest(batches):
         import hashlib
@@ -116,19 +118,25 @@ def text_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
         import numpy as np
         import pyarrow as pa
 
+        from zplane.llm import flac_codec
+        from zplane.llm import media as m
+
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+        names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
         for b in batches:
-            rows = []
-            for doc, n, media, pcm, error in zip(*(b.column(i).to_pylist() for i in range(5))):
-                if error:
-                    raise ValueError(f"stored form of {doc} can't be read: {error}")
-                x = np.frombuffer(pcm, np.uint8).astype(np.int64) - 128
-                zero = int(np.count_nonzero((x[1:] < 0) != (x[:-1] < 0)))
-                feature = f"peak={int(np.abs(x).max())};sum={int(x.sum())};energy={int((x * x).sum())};crossings={zero}"
-                rows.append((doc, n, len(pcm), hashlib.sha256(pcm).hexdigest(), zlib.crc32(pcm[-64:]), len(media), hashlib.sha256(media).hexdigest(), feature))
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-            names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 8, kinds)], names)
-
-    return read.select("doc_id", "n_bytes", "media", "pcm", "error").mapInArrow(
+            for part in m._groups(b.column(2), m.DECODE_BYTES):
+                doc, n, media = (c.slice(part.start, part.stop - part.start).to_pylist() for c in b.columns)
+                rows = []
+                for i, got in enumerate(flac_codec.decode(media)):
+                    if "error" in got:
+                        raise ValueError(f"stored form of {doc[i]} can't be read: {got['error']}")
+                    x = got["samples"]
+                    pcm = (x + 128).astype(np.uint8).tobytes()
+                    zero = int(np.count_nonzero((x[1:] < 0) != (x[:-1] < 0)))
+                    feature = f"peak={int(np.abs(x).max())};sum={int(x.sum())};energy={int((x * x).sum())};crossings={zero}"
+                    rows.append((doc[i], n[i], len(pcm), hashlib.sha256(pcm).hexdigest(), zlib.crc32(pcm[-64:]), len(media[i]), hashlib.sha256(media[i]).hexdigest(), feature))
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names)
+
+    return stored.mapInArrow(
         digest, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
     )
