@@ -17,6 +17,14 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.toxicity import score_toxicity, train_toxicity
+
+    docs = _table(spark, sf_dir, "documents")
+    scored = score_toxicity(docs, train_toxicity(docs, _table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", "held_out", "score", "predicted")
+
+
 def op3_mixture_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -39,6 +47,12 @@ def op5_voronoi_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(rows, rows.where("vec_id % 100 = 0"), k=10)
 
 
+def op8_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.line_chunks import line_report
+
+    return line_report(_table(spark, sf_dir, "documents"))
+
+
 def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zplane.llm.jaccard_join import jaccard_components
 
@@ -53,10 +67,10 @@ def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op9_jaccard_join, op10_curriculum_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op8_line_chunks, op9_jaccard_join, op10_curriculum_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    from zplane.llm import jaccard_join, mixing, topk
+    from zplane.llm import jaccard_join, line_chunks, mixing, topk
 
-    return {"op5_voronoi_topk": topk.SQL, "op9_jaccard_join": jaccard_join.SQL, "op10_curriculum_mix": mixing.SQL}
+    return {"op5_voronoi_topk": topk.SQL, "op8_line_chunks": line_chunks.SQL, "op9_jaccard_join": jaccard_join.SQL, "op10_curriculum_mix": mixing.SQL}
