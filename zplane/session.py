@@ -55,3 +55,15 @@ def discard(spark: SparkSession, df: DataFrame) -> None:
         path = jvm.org.apache.hadoop.fs.Path(f).getParent()
         if "/zplane/" in path.toString():
             path.getFileSystem(conf).delete(path, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Let the driver drop what it no longer refers to, so that Spark deletes finished shuffles' files.
+
+    Their cleanup otherwise waits for a garbage collection of the driver, which may not come before a
+    long job ends.
+    """
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
