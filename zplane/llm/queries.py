@@ -47,6 +47,13 @@ def op5_voronoi_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(rows, rows.where("vec_id % 100 = 0"), k=10)
 
 
+def op7_prefix_free_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.prefix_free import remove_repeats
+
+    found = remove_repeats(_table(spark, sf_dir, "documents"), with_kept=False)
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 def op8_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zplane.llm.line_chunks import line_report
 
@@ -67,7 +74,7 @@ def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op8_line_chunks, op9_jaccard_join, op10_curriculum_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op7_prefix_free_dedup, op8_line_chunks, op9_jaccard_join, op10_curriculum_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
