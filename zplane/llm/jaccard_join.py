@@ -12,12 +12,15 @@ min(l, l') of them. Pairs that are connected already are not verified again, whi
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from zplane.components import components
-from zplane.session import ship, stored
+from zplane.llm import shingles as sh
+from zplane.session import discard, release, ship, stored
 
 #: Width of the count sketch (counts of 4 bytes), and shingles that a block of a component holds.
 SKETCH_BITS, BLOCK_SHINGLES = 22, 300_000
@@ -83,7 +86,11 @@ def _levels(counts: np.ndarray) -> np.ndarray:
 
 
 def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> DataFrame:
-    """(doc_id, n, sig, prefix): set size, digest of the set, and the rarest n - ceil(t n) + 1 shingles."""
+    """(doc_id, n, sig, need, prefix): set size, digest of the set, l, and the rarest n - ceil(t n) + l shingles.
+
+    l is half the shortest prefix, or all of it where the sketch expects more other holders of the
+    prefix than it has shingles.
+    """
     import zlib
 
     sent = docs.sparkSession.sparkContext.broadcast(zlib.compress(levels.tobytes(), 1))  # 4 MB at most before compression
@@ -99,20 +106,32 @@ def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> Data
         level = np.frombuffer(zlib.decompress(sent.value), np.uint8)
         for b in batches:
             texts = [sh.lowered(t) for t in b.column(1).to_pylist()]
-            n, sig, prefix = [], [], []
+            n, sig, need, prefix = [], [], [], []
             for part in sh.in_groups(texts):
                 for s in sh.shingle_sets(texts[part], k):
                     n.append(len(s))
                     sig.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
                     p = len(s) - needed(len(s), percent) + 1 if len(s) else 0
-                    order = np.argsort(level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)], kind="stable")[:p]
-                    prefix.append(s[order].view(np.int64))
+                    of = level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
+                    order = np.argsort(of, kind="stable")
+                    dear = (np.exp2(of[order[:p]]) - 1).sum() > p
+                    need.append(p if dear else (p + 1) // 2)
+                    prefix.append(s[order[: p + max(need[-1], 1) - 1]].view(np.int64))
             lens = np.cumsum([0, *map(len, prefix)])
             flat = np.concatenate([np.zeros(0, np.int64), *prefix])
             lists = pa.ListArray.from_arrays(pa.array(lens, pa.int32()), pa.array(flat, pa.int64()))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), lists], ["doc_id", "n", "sig", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(need, pa.int32()), lists], ["doc_id", "n", "sig", "need", "prefix"])
 
-    return docs.mapInArrow(run, "doc_id long, n long, sig binary, prefix array<long>")
+    return docs.mapInArrow(run, "doc_id long, n long, sig binary, need int, prefix array<long>")
+
+
+def _with_partners(entries: DataFrame) -> DataFrame:
+    """The entries (doc_id, need, token) of documents that may have a link: those that share as many prefix
+    shingles as they or any document they share one with ask for. Partial aggregates and a join that can
+    be split keep frequent shingles out of single tasks."""
+    shared = entries.groupBy("token").agg(F.count("*").alias("holders"), F.min("need").alias("least")).where("holders > 1").select("token", "least")
+    met = entries.join(shared, "token").groupBy("doc_id").agg(F.count("*").alias("hits"), F.min(F.least("need", "least")).alias("asked"))
+    return entries.join(met.where("hits >= asked").select("doc_id"), "doc_id", "left_semi")
 
 
 class LocalJoin:
@@ -249,21 +268,22 @@ def jaccard_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     spark = docs.sparkSession
     ship(spark)
     picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    profiles = stored(_profiles(picked, k, percent, _levels(_sketch(picked, k))), "profiles")
+    levels = _levels(_sketch(picked, k))
+    profiles = stored(_profiles(picked, k, percent, levels), "profiles")
     linked = profiles.where("n > 0 and doc_id is not null")
     classes = linked.groupBy("sig").agg(F.min("doc_id").alias("rep"))
     members = stored(linked.select("doc_id", "sig").join(classes, "sig").select("doc_id", "rep").distinct(), "members")
-    reps = linked.join(classes, (linked["sig"] == classes["sig"]) & (linked["doc_id"] == classes["rep"])).select("doc_id", "n", "prefix")
-    entries = reps.select("doc_id", F.explode("prefix").alias("token"))
-    centers = entries.groupBy("token").agg(F.min("doc_id").alias("center"), F.max("doc_id").alias("last")).where("center < last").select("token", "center")
-    stars = entries.join(centers, "token").where("doc_id <> center").select(F.col("doc_id").alias("a"), F.col("center").alias("b"))
-    groups = stored(components(stars), "groups").withColumnRenamed("node", "doc_id").withColumnRenamed("root", "grp")
-
-    sized = groups.join(linked.groupBy("doc_id").agg(F.max("n").alias("n")), "doc_id")
-    total = sized.groupBy("grp").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).cast("int").alias("blocks"))
-    todo = sized.join(total, "grp").select("doc_id", "grp", "blocks")
-    texts = picked.join(todo.hint("shuffle_hash"), "doc_id").select("doc_id", "grp", "blocks", "text")
-    edges = stored(_solve(_spread(_with_sets(texts, k)), percent), "links")
+    kept = _survivors(linked, classes)
+    release(spark)
+    sets = stored(_with_sets(picked.join(kept.hint("shuffle_hash"), "doc_id").select("doc_id", "text"), k), "sets")
+    release(spark)
+    groups = stored(components(stored(_stars(sets, percent, levels), "stars")), "groups").withColumnRenamed("node", "doc_id").withColumnRenamed("root", "grp")
+    release(spark)
+    sized = groups.join(sets.select("doc_id", F.length("s").alias("bytes")), "doc_id")
+    total = sized.groupBy("grp").agg(F.ceil(F.sum("bytes") / (8 * BLOCK_SHINGLES)).cast("int").alias("blocks"))
+    todo = sets.join(groups.join(total, "grp").select("doc_id", "grp", "blocks"), "doc_id")
+    edges = stored(_solve(_spread(todo), percent), "links")
+    release(spark)
     # copies of one set are one component, so rows that repeat an id join what their texts join
     both = edges.union(members.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")))
     labels = components(both)
@@ -271,6 +291,99 @@ def jaccard_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     return out.select("doc_id", "n_shingles", F.coalesce("root", "doc_id").alias("component_id"))
 
 
+def _survivors(linked: DataFrame, classes: DataFrame) -> DataFrame:
+    """doc_id of one document of each set that may have a link to another set."""
+    reps = linked.join(classes.select(F.col("rep").alias("doc_id"), "sig"), ["doc_id", "sig"], "left_semi").dropDuplicates(["doc_id", "sig"])
+    first = stored(_with_partners(reps.select("doc_id", "need", F.explode("prefix").alias("token"))), "entries")
+    release(linked.sparkSession)
+    kept = stored(_with_partners(first).select("doc_id").distinct(), "kept")
+    discard(linked.sparkSession, first)
+    return kept
+
+
+def pair_prefix(n: int, percent: int) -> int:
+    """Prefix length at which two linked sets must share two neighbours: with p(n) = n - needed + 1 and the
+    largest partner's p', l = p + p' shared shingles can't all be parted by p + p' - 2 others. 0: n is too small."""
+    p = n - needed(n, percent) + 1
+    m = n * 100 // percent
+    length = p + p + m - needed(m, percent) + 1 - 1
+    return length if length <= n else 0
+
+
+@lru_cache(maxsize=1 << 16)
+def _partner_sizes(n: int, percent: int) -> tuple[bool, bool]:
+    """Whether some partner no larger than n is too small for neighbours, and whether some is not."""
+    fits = [pair_prefix(m, percent) > 0 for m in range(needed(n, percent), n + 1)]
+    return not all(fits), any(fits)
+
+
+def set_keys(s: np.ndarray, level: np.ndarray, percent: int) -> np.ndarray:
+    """Keys of which two linked sets have one in common: neighbours in the prefixes for the smaller set's
+    sake, and single shingles where a possible smaller partner is too small for that."""
+    n = len(s)
+    order = s[np.argsort(level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)], kind="stable")]
+    keys = []
+    some_small, some_large = _partner_sizes(n, percent)
+    if pair_prefix(n, percent):
+        t = order[: pair_prefix(n, percent)]
+        keys.append(sh.mix(t[:-1] * np.uint64(0x9E3779B97F4A7C15) + t[1:]))
+    if some_small:
+        keys.append(order[: n - needed(n, percent) + 1])
+        if some_large and not pair_prefix(n, percent):
+            keys.append(sh.mix(order[:-1] * np.uint64(0x9E3779B97F4A7C15) + order[1:]))
+    return np.concatenate(keys) if keys else np.zeros(0, np.uint64)
+
+
+def _stars(sets: DataFrame, percent: int, levels: np.ndarray) -> DataFrame:
+    """Edges (a, b) from each set to the smallest id with the same key; a task sends on one id for each key."""
+    import zlib
+
+    sent = sets.sparkSession.sparkContext.broadcast(zlib.compress(levels.tobytes(), 1))
+
+    def hook(key: np.ndarray, doc: np.ndarray):
+        order = np.lexsort((doc, key))
+        key, doc = key[order], doc[order]
+        first = np.append(True, key[1:] != key[:-1]) if len(key) else np.zeros(0, bool)
+        center = doc[np.maximum.accumulate(np.where(first, np.arange(len(key)), 0))] if len(key) else doc
+        far = doc != center
+        links = np.unique(np.stack([doc[far], center[far]]), axis=1)
+        return key[first], doc[first], links
+
+    def local(batches):
+        import zlib
+
+        import pyarrow as pa
+
+        from zplane.llm.jaccard_join import set_keys
+
+        level = np.frombuffer(zlib.decompress(sent.value), np.uint8)
+        for b in batches:
+            for lo in range(0, b.num_rows, 2000):
+                part = b.slice(lo, 2000)
+                ids = part.column(0).to_numpy()
+                keys = [set_keys(np.frombuffer(x, np.uint64), level, percent).view(np.int64) for x in part.column(1).to_pylist()]
+                key, doc, links = hook(np.concatenate(keys), np.repeat(ids, [len(x) for x in keys]))
+                n, m = len(key), links.shape[1]
+                a = pa.array(np.concatenate([key, links[0]]))
+                yield pa.RecordBatch.from_arrays([a, pa.array(np.concatenate([doc, links[1]])), pa.array(np.arange(n + m) >= n)], ["key", "doc", "link"])
+
+    def merge(batches):
+        import pyarrow as pa
+
+        keys, docs = [], []
+        for b in batches:
+            key, doc, link = (c.to_numpy(zero_copy_only=False) for c in b.columns)
+            yield pa.RecordBatch.from_arrays([pa.array(key[link]), pa.array(doc[link])], ["a", "b"])
+            keys.append(key[~link])
+            docs.append(doc[~link])
+        if keys:
+            _, _, links = hook(np.concatenate(keys), np.concatenate(docs))
+            yield pa.RecordBatch.from_arrays([pa.array(links[0]), pa.array(links[1])], ["a", "b"])
+
+    rows = sets.mapInArrow(local, "key long, doc long, link boolean")
+    return rows.repartition("key").mapInArrow(merge, "a long, b long")
+
+
 def _with_sets(texts: DataFrame, k: int) -> DataFrame:
     def run(batches):
         import pyarrow as pa
@@ -278,13 +391,12 @@ def _with_sets(texts: DataFrame, k: int) -> DataFrame:
         from zplane.llm import shingles as sh
 
         for b in batches:
-            texts = [sh.lowered(t) for t in b.column(3).to_pylist()]
-            for part in sh.in_groups(texts, 4 << 20):
+            texts = [sh.lowered(t) for t in b.column(1).to_pylist()]
+            for part in sh.in_groups(texts):
                 sets = [s.tobytes() for s in sh.shingle_sets(texts[part], k)]
-                kept = [c.slice(part.start, part.stop - part.start) for c in b.columns[:3]]
-                yield pa.RecordBatch.from_arrays([*kept, pa.array(sets, pa.binary())], ["doc_id", "grp", "blocks", "s"])
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(part.start, part.stop - part.start), pa.array(sets, pa.binary())], ["doc_id", "s"])
 
-    return texts.mapInArrow(run, "doc_id long, grp long, blocks int, s binary")
+    return texts.mapInArrow(run, "doc_id long, s binary")
 
 
 def _spread(sets: DataFrame) -> DataFrame:
