@@ -47,6 +47,13 @@ def op5_voronoi_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(rows, rows.where("vec_id % 100 = 0"), k=10)
 
 
+def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.licenses import scan_licenses, train_licenses
+
+    docs = _table(spark, sf_dir, "documents")
+    return scan_licenses(docs, train_licenses(docs))
+
+
 def op7_prefix_free_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zplane.llm.prefix_free import remove_repeats
 
@@ -73,8 +80,14 @@ def op10_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return plan.select("doc_id", "size", "source_size", "target", "taken", "position").orderBy("position", "doc_id")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op7_prefix_free_dedup, op8_line_chunks, op9_jaccard_join, op10_curriculum_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op6_license_scan, op7_prefix_free_dedup, op8_line_chunks, op9_jaccard_join, op10_curriculum_mix, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
