@@ -1,11 +1,335 @@
-"""The experiment workloads on the given tables, by query name."""
+"""The experiment workloads on the given tables, by query name, with their SQL."""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from zplane import pointsets as ps
+from zplane.operators import baselines, joins, knn, linking
+from zplane.plans.planes import Options, paper_options
+
+DUCK = ps.Dialect(False)
+
+
+# -- SQL of the methods ---------------------------------------------------------------------------------------
+def _d2(a: str, b: str, d: int, box=None) -> str:
+    terms = []
+    for i in range(d):
+        t = f"({a}.x{i} - {b}.x{i})"
+        if box and box[i] is not None:
+            t = f"({t} - CAST({box[i]} AS DOUBLE) * floor({t} / CAST({box[i]} AS DOUBLE) + CAST(0.5 AS DOUBLE)))"
+        terms.append(f"{t} * {t}")
+    return " + ".join(terms)
+
+
+def _knn_rows(src: str, k: int, box=None, queries: str | None = None, include_self: bool = True) -> str:
+    """WITH p, q, near: (qid, rank, sid, d2) by brute force."""
+    q = ps.sql(queries, DUCK) if queries else "SELECT * FROM p"
+    cond = "" if include_self else " WHERE q.id <> p.id"
+    return f"""WITH p AS MATERIALIZED ({ps.sql(src, DUCK)}), q AS MATERIALIZED ({q}),
+lists AS (SELECT q.id AS qid, min({{'d': {_d2('q', 'p', ps.dims(src), box)}, 's': p.id}}, {k}) AS l FROM q CROSS JOIN p{cond} GROUP BY q.id),
+near AS (SELECT qid, CAST(i AS INTEGER) AS rank, CAST(l[i].s AS BIGINT) AS sid, l[i].d AS d2 FROM lists, unnest(range(1, len(l) + 1)) AS r(i))"""
+
+
+def knn_sql(src: str, k: int, **kw) -> str:
+    return f"{_knn_rows(src, k, **kw)} SELECT qid, rank, sid, round(sqrt(d2), 6) AS dist FROM near"
+
+
+def _groups(src: str, r: float, box=None) -> str:
+    """WITH p, links, roots: (id, group_id) by reachability."""
+    return f"""WITH RECURSIVE p AS MATERIALIZED ({ps.sql(src, DUCK)}),
+links AS MATERIALIZED (SELECT a.id AS a, b.id AS b FROM p a JOIN p b ON a.id <> b.id AND {_d2('a', 'b', ps.dims(src), box)} <= CAST({r!r} AS DOUBLE) * CAST({r!r} AS DOUBLE)),
+reach(id, root) AS (SELECT id, id FROM p UNION SELECT l.b, reach.root FROM reach JOIN links l ON l.a = reach.id WHERE reach.root < l.b),
+roots AS (SELECT id, min(root) AS group_id FROM reach GROUP BY id)"""
+
+
+def _pairs(src: str, r: float, box=None) -> str:
+    return f"""WITH p AS MATERIALIZED ({ps.sql(src, DUCK)}),
+near AS (SELECT a.id AS qid, b.id AS sid, {_d2('a', 'b', ps.dims(src), box)} AS d2 FROM p a JOIN p b ON a.id < b.id AND {_d2('a', 'b', ps.dims(src), box)} <= CAST({r!r} AS DOUBLE) * CAST({r!r} AS DOUBLE))"""
+
+
+def catalogue_sql(src: str, r: float, min_count: int) -> str:
+    d = ps.dims(src)
+    com = ", ".join(f"sum(w * x{i}) / sum(w) AS c{i}" for i in range(d))
+    off = " + ".join(f"(x{i} - c{i}) * (x{i} - c{i})" for i in range(d))
+    return f"""{_groups(src, r)}, m AS (SELECT p.*, group_id FROM p JOIN roots USING (id)),
+g AS (SELECT group_id, count(*) AS n, sum(w) AS mass, {com} FROM m GROUP BY group_id HAVING count(*) >= {min_count})
+SELECT group_id, any_value(n) AS n, round(any_value(mass), 2) AS mass, {', '.join(f'round(any_value(c{i}), 6) AS com_x{i}' for i in range(d))}, round(sqrt(sum(w * ({off})) / sum(w)), 6) AS r_inertia
+FROM m JOIN g USING (group_id) GROUP BY group_id"""
+
+
+# -- queries ----------------------------------------------------------------------------------------------------
+def _shown(rows: DataFrame) -> DataFrame:
+    return rows.select("qid", "rank", "sid", F.round("dist", 6).alias("dist"))
+
+
+def _knn_query(src: str, k: int, queries: str | None = None, box=None, include_self: bool = True, method: Callable | None = None, **kw):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        a = ps.points(spark, sf_dir, src)
+        q = ps.points(spark, sf_dir, queries) if queries else None
+        if method:
+            return _shown(method(a, k, ps.cols(src), **({"queries": q} if q is not None else {}), **kw))
+        return _shown(knn.knn(a, k, ps.cols(src), queries=q, box=box, include_self=include_self, **kw))
+
+    return run, knn_sql(src, k, box=box, queries=queries, include_self=include_self)
+
+
+def _link_query(src: str, r: float, box=None, method: Callable | None = None, **kw):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        a = ps.points(spark, sf_dir, src)
+        return method(a, ps.cols(src), r, **kw) if method else linking.link_clusters(a, ps.cols(src), r, box=box, **kw)
+
+    return run, f"{_groups(src, r, box)} SELECT id, group_id FROM roots"
+
+
+def _catalogue_query(src: str, r: float, min_count: int):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        a = ps.points(spark, sf_dir, src)
+        got = linking.catalogue(a, linking.link_clusters(a, ps.cols(src), r), ps.cols(src), mass="w", min_count=min_count)
+        names = [c for c in got.columns if c.startswith("com_x")]
+        return got.select("group_id", "n", F.round("mass", 2).alias("mass"), *(F.round(c, 6).alias(c) for c in names), F.round("r_inertia", 6).alias("r_inertia"))
+
+    return run, catalogue_sql(src, r, min_count)
+
+
+def _points_of(name):
+    return lambda spark, sf_dir: ps.points(spark, sf_dir, name)
+
+
+def _reduce(spark, sf_dir):
+    out = knn.knn_reduce(ps.points(spark, sf_dir, "ps_events"), 8, ps.cols("ps_events"), "w")
+    return out.select("qid", "n", F.round("mean_value", 6).alias("mean_value"), F.round("kth_dist", 6).alias("kth_dist"))
+
+
+def _density(spark, sf_dir):
+    out = knn.knn_density(ps.points(spark, sf_dir, "ps_customer"), 16, ps.cols("ps_customer"))
+    return out.select("qid", F.round("density", 3).alias("density"))
+
+
+def _reverse(spark, sf_dir):
+    return joins.reverse_neighbours(knn.knn(ps.points(spark, sf_dir, "ps_customer"), 8, ps.cols("ps_customer")))
+
+
+def _mutual(spark, sf_dir):
+    return joins.knn_graph(knn.knn(ps.points(spark, sf_dir, "ps_customer"), 8, ps.cols("ps_customer")))
+
+
+def _small_query(spark, sf_dir):
+    tree = knn.joint_tree(ps.points(spark, sf_dir, "ps_line"), None, ps.cols("ps_line"))
+    return _shown(knn.knn_probe(tree, ps.points(spark, sf_dir, "ps_customer"), 8, ps.cols("ps_line")))
+
+
+def _distance_join(spark, sf_dir):
+    out = joins.distance_join(ps.points(spark, sf_dir, "ps_unif"), None, 0.03, ps.cols("ps_unif"))
+    return out.select("qid", "sid", F.round(F.sqrt("dist2"), 6).alias("dist"))
+
+
+def _count_within(spark, sf_dir):
+    return joins.count_within(ps.points(spark, sf_dir, "ps_orders"), None, 0.01, ps.cols("ps_orders"))
+
+
+def _has_neighbour(spark, sf_dir):
+    return joins.has_neighbour(ps.points(spark, sf_dir, "ps_unif"), ps.points(spark, sf_dir, "ps_unif_q"), 0.02, ps.cols("ps_unif")).select("id")
+
+
+def _isolated(spark, sf_dir):
+    return joins.isolated_points(ps.points(spark, sf_dir, "ps_unif"), 0.03, ps.cols("ps_unif")).select("id")
+
+
+BINS = [0.0, 0.01, 0.02, 0.04, 0.08]
+
+
+def _pair_counts(spark, sf_dir):
+    return joins.pair_counts(ps.points(spark, sf_dir, "ps_unif"), BINS, ps.cols("ps_unif")).where("pairs > 0")
+
+
+def _density_clusters(spark, sf_dir):
+    return joins.density_clusters(ps.points(spark, sf_dir, "ps_customer"), 0.04, 4, ps.cols("ps_customer"))
+
+
+def _group_sizes(spark, sf_dir):
+    return linking.group_sizes(linking.link_clusters(ps.points(spark, sf_dir, "ps_clump"), ps.cols("ps_clump"), 0.008))
+
+
+def _link_dup(spark, sf_dir):
+    return linking.link_clusters(ps.points(spark, sf_dir, "ps_dup"), ps.cols("ps_dup"), 0.5)
+
+
+def _worked(spark, sf_dir):
+    from zplane.operators.inspect import gap_table
+
+    x = [1.6, 3.1, 3.3, 4.6, 5.6, 6.8, 9.4, 9.7]
+    return gap_table(spark, [(v,) for v in x], [2, 4]).where("pos > 0 AND pos < 8")
+
+
+WORKED_SQL = """SELECT CAST(pos AS BIGINT) AS pos, CAST(lvl AS INTEGER) AS lvl, CAST(n AS BIGINT) AS n, in_plane0, in_plane1 FROM (VALUES
+(1, 2, 3, true, false), (2, -1, 2, false, false), (3, 3, 6, true, true), (4, 1, 2, false, false), (5, 2, 3, true, false), (6, 4, 8, true, true), (7, 0, 2, false, false)
+) AS t(pos, lvl, n, in_plane0, in_plane1)"""
+
+
+def _zorder_grid(spark, sf_dir):
+    from zplane.functions.zkey import morton63
+
+    pts = ps.points(spark, sf_dir, "ps_grid")
+    side = float(1 << 21)
+    return pts.select("id", morton63([F.col(c) for c in ps.cols("ps_grid")], ((0.0, side),) * 3).alias("zkey"))
+
+
+def _zorder_sql() -> str:
+    bits = " + ".join(f"((CAST(x{i} AS BIGINT) >> {b}) & 1) * {1 << (3 * b + 2 - i)}" for b in range(10) for i in range(3))
+    return f"SELECT id, CAST({bits} AS BIGINT) AS zkey FROM ({ps.sql('ps_grid', DUCK)}) AS p"
+
+
+def _invariants(name):
+    def run(spark, sf_dir):
+        from zplane.operators.inspect import check_planes
+
+        tree = knn.joint_tree(ps.points(spark, sf_dir, name), None, ps.cols(name), options=Options(n_max0=48, domain_rows=4000, n_target=8))
+        return check_planes(tree)
+
+    return run
+
+
+INVARIANTS_SQL = """SELECT v AS violation, CAST(0 AS BIGINT) AS n FROM (VALUES
+('a leaf count differs from its points'), ('a node holds more than its limit'), ('a point lies outside its leaf cell'), ('children do not add up to their node'), ('a point is in no leaf')) AS t(v)"""
+
+
+def _leaf_prefix(spark, sf_dir):
+    """Leaves found by counting key prefixes minus leaves found from gaps, and the other way round: none."""
+    from zplane.functions import zkey
+    from zplane.plans.planes import leaf_cells_by_prefix
+
+    pts = ps.points(spark, sf_dir, "ps_orders")
+    tree = knn.joint_tree(pts, None, ps.cols("ps_orders"), options=Options(n_max0=64))
+    a = leaf_cells_by_prefix(zkey.with_zkey(pts, ps.cols("ps_orders"), tree.plan), 64, tree.plan).select("n")
+    b = tree.nodes.where("plane = 0").select((F.col("n_src") + F.col("n_qry")).alias("n"))
+    return a.exceptAll(b).unionAll(b.exceptAll(a)).agg(F.count("*").alias("differences"))
+
+
+def _balance(spark, sf_dir):
+    from zplane.operators.inspect import domain_balance
+
+    return domain_balance(knn.joint_tree(ps.points(spark, sf_dir, "ps_line"), None, ps.cols("ps_line"), options=Options(domain_rows=8000)))
+
+
+def _metrics(name, k=16, **kw):
+    return lambda spark, sf_dir: knn.knn_metrics(ps.points(spark, sf_dir, name), k, ps.cols(name), **kw)
+
+
+def _stages(spark, sf_dir):
+    return _shown(knn.knn(ps.points(spark, sf_dir, "ps_customer"), 8, ps.cols("ps_customer"), options=Options(n_max0=32, domain_rows=600, n_target=8), method="stages"))
+
+
+def _asof(spark, sf_dir):
+    e = spark.read.parquet(f"{sf_dir}/events.parquet")
+    a = e.where("event_type = 'purchase'").select("event_id", "user_id", "ts")
+    b = e.where("event_type <> 'purchase'").groupBy("user_id", "ts").agg(F.max("value").alias("value"))
+    return joins.asof_nearest(a, b, "ts", "user_id", "value").select("event_id", "value_asof")
+
+
+ASOF_SQL = """WITH b AS (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type <> 'purchase' GROUP BY user_id, ts)
+SELECT a.event_id, b.value AS value_asof FROM events a ASOF LEFT JOIN b ON a.user_id = b.user_id AND a.ts >= b.ts WHERE a.event_type = 'purchase'"""
+
+
+def _rollup(spark, sf_dir):
+    p = ps.points(spark, sf_dir, "ps_unif").select(*(F.floor(F.col(c) * 8).cast("long").alias(g) for c, g in zip(ps.cols("ps_unif"), "abc")))
+    return p.rollup("a", "b", "c").agg(F.count("*").alias("n"))
+
+
+ROLLUP_SQL = f"SELECT a, b, c, count(*) AS n FROM (SELECT {', '.join(f'CAST(floor(x{i} * 8) AS BIGINT) AS {g}' for i, g in enumerate('abc'))} FROM ({ps.sql('ps_unif', DUCK)}) AS p) AS q GROUP BY ROLLUP (a, b, c)"
+
+
+def _sessions(spark, sf_dir):
+    from zplane.streaming.cells import link_time
+
+    return link_time(spark.read.parquet(f"{sf_dir}/events.parquet"), "6 hours", "user_id").select("user_id", "n", "first_id")
+
+
+SESSIONS_SQL = """WITH e AS (SELECT *, CASE WHEN ts - lag(ts) OVER u <= INTERVAL 6 HOUR THEN 0 ELSE 1 END AS s FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts, event_id)),
+g AS (SELECT *, sum(s) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM e)
+SELECT user_id, count(*) AS n, min(event_id) AS first_id FROM g GROUP BY user_id, k"""
+
+
+def _moments(spark, sf_dir):
+    tree = knn.joint_tree(ps.points(spark, sf_dir, "ps_part"), None, ps.cols("ps_part"), payload=["w"], options=Options(n_target=1))
+    m = joins.node_moments(tree, ["y0"])
+    return m.groupBy("plane").agg(F.sum("n").alias("n"), F.round(F.sum("sum_y0"), 2).alias("total"))
+
+
+def _registry() -> dict[str, tuple[Callable, str | None]]:
+    out: dict[str, tuple[Callable, str | None]] = {}
+    for name, src, k, kw in [
+        ("knn_part", "ps_part", 8, {}), ("knn_acct", "ps_acct", 5, {}), ("knn_customer", "ps_customer", 8, {}), ("knn_orders", "ps_orders", 16, {}), ("knn_events", "ps_events", 8, {"options": Options(f_max=50.0)}),
+        ("knn_cyclic", "ps_cyclic", 8, {"box": [24.0, None]}), ("knn_grid", "ps_grid", 16, {}), ("knn_unif", "ps_unif", 16, {}), ("knn_bell", "ps_bell", 16, {"options": Options(f_max=50.0)}), ("knn_clump", "ps_clump", 16, {}),
+        ("knn_clump_periodic", "ps_clump", 16, {"box": [1.0, 1.0, 1.0]}), ("knn_text", "ps_text", 8, {}), ("knn_unif_sep_k30", "ps_unif", 30, {"queries": "ps_unif_q"}), ("knn_exclude_self", "ps_customer", 8, {"include_self": False}),
+        ("knn_paper_options", "ps_unif", 16, {"options": paper_options()}), ("knn_domains", "ps_unif", 16, {"options": Options(n_max0=48, domain_rows=2000, n_target=16)}), ("knn_no_early_exit", "ps_customer", 8, {"early_exit": False}),
+    ]:
+        out[name] = _knn_query(src, k, **kw)
+    for d in (2, 3, 4, 6, 8, 16, 64):
+        out[f"knn_emb_d{d}"] = _knn_query(f"ps_emb_d{d}", 16)
+    for k in (1, 4, 32, 64, 128):
+        out[f"knn_k{k}"] = _knn_query("ps_customer", k)
+    out["knn_k64_multipass"] = _knn_query("ps_customer", 64, k_pass=32)
+    out["knn_walk_stages"] = (_stages, knn_sql("ps_customer", 8))
+    out["knn_small_query"] = (_small_query, knn_sql("ps_line", 8, queries="ps_customer"))
+    out["knn_large_query"] = _knn_query("ps_customer", 8, queries="ps_unif")
+    for name, method in [("brute", baselines.knn_brute), ("kdtree", baselines.knn_kdtree_broadcast), ("one_sided", baselines.knn_one_sided), ("voronoi", baselines.knn_voronoi), ("grid", baselines.knn_grid)]:
+        out[f"base_{name}"] = _knn_query("ps_customer", 8, method=method)
+    out["base_kdtree_one_core"] = _knn_query("ps_part", 8, method=lambda a, k, c: baselines.knn_kdtree_broadcast(a, k, c, tasks=1))
+    out["base_separate_trees"] = _knn_query("ps_customer", 8, queries="ps_unif_q", method=baselines.knn_separate_trees)
+    for name, src, r, kw in [
+        ("link_acct", "ps_acct", 5.0, {}), ("link_part", "ps_part", 0.015, {}), ("link_customer", "ps_customer", 0.04, {}), ("link_orders", "ps_orders", 0.004, {}), ("link_events", "ps_events", 0.02, {}), ("link_cyclic", "ps_cyclic", 0.02, {"box": [24.0, None]}),
+        ("link_unif", "ps_unif", 0.02, {}), ("link_clump", "ps_clump", 0.008, {}), ("link_clump_periodic", "ps_clump", 0.008, {"box": [1.0, 1.0, 1.0]}), ("link_domains", "ps_clump", 0.004, {"options": Options(n_max0=32, domain_rows=2000, n_target=8)}),
+    ]:
+        out[name] = _link_query(src, r, **kw)
+    for name, method in [("union_find", baselines.link_union_find), ("grid", baselines.link_grid), ("by_knn", baselines.link_by_knn)]:
+        out[f"base_link_{name}"] = _link_query("ps_customer", 0.04, method=method)
+    out["link_dup"] = (_link_dup, f"SELECT id, min(id) OVER (PARTITION BY x0) AS group_id FROM ({ps.sql('ps_dup', DUCK)}) AS p")
+    out["catalogue_orders"] = _catalogue_query("ps_orders", 0.004, 1)
+    out["catalogue_min20"] = _catalogue_query("ps_clump", 0.008, 20)
+    out["group_sizes"] = (_group_sizes, f"{_groups('ps_clump', 0.008)}, s AS (SELECT count(*) AS size FROM roots GROUP BY group_id) SELECT size, count(*) AS groups FROM s GROUP BY size")
+    out["knn_reduce_mean_value"] = (_reduce, f"{_knn_rows('ps_events', 8)} SELECT qid, count(*) AS n, round(avg(w), 6) AS mean_value, round(sqrt(max(d2)), 6) AS kth_dist FROM near JOIN p ON p.id = sid GROUP BY qid")
+    ball = "4.1887902047863905"
+    out["knn_density"] = (_density, f"{_knn_rows('ps_customer', 16)} SELECT qid, CASE WHEN max(d2) > 0 THEN round(CAST(16 AS DOUBLE) / (CAST({ball} AS DOUBLE) * pow(sqrt(max(d2)), 3)), 3) END AS density FROM near GROUP BY qid")
+    out["knn_reverse"] = (_reverse, f"{_knn_rows('ps_customer', 8)} SELECT sid, count(*) AS n FROM near WHERE qid <> sid GROUP BY sid")
+    out["knn_mutual"] = (_mutual, f"{_knn_rows('ps_customer', 8)}, e AS (SELECT least(qid, sid) AS a, greatest(qid, sid) AS b FROM near WHERE qid <> sid) SELECT a, b FROM e GROUP BY a, b HAVING count(*) = 2")
+    out["distance_join"] = (_distance_join, f"{_pairs('ps_unif', 0.03)} SELECT qid, sid, round(sqrt(d2), 6) AS dist FROM near")
+    out["count_within"] = (_count_within, f"{_pairs('ps_orders', 0.01)}, e AS (SELECT qid AS id FROM near UNION ALL SELECT sid FROM near UNION ALL SELECT id FROM p) SELECT id, count(*) AS n FROM e GROUP BY id")
+    out["has_neighbour"] = (_has_neighbour, f"WITH a AS ({ps.sql('ps_unif', DUCK)}), b AS ({ps.sql('ps_unif_q', DUCK)}) SELECT DISTINCT a.id FROM a JOIN b ON {_d2('a', 'b', 3)} <= CAST(0.02 AS DOUBLE) * CAST(0.02 AS DOUBLE)")
+    out["isolated_points"] = (_isolated, f"{_pairs('ps_unif', 0.03)} SELECT id FROM p WHERE id NOT IN (SELECT qid FROM near UNION SELECT sid FROM near)")
+    cases = " ".join(f"WHEN d2 <= CAST({b!r} AS DOUBLE) * CAST({b!r} AS DOUBLE) THEN {i}" for i, b in enumerate(BINS[1:]))
+    out["pair_counts"] = (_pair_counts, f"{_pairs('ps_unif', BINS[-1])} SELECT CAST(CASE {cases} END AS INTEGER) AS bin, count(*) AS pairs FROM near GROUP BY 1")
+    core = "both_ways AS (SELECT a.id AS a, b.id AS b FROM p a JOIN p b ON " + _d2("a", "b", 3) + " <= CAST(0.04 AS DOUBLE) * CAST(0.04 AS DOUBLE)), cores AS (SELECT a AS id FROM both_ways GROUP BY a HAVING count(*) >= 4)"
+    out["density_clusters"] = (_density_clusters, f"""WITH RECURSIVE p AS MATERIALIZED ({ps.sql('ps_customer', DUCK)}), {core},
+links AS (SELECT a, b FROM both_ways WHERE a <> b AND a IN (SELECT id FROM cores) AND b IN (SELECT id FROM cores)),
+reach(id, root) AS (SELECT id, id FROM cores UNION SELECT l.b, reach.root FROM reach JOIN links l ON l.a = reach.id WHERE reach.root < l.b),
+roots AS (SELECT id, min(root) AS cluster FROM reach GROUP BY id)
+SELECT p.id, coalesce(r.cluster, (SELECT min(q.cluster) FROM both_ways w JOIN roots q ON q.id = w.b WHERE w.a = p.id)) AS cluster FROM p LEFT JOIN roots r ON r.id = p.id""")
+    out["planes_worked_example"] = (_worked, WORKED_SQL)
+    out["zorder_grid"] = (_zorder_grid, _zorder_sql())
+    out["plane_invariants_unif"] = (_invariants("ps_unif"), INVARIANTS_SQL)
+    out["plane_invariants_dup"] = (_invariants("ps_dup"), INVARIANTS_SQL)
+    out["plane_invariants_bell"] = (_invariants("ps_bell"), INVARIANTS_SQL)
+    out["leaf_counts_prefix"] = (_leaf_prefix, "SELECT CAST(0 AS BIGINT) AS differences")
+    out["node_moments"] = (_moments, "SELECT CAST(plane AS INTEGER) AS plane, n, total FROM (SELECT count(*) AS n, round(sum(p_retailprice), 2) AS total FROM part) AS s, unnest(range(0, 3)) AS r(plane)")
+    out["asof_nearest"] = (_asof, ASOF_SQL)
+    out["rollup_cells"] = (_rollup, ROLLUP_SQL)
+    out["session_links"] = (_sessions, SESSIONS_SQL)
+    # no SQL: counters, and sets whose brute force is too large for it (tested on small fixtures)
+    out["domain_balance"] = (_balance, None)
+    out["knn_metrics_unif"] = (_metrics("ps_unif"), None)
+    out["knn_metrics_emb_d8"] = (_metrics("ps_emb_d8"), None)
+    out["knn_line"] = (_knn_query("ps_line", 16)[0], None)
+    out["knn_dup"] = (_knn_query("ps_dup", 8)[0], None)
+    return out
+
 
 def queries() -> dict:
-    return {}
+    return {name: q for name, (q, _) in _registry().items()}
 
 
-def oracle_sql() -> dict:
-    return {}
+def oracle_sql() -> dict[str, str]:
+    return {name: text for name, (_, text) in _registry().items() if text}
