@@ -12,27 +12,36 @@ two, so nothing is padded.
 
 from __future__ import annotations
 
+import re
 from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from zplane.llm import shingles as sh
 from zplane.session import checkpoint, ship
 
 LENGTH, BLOCK = 4096, 256
 _ENDS = "</w>"
+#: Chunks of Latin-1 letters and ASCII marks other than the apostrophe, and the words that they are cut into.
+_LETTERS, _MARKS = "A-Za-zÀ-ÖØ-öø-ÿ", r"!-&(-/:-@\[-`{-~"
+_UNUSUAL = re.compile(f"[^{_LETTERS} \n.,]").search
+_WORDS = re.compile(f"^[{_LETTERS}]+$", re.M)
+_SIMPLE, _PARTS = re.compile(f"[{_LETTERS}{_MARKS}]+"), re.compile(f"[{_LETTERS}]+|[{_MARKS}]+")
 
 
 class WordEncoder:
-    """Ids of whole texts by a tokenizers file whose pieces never cross blanks, memoised by blank-separated chunk.
+    """Ids of whole texts by a tokenizers file whose pieces never cross blanks, each blank-separated chunk encoded once.
 
-    Chunks of Latin-1 letters are one word each, so many new ones are encoded in one call and cut at
-    word-end pieces; any other new chunk is encoded by itself. A text that holds a special token's string
-    goes to the library whole.
+    Chunks are made distinct in Arrow. What is known of a chunk (its 64-bit hash mixed with its length,
+    and where its ids lie in a pool) is kept in sorted arrays of about 20 bytes for each chunk, `most` of
+    them. New chunks of Latin-1 letters and ASCII marks are cut into words, many of which are encoded in one
+    call and parted at word-end pieces; any other new chunk is encoded by itself. A text that holds a
+    special token's string goes to the library whole.
     """
 
-    def __init__(self, path: str, most: int = 900_000):
+    def __init__(self, path: str, most: int = 4_000_000):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -44,56 +53,110 @@ class WordEncoder:
         self.kind = np.dtype("<u2" if max(vocab.values()) < 1 << 16 else "<u4")
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for s, i in vocab.items() if s.endswith(_ENDS)]] = True
-        self.most, self.known = most, {"": b""}
-
-    def _pack(self, ids) -> bytes:
-        return np.asarray(ids, self.kind).tobytes()
-
-    def _learn(self, new: set[str]) -> None:
-        words = [c for c in new if c.isalpha() and max(c) <= "ÿ"]
-        rest = []
-        for c in new.difference(words):
-            head, last = c[:-1], c[-1]
-            if last in ".,;:!?" and head.isalpha() and max(head) <= "ÿ":
-                rest.append((c, head, last))
-            else:
-                self.known[c] = self._pack(self.t.encode(c, add_special_tokens=False).ids)
-        words += {h for _, h, _ in rest}.difference(words, self.known)
-        for lo in range(0, len(words), 20_000):
-            part = words[lo : lo + 20_000]
-            ids = np.array(self.t.encode(" ".join(part), add_special_tokens=False).ids, self.kind)
-            cut = np.flatnonzero(self.ends[ids]) + 1
-            if len(cut) != len(part):  # not one word each after all
-                for c in part:
-                    self.known[c] = self._pack(self.t.encode(c, add_special_tokens=False).ids)
-                continue
-            raw, size, at = ids.tobytes(), self.kind.itemsize, 0
-            for c, to in zip(part, (cut * size).tolist()):
-                self.known[c] = raw[at:to]
-                at = to
-        for c, head, last in rest:
-            if last not in self.known:
-                self.known[last] = self._pack(self.t.encode(last, add_special_tokens=False).ids)
-            self.known[c] = self.known[head] + self.known[last]
-
-    def __call__(self, texts: list[str]) -> list[bytes]:
-        """Packed little-endian ids of each text (of self.kind)."""
-        cut: list = []
-        new: set[str] = set()
-        for t in texts:
+        self.most = most
+        self._reset()
+
+    def _reset(self) -> None:
+        self.runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # (hash, start, ids) sorted by hash
+        self.pool, self.used = np.zeros(1 << 20, self.kind), 0
+
+    def _one(self, chunk: str) -> np.ndarray:
+        return np.array(self.t.encode(chunk, add_special_tokens=False).ids, self.kind)
+
+    def _learn(self, new: list[str]) -> list[bytes]:
+        """Packed ids of chunks that were not seen before."""
+        got: dict[str, bytes] = {"": b""}
+        words = _WORDS.findall("\n".join(new))  # one pass in C over all chunks that are one word
+        composed, more = [], set()
+        if len(words) < len(new):
+            for c in set(new).difference(words):
+                if _SIMPLE.fullmatch(c):
+                    parts = _PARTS.findall(c)
+                    composed.append((c, parts))
+                    more.update(parts)
+                elif c:
+                    got[c] = self._one(c).tobytes()
+            words += more.difference(words)
+        some = [words[lo : lo + 250] for lo in range(0, len(words), 250)]
+        size = self.kind.itemsize
+        for lo in range(0, len(some), 40):
+            parts = some[lo : lo + 40]
+            for part, found in zip(parts, self.t.encode_batch_fast([" ".join(p) for p in parts], add_special_tokens=False)):
+                ids = np.array(found.ids, self.kind)
+                cut = np.flatnonzero(self.ends[ids]) + 1
+                if len(cut) != len(part):  # not one word each after all
+                    got.update((c, self._one(c).tobytes()) for c in part)
+                    continue
+                raw, to = ids.tobytes(), (cut * size).tolist()
+                got.update(zip(part, map(raw.__getitem__, map(slice, [0, *to], to))))
+        for c, parts in composed:
+            got[c] = b"".join([got[w] for w in parts])
+        return [got[c] for c in new]
+
+    def _add(self, h: np.ndarray, packed: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        ids = np.frombuffer(b"".join(packed), self.kind)
+        n = np.fromiter(map(len, packed), np.int32, len(packed)) // self.kind.itemsize
+        while self.used + len(ids) > len(self.pool):
+            self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
+        self.pool[self.used : self.used + len(ids)] = ids
+        start = self.used + np.cumsum(n, dtype=np.int64) - n
+        self.used += len(ids)
+        order = np.argsort(h)
+        run = h[order], start[order].astype(np.int32), n[order].astype(np.int32)
+        while self.runs and len(self.runs[-1][0]) <= 2 * len(run[0]):  # runs grow geometrically
+            run = tuple(np.concatenate(c) for c in zip(self.runs.pop(), run))
+            order = np.argsort(run[0], kind="stable")
+            run = tuple(c[order] for c in run)
+        self.runs.append(run)
+        return start, n
+
+    def _chunks(self, chunks) -> tuple[np.ndarray, np.ndarray]:
+        """(start in the pool, ids) of distinct chunks (an Arrow array of large strings)."""
+        import pyarrow as pa
+
+        _, offsets, data = chunks.buffers()
+        at = np.frombuffer(offsets, np.int64)[chunks.offset : chunks.offset + len(chunks) + 1]
+        raw = np.frombuffer(data, np.uint8)[at[0] : at[-1]] if data is not None else np.zeros(0, np.uint8)
+        at = at - at[0]
+        h = sh.mix(sh.range_hash(sh.prefix_hash(raw), at[:-1], at[1:]) + np.diff(at).astype(np.uint64))
+        if sum(len(r[0]) for r in self.runs) + len(h) > self.most:
+            self._reset()
+        start, n = np.full(len(h), -1, np.int64), np.zeros(len(h), np.int64)
+        for keys, where, count in self.runs:
+            i = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+            hit = keys[i] == h
+            start[hit], n[hit] = where[i[hit]], count[i[hit]]
+        new = np.flatnonzero(start < 0)
+        if len(new):
+            start[new], n[new] = self._add(h[new], self._learn(chunks.take(pa.array(new)).to_pylist()))
+        return start, n
+
+    def __call__(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after the other, where each text's ids begin and the end)."""
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        whole: dict[int, np.ndarray] = {}
+        plain = []
+        for i, t in enumerate(texts):
             if "<|" in t and any(s in t for s in self.special):
-                cut.append(None)
-                continue
-            chunks = t.replace("\n", " ").split(" ")
-            cut.append(chunks)
-            new.update(chunks)
-        new.difference_update(self.known)
-        if len(self.known) + len(new) > self.most:
-            self.known = {"": b""}
-            new = {c for chunks in cut if chunks for c in chunks if c}
-        self._learn(new)
-        get = self.known.__getitem__
-        return [b"".join(map(get, c)) if c is not None else self._pack(self.t.encode(t, add_special_tokens=False).ids) for t, c in zip(texts, cut)]
+                whole[i] = self._one(t)
+                t = ""
+            elif not (_UNUSUAL(t) or ".." in t or ".," in t or ",." in t or ",," in t):
+                t = t.replace(".", " .").replace(",", " ,")  # a mark by itself is a word, so fewer chunks differ
+            plain.append(t.replace("\n", " "))
+        cut = pc.split_pattern(pa.array(plain, pa.large_string()), " ")
+        coded = cut.flatten().dictionary_encode()
+        start, n = self._chunks(coded.dictionary)
+        at = coded.indices.to_numpy()
+        n = n[at]
+        ends = np.cumsum(n)
+        flat = self.pool[np.repeat(start[at] - (ends - n), n) + np.arange(int(n.sum()))]
+        begins = np.append(0, ends)[cut.offsets.to_numpy()]
+        if not whole:
+            return flat, begins
+        docs = [whole.get(i, flat[begins[i] : begins[i + 1]]) for i in range(len(texts))]
+        return np.concatenate(docs), np.cumsum([0, *map(len, docs)])
 
 
 @lru_cache(maxsize=2)
@@ -177,19 +240,32 @@ class Schedule:
         return doc[keep], (lo - begin[doc])[keep], size, seq[keep], off[keep]
 
 
-def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, rates: dict | None = None, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", with_ids: bool = True) -> DataFrame:
+def _slices(batch, most: int = 6 << 20):
+    """Rows of a batch (text in column 2) in slices of about `most` bytes, or one longer row."""
+    import pyarrow.compute as pc
+
+    size = np.cumsum(pc.fill_null(pc.binary_length(batch.column(2)), 0).to_numpy())
+    lo = 0
+    while lo < batch.num_rows:
+        before = int(size[lo - 1]) if lo else 0
+        hi = max(lo + 1, int(np.searchsorted(size, before + most, side="right")))
+        yield batch.slice(lo, hi - lo)
+        lo = hi
+
+
+def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, rates: dict | None = None, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", with_ids: bool = True, order_cols: tuple[str, ...] = ()) -> DataFrame:
     """One row for each piece: (doc_id, source, start, length, ids_crc32, doc_tokens, sequence_id, offset[, ids]).
 
     A document is its text's ids and end_id; null text counts as empty (just end_id). Null sources form
-    one queue. Queues are ordered by id, rows that repeat an id by a hash of their text. rates gives a
+    one queue. Queues are ordered by order_cols, then id; rows that repeat an id by a hash of their text. rates gives a
     source's target rate (relative integers; default in proportion to its tokens). An empty table gives
     no pieces.
     """
     spark = docs.sparkSession
     ship(spark)
-    picked = docs.select(F.col(source_col).cast("string").alias("source"), F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    order = [F.col("source").asc_nulls_last(), F.col("doc_id").asc_nulls_last()]
-    queued = picked.repartitionByRange(*order).sortWithinPartitions(*order, F.xxhash64("text"))
+    picked = docs.select(F.col(source_col).cast("string").alias("source"), F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), *(F.col(c).alias(f"__o{i}") for i, c in enumerate(order_cols)))
+    order = [F.col("source").asc_nulls_last(), *(F.col(f"__o{i}") for i in range(len(order_cols))), F.col("doc_id").asc_nulls_last()]
+    queued = picked.repartitionByRange(*order).sortWithinPartitions(*order, F.xxhash64("text")).select("source", "doc_id", "text")
 
     def encode(batches):
         import pyarrow as pa
@@ -198,10 +274,11 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, rates: dict | None =
 
         enc = word_encoder(tokenizer)
         for b in batches:
-            for lo in range(0, b.num_rows, 500):
-                part = b.slice(lo, 500)
-                ids = [x + np.array([end_id], enc.kind).tobytes() for x in enc(part.column(2).to_pylist())]
-                n = [len(x) // enc.kind.itemsize for x in ids]
+            for part in _slices(b):
+                flat, begins = enc(part.column(2).to_pylist())
+                end = np.array([end_id], enc.kind).tobytes()
+                ids = [flat[x:y].tobytes() + end for x, y in zip(begins[:-1].tolist(), begins[1:].tolist())]
+                n = np.diff(begins) + 1
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(n, pa.int64()), pa.array(ids, pa.binary())], ["source", "doc_id", "n", "ids"])
 
     coded = checkpoint(queued.mapInArrow(encode, "source string, doc_id long, n long, ids binary"))
