@@ -190,14 +190,19 @@ def with_zkey(df: DataFrame, cols: list[str], plan: KeyPlan | None = None, mode:
     return df.withColumn("zkey", key(*(F.col(c).cast("double") for c in cols)))
 
 
+def morton_bits(d: int) -> int:
+    """Bits of each dimension in a 63-bit key (62 for one dimension, so that cell numbers fit)."""
+    return min(62, 63 // d)
+
+
 def morton63(cols: list[Column], box: tuple) -> Column:
     """The usual integer key: coordinates clamped to box ((low, high) of each dimension), bits interleaved in codegen."""
     d = len(cols)
-    bits = 63 // d
+    bits = morton_bits(d)
     out = F.lit(0).cast("long")
     cells_ = []
     for c, (lo, hi) in zip(cols, box):
-        scaled = F.floor((c - lo) / (hi - lo) * (1 << bits)).cast("long")
+        scaled = F.floor((c - lo) / (hi - lo) * float(1 << bits)).cast("long")
         cells_.append(F.least(F.greatest(scaled, F.lit(0).cast("long")), F.lit((1 << bits) - 1).cast("long")))
     for b in range(bits):
         for i, c in enumerate(cells_):

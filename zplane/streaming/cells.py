@@ -5,14 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zplane.functions.zkey import morton63
+from zplane.functions.zkey import morton63, morton_bits
 
 
 def cell_counts(events: DataFrame, ts: str, cols: list[str], box: tuple, window: str, slide: str | None = None, bits: int = 9, watermark: str | None = None) -> DataFrame:
     """(start, end, cell, n): points for each time window and Morton cell (the first `bits` bits); batch or stream."""
     rows = events.withWatermark(ts, watermark) if watermark and events.isStreaming else events
     d = len(cols)
-    keyed = rows.withColumn("cell", F.shiftright(morton63([F.col(c) for c in cols], box), d * (63 // d) - bits))
+    keyed = rows.withColumn("cell", F.shiftright(morton63([F.col(c) for c in cols], box), d * morton_bits(d) - bits))
     return keyed.groupBy(F.window(ts, window, slide), "cell").agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), F.col("window.end").alias("end"), "cell", "n")
 
 

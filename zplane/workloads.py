@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from zplane import pointsets as ps
 from zplane.operators import baselines, joins, knn, linking
 from zplane.plans.planes import Options, paper_options
+from zplane.session import stored
 
 DUCK = ps.Dialect(False)
 
@@ -57,7 +58,7 @@ def catalogue_sql(src: str, r: float, min_count: int) -> str:
     off = " + ".join(f"(x{i} - c{i}) * (x{i} - c{i})" for i in range(d))
     return f"""{_groups(src, r)}, m AS (SELECT p.*, group_id FROM p JOIN roots USING (id)),
 g AS (SELECT group_id, count(*) AS n, sum(w) AS mass, {com} FROM m GROUP BY group_id HAVING count(*) >= {min_count})
-SELECT group_id, any_value(n) AS n, round(any_value(mass), 2) AS mass, {', '.join(f'round(any_value(c{i}), 6) AS com_x{i}' for i in range(d))}, round(sqrt(sum(w * ({off})) / sum(w)), 6) AS r_inertia
+SELECT group_id, any_value(n) AS n, round(any_value(mass), 2) AS mass, {', '.join(f'round(any_value(c{i}), 9) AS com_x{i}' for i in range(d))}, round(sqrt(sum(w * ({off})) / sum(w)), 6) AS r_inertia
 FROM m JOIN g USING (group_id) GROUP BY group_id"""
 
 
@@ -90,7 +91,7 @@ def _catalogue_query(src: str, r: float, min_count: int):
         a = ps.points(spark, sf_dir, src)
         got = linking.catalogue(a, linking.link_clusters(a, ps.cols(src), r), ps.cols(src), mass="w", min_count=min_count)
         names = [c for c in got.columns if c.startswith("com_x")]
-        return got.select("group_id", "n", F.round("mass", 2).alias("mass"), *(F.round(c, 6).alias(c) for c in names), F.round("r_inertia", 6).alias("r_inertia"))
+        return got.select("group_id", "n", F.round("mass", 2).alias("mass"), *(F.round(c, 9).alias(c) for c in names), F.round("r_inertia", 6).alias("r_inertia"))
 
     return run, catalogue_sql(src, r, min_count)
 
@@ -204,8 +205,8 @@ def _leaf_prefix(spark, sf_dir):
 
     pts = ps.points(spark, sf_dir, "ps_orders")
     tree = knn.joint_tree(pts, None, ps.cols("ps_orders"), options=Options(n_max0=64))
-    a = leaf_cells_by_prefix(zkey.with_zkey(pts, ps.cols("ps_orders"), tree.plan), 64, tree.plan).select("n")
-    b = tree.nodes.where("plane = 0").select((F.col("n_src") + F.col("n_qry")).alias("n"))
+    a = stored(leaf_cells_by_prefix(stored(zkey.with_zkey(pts, ps.cols("ps_orders"), tree.plan)), 64, tree.plan).select("n"))
+    b = stored(tree.nodes.where("plane = 0").select((F.col("n_src") + F.col("n_qry")).alias("n")))
     return a.exceptAll(b).unionAll(b.exceptAll(a)).agg(F.count("*").alias("differences"))
 
 
