@@ -4,12 +4,14 @@ Paragraphs (lines) become word 1- to 3-grams. A sparse logistic regression over
 gives each licence family and an unknown class a score; a temperature fitted on paragraphs that were kept
 apart calibrates the probabilities. A family that wins is confirmed by comparing the paragraph with the
 family's notices. Training runs on a bounded set on the driver; scanning joins the exploded grams with the
-weight table (a fixed number of rows) and sums.
+weight table (a fixed number of rows) and sums. Paragraphs without any of the words that a family needs
+at least (a bound that follows from the weights) are unknown and skip that.
 """
 
 from __future__ import annotations
 
 import random
+from collections import Counter
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -54,6 +56,8 @@ FAMILIES = list(NOTICES)
 UNKNOWN = len(FAMILIES)
 #: Paragraphs of the corpus, variants of each notice, and the probability that a family must reach.
 PLAIN_PARAGRAPHS, VARIANTS, LEAST, SIMILAR = 1500, 24, 0.5, 0.6
+#: A word in COMMON plain paragraphs is common; STOP words always are.
+COMMON, STOP = 4, "a an and any are as at be by for from he his in is it of on or she that the this to was with you".split()
 
 
 def word_array(text: Column) -> Column:
@@ -89,7 +93,7 @@ def _variants(notice: str, rng: random.Random) -> list[str]:
 
 
 def train_licenses(docs: DataFrame, seed: int = 11) -> dict:
-    """{"grams": [(gram, weights)], "bias", "temperature"}; weights for each family and unknown.
+    """{"anchors", "grams": [(gram, weights)], "bias", "temperature", "accuracy"}; weights for each family and unknown.
 
     The training set is bounded: VARIANTS of each notice, and PLAIN_PARAGRAPHS paragraphs of docs by hash
     (those that share a 3-gram with a notice are not used, so notices in the corpus don't teach unknown).
@@ -102,8 +106,11 @@ def train_licenses(docs: DataFrame, seed: int = 11) -> dict:
     feats = [(known[r["doc_id"]][0], r["g"]) for r in paragraphs(local).select("doc_id", grams("words").alias("g")).orderBy("doc_id").collect()]  # bounded
     vocab = sorted({g for y, gs in feats if y != UNKNOWN for g in gs if " " in g or len(g) > 3 or g in ("mit", "gpl", "bsd", "mpl", "isc", "epl", "cc0", "cc", "gnu")})
     telling = {g for y, gs in feats if y != UNKNOWN for g in gs if g.count(" ") == 2}
-    extra = [r["g"] for r in plain.select(grams("words").alias("g")).collect()]  # bounded
-    feats += [(UNKNOWN, g) for g in extra if not telling.intersection(g)]
+    extra = [g for r in plain.select(grams("words").alias("g")).collect() if not telling.intersection(g := r["g"])]  # bounded
+    feats += [(UNKNOWN, g) for g in extra]
+    seen = Counter(x for g in extra for x in {x for x in g if " " not in x})
+    common = {x for x, n in seen.items() if n >= COMMON} | set(STOP)
+    vocab = [g for g in vocab if not common.issuperset(g.split(" "))]  # a gram of common words alone tells nothing
     at = {g: i for i, g in enumerate(vocab)}
     x = np.zeros((len(feats), len(vocab)), np.float32)
     for r, (_, gs) in enumerate(feats):
@@ -114,7 +121,28 @@ def train_licenses(docs: DataFrame, seed: int = 11) -> dict:
     logit = x[apart] @ w + b
     temperature = min(np.linspace(0.5, 3, 26), key=lambda t: _loss(logit / t, y[apart]))
     keep = np.abs(w).max(1) > 0.05
-    return {"grams": [(g, [float(v) for v in w[i]]) for g, i in at.items() if keep[i]], "bias": [float(v) for v in b], "temperature": float(temperature), "accuracy": float((logit.argmax(1) == y[apart]).mean())}
+    w = np.where(keep[:, None], w, 0)
+    return {"anchors": _anchors(vocab, w, b, common), "grams": [(g, [float(v) for v in w[i]]) for g, i in at.items() if keep[i]], "bias": [float(v) for v in b], "temperature": float(temperature), "accuracy": float((logit.argmax(1) == y[apart]).mean())}
+
+
+def _anchors(vocab: list[str], w: np.ndarray, b: np.ndarray, common: set[str]) -> list[str] | None:
+    """Words of which a paragraph must hold one to be given a family: without them all other grams together can't lift any
+    family over unknown. None if unknown doesn't win without evidence."""
+    margin = np.maximum(0, w[:, :UNKNOWN] - w[:, [UNKNOWN]])
+    gap = b[UNKNOWN] - b[:UNKNOWN]
+    if (gap <= 0).any():
+        return None
+    of: dict[str, list[int]] = {}
+    for i, g in enumerate(vocab):
+        for word in set(g.split(" ")) - common:
+            of.setdefault(word, []).append(i)
+    left, out = np.ones(len(vocab), bool), []
+    while ((total := margin[left].sum(0)) >= gap * (1 - 1e-6)).any():
+        over = total >= gap * (1 - 1e-6)
+        best = max(sorted(of), key=lambda x: margin[[i for i in of[x] if left[i]]][:, over].sum())
+        left[of.pop(best)] = False
+        out.append(best)
+    return out
 
 
 def _loss(logit: np.ndarray, y: np.ndarray) -> float:
@@ -153,6 +181,8 @@ def scan_licenses(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col
     """
     spark = docs.sparkSession
     lines = paragraphs(docs, id_col, text_col)
+    if model["anchors"] is not None:  # the rest is unknown whatever else it holds
+        lines = lines.where(F.arrays_overlap("words", F.array(*(F.lit(a) for a in model["anchors"]))))
     sums, picks = _scores(spark, lines, model)
     found = sums.select("doc_id", "para", *picks).where((F.col("family") != F.lit("unknown")) & (F.col("probability") >= least))
     notices = [(f, i, t) for f in FAMILIES for i, t in enumerate(NOTICES[f])]
