@@ -67,3 +67,33 @@ def release(spark: SparkSession) -> None:
 
     gc.collect()
     spark.sparkContext._jvm.System.gc()
+
+
+_KEPT: dict = {}
+
+
+def worker_cache(key, make=None):
+    """The one object that a Python worker keeps between tasks: asking for another key (or None) drops it.
+
+    Workers live on and serve all operators, so whatever each of them kept would add up.
+    """
+    old = [k for k in _KEPT if k != key]
+    for k in old:
+        del _KEPT[k]
+    if old:
+        trim()
+    if key is not None and key not in _KEPT:
+        _KEPT[key] = make()
+    return _KEPT.get(key)
+
+
+def trim() -> None:
+    """Give freed memory of this process back to the system (where the C library can)."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        return
