@@ -14,7 +14,7 @@ from zplane.plans import walk
 from zplane.plans.planes import Options, PlaneTree
 
 
-def distance_join(a: DataFrame, b: DataFrame | None, r: float, cols: list[str], id_col: str = "id", box=None, options: Options | None = None) -> DataFrame:
+def distance_join(a: DataFrame, b: DataFrame | None, r: float, cols: list[str], id_col: str = "id", box=None, options: Options | None = None, method: str = "auto") -> DataFrame:
     """(qid, sid, dist2): all pairs within r of a (queries) and b (sources); without b the pairs qid < sid of a itself."""
     self_query = b is None
     tree = joint_tree(a, None, cols, id_col, options) if self_query else joint_tree(b, a, cols, id_col, options)
@@ -27,7 +27,10 @@ def distance_join(a: DataFrame, b: DataFrame | None, r: float, cols: list[str],
         pl = planes[0]
         return pa.RecordBatch.from_arrays([pa.array(pl.domain[recv].astype(np.int32)), pa.array(pl.node[recv]), pa.array(pl.node[src])], ["domain", "recv", "src"])
 
-    ilist = walk.walk_in_tasks(tree, make, "domain int, recv long, src long").withColumn("r_low", F.lit(0.0))
+    if method == "stages" or (method == "auto" and tree.nodes.count() > walk.BROADCAST_NODES):
+        ilist = walk.radius_stages(tree, r, box, self_query)[0].withColumn("r_low", F.lit(0.0))
+    else:
+        ilist = walk.walk_in_tasks(tree, make, "domain int, recv long, src long").withColumn("r_low", F.lit(0.0))
 
     def run(table):
         import pyarrow as pa

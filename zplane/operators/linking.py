@@ -26,11 +26,13 @@ def linking_length(n: int, volume: float, d: int = 3, alpha: float = 0.2) -> flo
     return alpha * (volume / n) ** (1.0 / d)
 
 
-def link_edges(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id", box=None, options: Options | None = None, tree: PlaneTree | None = None) -> tuple[DataFrame, PlaneTree]:
-    """Edges (a, b) whose components are the groups (points, and leaf markers from MARK on), and the tree."""
+def link_edges(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id", box=None, options: Options | None = None, tree: PlaneTree | None = None, method: str = "auto") -> tuple[DataFrame, PlaneTree]:
+    """Edges (a, b) whose components are the groups (points, and node markers from MARK on), and the tree."""
     tree = tree or joint_tree(df, None, cols, id_col, options)
-    if tree.nodes.count() > walk.BROADCAST_NODES:
-        raise ValueError("this tree's nodes exceed the broadcast bound; raise n_max0")
+    if method == "stages" or (method == "auto" and tree.nodes.count() > walk.BROADCAST_NODES):
+        pairs, marks, leaves = walk.radius_stages(tree, r_link, box, True, link=True)
+        inside = tree.points.join(leaves.withColumnRenamed("node", "leaf"), "leaf").select(F.col("id").alias("a"), walk.marker(F.col("leaf"), 0).alias("b"))
+        return _tested(tree, pairs, r_link, box).unionAll(marks).unionAll(inside), tree
 
     def make(planes, domains):
         import pyarrow as pa
@@ -48,6 +50,11 @@ def link_edges(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id"
     marks = whole.select((F.col("leaf") + MARK).alias("a"), (F.col("root") + MARK).alias("b")).where("a <> b")
     ends = whole.select("leaf").union(whole.select(F.col("root").alias("leaf"))).distinct()
     inside = tree.points.join(ends, "leaf").select(F.col("id").alias("a"), (F.col("leaf") + MARK).alias("b"))
+    return _tested(tree, found.where("NOT whole").select("domain", "recv", "src"), r_link, box).unionAll(marks).unionAll(inside), tree
+
+
+def _tested(tree: PlaneTree, pairs: DataFrame, r_link: float, box) -> DataFrame:
+    """Spanning edges of the point pairs within r_link of open leaf pairs, domain by domain."""
     d = tree.d
 
     def run(table):
@@ -69,9 +76,7 @@ def link_edges(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id"
         x, y = _spanning(parts)
         return pa.table({"a": pa.array(x, pa.int64()), "b": pa.array(y, pa.int64())})
 
-    pairs = found.where("NOT whole").select("domain", "recv", "src", F.lit(0.0).alias("r_low"))
-    tested = domain_rows(tree, pairs, True).groupBy("domain").applyInArrow(run, "a long, b long")
-    return tested.unionAll(marks).unionAll(inside), tree
+    return domain_rows(tree, pairs.withColumn("r_low", F.lit(0.0)), True).groupBy("domain").applyInArrow(run, "a long, b long")
 
 
 def _spanning(parts):
@@ -83,13 +88,14 @@ def _spanning(parts):
     return nodes[far], roots[far]
 
 
-def link_clusters(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id", box=None, options: Options | None = None, label: str = "min_id") -> DataFrame:
+def link_clusters(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id", box=None, options: Options | None = None, label: str = "min_id", method: str = "auto") -> DataFrame:
     """(id, group_id) of every point; group_id is the smallest id of the group (label='z_root': the id of its first point in Morton order)."""
-    return link_clusters_with_rounds(df, cols, r_link, id_col, box, options, label)[0]
+    return link_clusters_with_rounds(df, cols, r_link, id_col, box, options, label, method)[0]
 
 
-def link_clusters_with_rounds(df, cols, r_link, id_col="id", box=None, options=None, label="min_id"):
-    edges, tree = link_edges(df, cols, r_link, id_col, box, options)
+def link_clusters_with_rounds(df, cols, r_link, id_col="id", box=None, options=None, label="min_id", method="auto"):
+    """link_clusters, and the rounds that contraction took."""
+    edges, tree = link_edges(df, cols, r_link, id_col, box, options, method=method)
     roots, rounds = components_with_rounds(stored(edges, "edges"))
     roots = roots.where(F.col("node") < MARK)
     out = tree.points.select("id", "domain", "pos").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("group_id", F.coalesce("root", "id"))

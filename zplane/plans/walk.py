@@ -251,6 +251,56 @@ def _knn_stages(tree: PlaneTree, k: int, box, self_query: bool) -> DataFrame:
     return pairs.select(F.floor(F.col("recv") / NODE_SPAN).cast("int").alias("domain"), "recv", "src", "r_low")
 
 
+def _sides(tree: PlaneTree, p: int, asks: str):
+    """The nodes of a plane as receivers and as sources of a stage."""
+    side = lambda s: tree.nodes.where(F.col("plane") == p).select(F.col("node").alias(s), F.col("parent").alias(f"{s}_up"), F.col("n_src").alias(f"{s}_n"), F.col(asks).alias(f"{s}_asks"), F.col("c").alias(f"{s}_c"), F.col("ext").alias(f"{s}_e"))
+    return side("recv").where("recv_asks > 0"), side("src").where("src_n > 0")
+
+
+def marker(node, plane: int):
+    """The number that stands for a node of a plane among point ids (which must be below 2^62)."""
+    return F.lit(1 << 62) + node * 16 + plane
+
+
+def radius_stages(tree: PlaneTree, r: float, box=None, self_query: bool = True, link: bool = False):
+    """The walk with a fixed radius as one DataFrame stage for each plane: (open leaf pairs, marker edges, linked leaves).
+
+    With link, pairs of nodes that are surely within r are taken off the lists as edges between markers;
+    linked nodes pass their mark down to their children, plane by plane.
+    """
+    spark = tree.points.sparkSession
+    d = tree.d
+    col = lambda name: [F.col(name)[i] for i in range(d)]
+    pairs = marked = edges = None
+    for p in range(tree.planes - 1, -1, -1):
+        a, b = _sides(tree, p, "n_src" if self_query else "n_qry")
+        if pairs is None:
+            joined = a.crossJoin(F.broadcast(b))  # the top plane: of bounded size by the schedule
+        else:
+            joined = pairs.select(F.col("recv").alias("recv_up"), F.col("src").alias("src_up")).join(a, "recv_up").join(b, "src_up")
+        if self_query:
+            joined = joined.where("recv <= src")
+        low = bounds.d_low(col("recv_c"), col("recv_e"), col("src_c"), col("src_e"), box)
+        high = bounds.d_up(col("recv_c"), col("recv_e"), col("src_c"), col("src_e"), box)
+        near = joined.where(F.isnan(low) | (low <= r * (1 + BOUND_SLACK))).withColumn("sure", F.lit(link) & ~F.isnan(high) & (high <= r * (1 - BOUND_SLACK)))
+        now = stored(near.select("recv", "src", "sure"), f"radius{p}")
+        if link:
+            sure = now.where("sure")
+            here = sure.select(F.col("recv").alias("node")).union(sure.select(F.col("src").alias("node")))
+            out = sure.where("recv <> src").select(marker(F.col("recv"), p).alias("a"), marker(F.col("src"), p).alias("b"))
+            if marked is not None:
+                kids = tree.nodes.where(F.col("plane") == p).select("node", "parent").join(marked.withColumnRenamed("node", "parent"), "parent")
+                out = out.union(kids.select(marker(F.col("node"), p).alias("a"), marker(F.col("parent"), p + 1).alias("b")))
+                here = here.union(kids.select("node"))
+            marked = stored(here.distinct(), "marked")
+            out = stored(out, "markers")
+            edges = out if edges is None else edges.union(out)
+        if pairs is not None:
+            discard(spark, pairs)
+        pairs = stored(now.where("NOT sure").select("recv", "src"), "open") if link else now.select("recv", "src")
+    return pairs.select(F.floor(F.col("recv") / NODE_SPAN).cast("int").alias("domain"), "recv", "src"), edges, marked
+
+
 def to_csr(ilist: DataFrame) -> DataFrame:
     """(recv, srcs, r_lows): each receiver's list, sorted by r_low."""
     return ilist.groupBy("recv").agg(F.array_sort(F.collect_list(F.struct("r_low", "src"))).alias("l")).select("recv", F.col("l.src").alias("srcs"), F.col("l.r_low").alias("r_lows"))

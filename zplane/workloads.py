@@ -128,6 +128,11 @@ def _distance_join(spark, sf_dir):
     return out.select("qid", "sid", F.round(F.sqrt("dist2"), 6).alias("dist"))
 
 
+def _distance_stages(spark, sf_dir):
+    out = joins.distance_join(ps.points(spark, sf_dir, "ps_customer"), None, 0.03, ps.cols("ps_customer"), options=Options(n_max0=32, domain_rows=600, n_target=8), method="stages")
+    return out.select("qid", "sid", F.round(F.sqrt("dist2"), 6).alias("dist"))
+
+
 def _count_within(spark, sf_dir):
     return joins.count_within(ps.points(spark, sf_dir, "ps_orders"), None, 0.01, ps.cols("ps_orders"))
 
@@ -286,6 +291,7 @@ def _registry() -> dict[str, tuple[Callable, str | None]]:
         ("link_unif", "ps_unif", 0.02, {}), ("link_clump", "ps_clump", 0.008, {}), ("link_clump_periodic", "ps_clump", 0.008, {"box": [1.0, 1.0, 1.0]}), ("link_domains", "ps_clump", 0.004, {"options": Options(n_max0=32, domain_rows=2000, n_target=8)}),
     ]:
         out[name] = _link_query(src, r, **kw)
+    out["link_walk_stages"] = _link_query("ps_customer", 0.04, options=Options(n_max0=32, domain_rows=600, n_target=8), method=lambda a, c, r, **kw: linking.link_clusters(a, c, r, **kw | {"method": "stages"}))
     for name, method in [("union_find", baselines.link_union_find), ("grid", baselines.link_grid), ("by_knn", baselines.link_by_knn)]:
         out[f"base_link_{name}"] = _link_query("ps_customer", 0.04, method=method)
     out["link_dup"] = (_link_dup, f"SELECT id, min(id) OVER (PARTITION BY x0) AS group_id FROM ({ps.sql('ps_dup', DUCK)}) AS p")
@@ -298,6 +304,7 @@ def _registry() -> dict[str, tuple[Callable, str | None]]:
     out["knn_reverse"] = (_reverse, f"{_knn_rows('ps_customer', 8)} SELECT sid, count(*) AS n FROM near WHERE qid <> sid GROUP BY sid")
     out["knn_mutual"] = (_mutual, f"{_knn_rows('ps_customer', 8)}, e AS (SELECT least(qid, sid) AS a, greatest(qid, sid) AS b FROM near WHERE qid <> sid) SELECT a, b FROM e GROUP BY a, b HAVING count(*) = 2")
     out["distance_join"] = (_distance_join, f"{_pairs('ps_unif', 0.03)} SELECT qid, sid, round(sqrt(d2), 6) AS dist FROM near")
+    out["distance_join_stages"] = (_distance_stages, f"{_pairs('ps_customer', 0.03)} SELECT qid, sid, round(sqrt(d2), 6) AS dist FROM near")
     out["count_within"] = (_count_within, f"{_pairs('ps_orders', 0.01)}, e AS (SELECT qid AS id FROM near UNION ALL SELECT sid FROM near UNION ALL SELECT id FROM p) SELECT id, count(*) AS n FROM e GROUP BY id")
     out["has_neighbour"] = (_has_neighbour, f"WITH a AS ({ps.sql('ps_unif', DUCK)}), b AS ({ps.sql('ps_unif_q', DUCK)}) SELECT DISTINCT a.id FROM a JOIN b ON {_d2('a', 'b', 3)} <= CAST(0.02 AS DOUBLE) * CAST(0.02 AS DOUBLE)")
     out["isolated_points"] = (_isolated, f"{_pairs('ps_unif', 0.03)} SELECT id FROM p WHERE id NOT IN (SELECT qid FROM near UNION SELECT sid FROM near)")
