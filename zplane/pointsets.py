@@ -15,12 +15,24 @@ def big(v) -> str:
     return f"CAST({v} AS BIGINT)"
 
 
-def drawn(rows: str, draws: dict[str, tuple[str, int]]) -> str:
+def drawn(rows: str, draws: dict[str, tuple[str, int]], spark: bool) -> str:
     """rows (a SELECT) with a portable number in [0, 1) for each name: (integer key, stream).
 
-    One level of SELECT for each mixing step, so that no step is computed twice.
+    One level of SELECT for each mixing step, so that no step is computed twice. Many draws go through
+    arrays in Spark, whose generated code would grow too large otherwise.
     """
     p = big(P)
+    if spark and len(draws) > 4:
+        keys, streams = ", ".join(big(k) for k, _ in draws.values()), ", ".join(big(s) for _, s in draws.values())
+        steps = f"SELECT *, array({keys}) AS k_, array({streams}) AS s_ FROM ({rows}) AS r0"
+        for name, a, b, e in (
+            ("a_", "k_", "s_", f"(x * {big(48271)} + y * {big(716151379)}) % {p}"),
+            ("b_", "s_", "a_", f"(y * y + x * {big(40692)}) % {p}"),
+            ("c_", "a_", "b_", f"(y * y + x) % {p}"),
+            ("u_", "b_", "c_", f"CAST((y * y + x) % {p} AS DOUBLE) / CAST(2147483648 AS DOUBLE)"),
+        ):
+            steps = f"SELECT *, zip_with({a}, {b}, (x, y) -> {e}) AS {name} FROM ({steps}) AS r{name}"
+        return f"SELECT *, {', '.join(f'u_[{i}] AS {n}' for i, n in enumerate(draws))} FROM ({steps}) AS r"
     one = ", ".join(f"(({k}) * {big(48271)} + {big(s)} * {big(716151379)}) % {p} AS a_{n}" for n, (k, s) in draws.items())
     two = ", ".join(f"(a_{n} * a_{n} + {big(s)} * {big(40692)}) % {p} AS b_{n}" for n, (_, s) in draws.items())
     three = ", ".join(f"(b_{n} * b_{n} + a_{n}) % {p} AS c_{n}" for n in draws)
@@ -64,15 +76,15 @@ def sql(name: str, t: Dialect) -> str:
     keyed = f"SELECT {k}, o_totalprice FROM {o}"
     if name == "ps_bell":
         sums = ["(" + " + ".join(f"u{12 * j + i}" for i in range(12)) + ") - CAST(6 AS DOUBLE)" for j in range(3)]
-        rows = drawn(keyed, {f"u{12 * j + i}": (k, 20 + 12 * j + i) for j in range(3) for i in range(12)})
+        rows = drawn(keyed, {f"u{12 * j + i}": (k, 20 + 12 * j + i) for j in range(3) for i in range(12)}, t.spark)
         return f"SELECT {k} AS id, {', '.join(f'{s} AS x{j}' for j, s in enumerate(sums))}, o_totalprice AS w FROM ({rows}) AS r"
     if name == "ps_clump":
         size = " ".join(f"WHEN {m} THEN {2.0 ** -(1 + m)!r}" for m in range(8))
-        rows = drawn(keyed, {f"c{j}": (t.div(k, 64), 61 + j) for j in range(3)} | {f"o{j}": (k, 71 + j) for j in range(3)})
+        rows = drawn(keyed, {f"c{j}": (t.div(k, 64), 61 + j) for j in range(3)} | {f"o{j}": (k, 71 + j) for j in range(3)}, t.spark)
         raw = ", ".join(f"(c{j} + (o{j} - CAST(0.5 AS DOUBLE)) * CAST(CASE {k} % 8 {size} END AS DOUBLE)) AS r{j}" for j in range(3))
         return f"SELECT {k} AS id, {', '.join(f'r{j} - floor(r{j}) AS x{j}' for j in range(3))}, o_totalprice AS w FROM (SELECT *, {raw} FROM ({rows}) AS r) AS s"
     if name in ("ps_unif", "ps_unif_q"):
-        rows = drawn(keyed, {f"x{j}": (k, (1 if name == "ps_unif" else 11) + j) for j in range(3)})
+        rows = drawn(keyed, {f"x{j}": (k, (1 if name == "ps_unif" else 11) + j) for j in range(3)}, t.spark)
         return f"SELECT {k} AS id, x0, x1, x2, o_totalprice AS w FROM ({rows}) AS r"
     return {
         "ps_part": f"SELECT p_partkey AS id, p_size / CAST(50 AS DOUBLE) AS x0, (p_retailprice - 900) / CAST(100 AS DOUBLE) AS x1, p_retailprice AS w FROM {t.table('part')}",
