@@ -97,3 +97,9 @@ def trim() -> None:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
     except (OSError, AttributeError):
         return
+
+
+def clear_shared(spark: SparkSession) -> None:
+    """Delete all tables that stored() has written in the shared folder; for use once their results are consumed."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/zplane")
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
