@@ -20,16 +20,18 @@ def count_tokens(docs: DataFrame, model: str, id_col: str = "doc_id", text_col:
     def run(batches):
         import pyarrow as pa
 
-        from zplane.llm.token_fst import compile_model
+        from zplane.llm.token_fst import UnitCounts, load_model
+        from zplane.session import worker_cache
 
-        fst = compile_model(model)
+        counts = worker_cache(("units", model), lambda: UnitCounts(load_model(model)))
         for b in batches:
-            texts = [t or "" for t in b.column(1).to_pylist()]
-            n = [fst.count(t) for t in texts]
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())],
-                ["doc_id", "n_bytes", "n_tokens", "over_limit"],
-            )
+            for lo in range(0, b.num_rows, 1000):
+                part = b.slice(lo, 1000)
+                texts = [t or "" for t in part.column(1).to_pylist()]
+                n = counts(texts)
+                yield pa.RecordBatch.from_arrays(
+                    [part.column(0), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n), pa.array(n > limit)], ["doc_id", "n_bytes", "n_tokens", "over_limit"]
+                )
 
     picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return picked.mapInArrow(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")

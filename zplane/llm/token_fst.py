@@ -22,6 +22,8 @@ from collections import deque
 from functools import lru_cache
 from typing import NamedTuple
 
+import numpy as np
+
 BLANK = "▁"
 _UNITS = re.compile(r"( +)([^ ]*)")
 
@@ -40,7 +42,7 @@ class _State:
 class Transducer:
     """The lazily determinised transducer of one vocabulary; memory is bounded by max_states and max_units."""
 
-    def __init__(self, pieces: list[tuple[str, float]], max_states: int = 250_000, max_units: int = 50_000):
+    def __init__(self, pieces: list[tuple[str, float]], max_states: int = 350_000, max_units: int = 20_000):
         self.score = {p: s for p, s in pieces}
         runs = [len(p) for p in self.score if len(p) > 1 and set(p) == {BLANK}]
         if any(BLANK in p.lstrip(BLANK) for p in self.score):
@@ -195,6 +197,17 @@ class Transducer:
                 self.units[word] = found
         return found
 
+    def run_unit(self, word: str) -> int:
+        """Tokens of one blank mark and word, without the memo; a word that begins with a line feed has no blank before it."""
+        if len(self.states) > self.max_states:
+            self._flush()
+        n, s = 0, self.start
+        for c in word if word[:1] == "\n" else BLANK + word:
+            step = s.go.get(c)
+            w, s = step if step is not None else self._step(s, c)
+            n += w
+        return n
+
     def open_unit(self, blanks: int, word: str) -> int:
         """Tokens of a run of blank marks and the word after it; runs join last, from the left."""
         if not blanks:
@@ -271,9 +284,8 @@ class ChunkMap(NamedTuple):
     tail: str
 
 
-@lru_cache(maxsize=2)
-def compile_model(path: str) -> Transducer:
-    """Compile a sentencepiece byte-pair model file; one transducer is kept in each Python worker."""
+def load_model(path: str) -> Transducer:
+    """Compile a sentencepiece byte-pair model file."""
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_file=path)
@@ -283,3 +295,72 @@ def compile_model(path: str) -> Transducer:
         if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i))
     ]
     return Transducer(plain)
+
+
+compile_model = lru_cache(maxsize=1)(load_model)
+
+
+class UnitCounts:
+    """Token counts of many texts at once. Units (a blank mark and a word) start from the reset state, so
+    the chunk map of each is one number: distinct units of a batch are found in Arrow, those not met before
+    go through the transducer, and their counts stay in sorted arrays of 12 bytes for each (`most` of them).
+    Texts with runs of blanks, or longer than a chunk, are counted by composing chunk maps."""
+
+    def __init__(self, fst: Transducer, most: int = 4_000_000, chunk_chars: int = 1 << 16):
+        self.fst, self.most, self.chunk_chars = fst, most, chunk_chars
+        self.runs: list[tuple[np.ndarray, np.ndarray]] = []
+        self.feed_resets = "\n" not in fst.edges[0]
+
+    def _of_units(self, units) -> np.ndarray:
+        import pyarrow as pa
+
+        from zplane.llm import shingles as sh
+
+        _, offsets, data = units.buffers()
+        at = np.frombuffer(offsets, np.int64)[units.offset : units.offset + len(units) + 1]
+        raw = np.frombuffer(data, np.uint8)[at[0] : at[-1]] if data is not None else np.zeros(0, np.uint8)
+        at = at - at[0]
+        h = sh.mix(sh.range_hash(sh.prefix_hash(raw), at[:-1], at[1:]) + np.diff(at).astype(np.uint64))
+        if sum(len(r[0]) for r in self.runs) + len(h) > self.most:
+            self.runs = []
+        n = np.full(len(h), -1, np.int32)
+        for keys, count in self.runs:
+            i = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+            hit = keys[i] == h
+            n[hit] = count[i[hit]]
+        new = np.flatnonzero(n < 0)
+        if len(new):
+            n[new] = [self.fst.run_unit(w) for w in units.take(pa.array(new)).to_pylist()]
+            order = new[np.argsort(h[new])]
+            run = h[order], n[order]
+            while self.runs and len(self.runs[-1][0]) <= 2 * len(run[0]):  # runs grow geometrically
+                run = tuple(np.concatenate(c) for c in zip(self.runs.pop(), run))
+                order = np.argsort(run[0], kind="stable")
+                run = tuple(c[order] for c in run)
+            self.runs.append(run)
+        return n
+
+    def __call__(self, texts: list[str]) -> np.ndarray:
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        out = np.zeros(len(texts), np.int64)
+        plain, where = [], []
+        for i, t in enumerate(texts):
+            if not t:
+                continue
+            if BLANK in t:
+                t = t.replace(BLANK, " ")
+            if len(t) > self.chunk_chars or t[0] == " " or t[-1] == " " or "  " in t or (" \n" in t and not self.feed_resets):
+                out[i] = self.fst.count(t, self.chunk_chars)
+            else:
+                # no piece holds a line feed, so it resets the transducer as well and begins a unit of its own
+                plain.append(t.replace("\n", " \n") if self.feed_resets else t)
+                where.append(i)
+        if plain:
+            cut = pc.split_pattern(pa.array(plain, pa.large_string()), " ")
+            coded = cut.flatten().dictionary_encode()
+            n = self._of_units(coded.dictionary)[coded.indices.to_numpy()]
+            out[where] = np.add.reduceat(n.astype(np.int64), cut.offsets.to_numpy()[:-1])
+        return out
+
