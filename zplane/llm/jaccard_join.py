@@ -23,7 +23,7 @@ from zplane.llm import shingles as sh
 from zplane.session import discard, release, ship, stored
 
 #: Width of the count sketch (counts of 4 bytes), and shingles that a block of a component holds.
-SKETCH_BITS, BLOCK_SHINGLES = 22, 300_000
+SKETCH_BITS, BLOCK_SHINGLES = 22, 150_000
 _PARTS = 16
 
 
@@ -42,17 +42,19 @@ def _sketch(docs: DataFrame, k: int) -> np.ndarray:
 
         import pyarrow as pa
 
-        from zplane.llm import shingles as sh
+        from zplane.llm.jaccard_join import _batched_sets
+        from zplane.session import trim, worker_cache
 
+        worker_cache(None)
         total = np.zeros(cells, np.int32)
-        for b in batches:
-            texts = [sh.lowered(t) for t in b.column(0).to_pylist()]
-            for part in sh.in_groups(texts):
-                sets = sh.shingle_sets(texts[part], k)
+        for _, sets in _batched_sets(batches, k, 0):
+            if sets:
                 at, n = np.unique((np.concatenate(sets) >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), return_counts=True)
                 total[at] += n.astype(np.int32)
         blobs = [zlib.compress(total[i * size : (i + 1) * size].tobytes(), 1) for i in range(_PARTS)]
         yield pa.RecordBatch.from_arrays([pa.array(range(_PARTS), pa.int32()), pa.array(blobs, pa.binary())], ["part", "counts"])
+        del total, blobs
+        trim()
 
     def add(batches):
         import zlib
@@ -88,7 +90,7 @@ def _levels(counts: np.ndarray) -> np.ndarray:
 def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> DataFrame:
     """(doc_id, n, sig, need, prefix): set size, digest of the set, l, and the rarest n - ceil(t n) + l shingles.
 
-    l is half the shortest prefix, or all of it where the sketch expects more other holders of the
+    l is a quarter of the shortest prefix, or all of it where the sketch expects more other holders of the
     prefix than it has shingles.
     """
     import zlib
@@ -101,26 +103,27 @@ def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> Data
 
         import pyarrow as pa
 
-        from zplane.llm import shingles as sh
+        from zplane.llm.jaccard_join import _batched_sets
+        from zplane.session import trim, worker_cache
 
+        worker_cache(None)
         level = np.frombuffer(zlib.decompress(sent.value), np.uint8)
-        for b in batches:
-            texts = [sh.lowered(t) for t in b.column(1).to_pylist()]
+        for (ids,), sets in _batched_sets(batches, k, 1):
             n, sig, need, prefix = [], [], [], []
-            for part in sh.in_groups(texts):
-                for s in sh.shingle_sets(texts[part], k):
-                    n.append(len(s))
-                    sig.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
-                    p = len(s) - needed(len(s), percent) + 1 if len(s) else 0
-                    of = level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
-                    order = np.argsort(of, kind="stable")
-                    dear = (np.exp2(of[order[:p]]) - 1).sum() > p
-                    need.append(p if dear else (p + 1) // 2)
-                    prefix.append(s[order[: p + max(need[-1], 1) - 1]].view(np.int64))
+            for s in sets:
+                n.append(len(s))
+                sig.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
+                p = len(s) - needed(len(s), percent) + 1 if len(s) else 0
+                of = level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
+                order = np.argsort(of, kind="stable")
+                dear = (np.exp2(of[order[:p]]) - 1).sum() > p
+                need.append(p if dear else (p + 3) // 4)
+                prefix.append(s[order[: p + max(need[-1], 1) - 1]].view(np.int64))
             lens = np.cumsum([0, *map(len, prefix)])
             flat = np.concatenate([np.zeros(0, np.int64), *prefix])
             lists = pa.ListArray.from_arrays(pa.array(lens, pa.int32()), pa.array(flat, pa.int64()))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(need, pa.int32()), lists], ["doc_id", "n", "sig", "need", "prefix"])
+            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(need, pa.int32()), lists], ["doc_id", "n", "sig", "need", "prefix"])
+        trim()
 
     return docs.mapInArrow(run, "doc_id long, n long, sig binary, need int, prefix array<long>")
 
@@ -233,6 +236,9 @@ def _solve(sets: DataFrame, percent: int) -> DataFrame:
         import pyarrow as pa
 
         from zplane.llm.jaccard_join import LocalJoin
+        from zplane.session import trim, worker_cache
+
+        worker_cache(None)
 
         def links(key, rows):
             first = np.array([r[0] == key[1] for r in rows]) if key[1] != key[2] else None
@@ -250,6 +256,8 @@ def _solve(sets: DataFrame, percent: int) -> DataFrame:
             yield _edges(pa, out)
         if rows:
             yield _edges(pa, links(key, rows))
+        rows.clear()
+        trim()
 
     return sets.mapInArrow(run, "a long, b long")
 
@@ -274,20 +282,25 @@ def jaccard_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     classes = linked.groupBy("sig").agg(F.min("doc_id").alias("rep"))
     members = stored(linked.select("doc_id", "sig").join(classes, "sig").select("doc_id", "rep").distinct(), "members")
     kept = _survivors(linked, classes)
+    sizes = stored(profiles.select("doc_id", "n"), "sizes")
+    discard(spark, profiles)  # the prefixes have done their work
     release(spark)
-    sets = stored(_with_sets(picked.join(kept.hint("shuffle_hash"), "doc_id").select("doc_id", "text"), k), "sets")
+    texts = picked.join(kept.hint("shuffle_hash"), "doc_id").select("doc_id", "text")
+    stars = stored(_stars(texts, k, percent, levels), "stars")
     release(spark)
-    groups = stored(components(stored(_stars(sets, percent, levels), "stars")), "groups").withColumnRenamed("node", "doc_id").withColumnRenamed("root", "grp")
+    groups = stored(components(stars), "groups").withColumnRenamed("node", "doc_id").withColumnRenamed("root", "grp")
+    sized = groups.join(sizes.groupBy("doc_id").agg(F.max("n").alias("n")), "doc_id")
+    total = sized.groupBy("grp").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).cast("int").alias("blocks"))
+    todo = stored(sized.join(total, "grp").select("doc_id", "grp", "blocks"), "todo")
     release(spark)
-    sized = groups.join(sets.select("doc_id", F.length("s").alias("bytes")), "doc_id")
-    total = sized.groupBy("grp").agg(F.ceil(F.sum("bytes") / (8 * BLOCK_SHINGLES)).cast("int").alias("blocks"))
-    todo = sets.join(groups.join(total, "grp").select("doc_id", "grp", "blocks"), "doc_id")
+    # fewer documents are left than had sets made for the stars, so making theirs again beats keeping all
+    todo = _with_sets(picked.join(todo.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "grp", "blocks"), k, ("grp", "blocks"))
     edges = stored(_solve(_spread(todo), percent), "links")
     release(spark)
     # copies of one set are one component, so rows that repeat an id join what their texts join
     both = edges.union(members.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")))
     labels = components(both)
-    out = profiles.select("doc_id", F.col("n").alias("n_shingles")).join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left")
+    out = sizes.select("doc_id", F.col("n").alias("n_shingles")).join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left")
     return out.select("doc_id", "n_shingles", F.coalesce("root", "doc_id").alias("component_id"))
 
 
@@ -334,11 +347,11 @@ def set_keys(s: np.ndarray, level: np.ndarray, percent: int) -> np.ndarray:
     return np.concatenate(keys) if keys else np.zeros(0, np.uint64)
 
 
-def _stars(sets: DataFrame, percent: int, levels: np.ndarray) -> DataFrame:
+def _stars(texts: DataFrame, k: int, percent: int, levels: np.ndarray) -> DataFrame:
     """Edges (a, b) from each set to the smallest id with the same key; a task sends on one id for each key."""
     import zlib
 
-    sent = sets.sparkSession.sparkContext.broadcast(zlib.compress(levels.tobytes(), 1))
+    sent = texts.sparkSession.sparkContext.broadcast(zlib.compress(levels.tobytes(), 1))
 
     def hook(key: np.ndarray, doc: np.ndarray):
         order = np.lexsort((doc, key))
@@ -354,18 +367,18 @@ def _stars(sets: DataFrame, percent: int, levels: np.ndarray) -> DataFrame:
 
         import pyarrow as pa
 
-        from zplane.llm.jaccard_join import set_keys
+        from zplane.llm.jaccard_join import _batched_sets, set_keys
+        from zplane.session import trim, worker_cache
 
+        worker_cache(None)
         level = np.frombuffer(zlib.decompress(sent.value), np.uint8)
-        for b in batches:
-            for lo in range(0, b.num_rows, 2000):
-                part = b.slice(lo, 2000)
-                ids = part.column(0).to_numpy()
-                keys = [set_keys(np.frombuffer(x, np.uint64), level, percent).view(np.int64) for x in part.column(1).to_pylist()]
-                key, doc, links = hook(np.concatenate(keys), np.repeat(ids, [len(x) for x in keys]))
-                n, m = len(key), links.shape[1]
-                a = pa.array(np.concatenate([key, links[0]]))
-                yield pa.RecordBatch.from_arrays([a, pa.array(np.concatenate([doc, links[1]])), pa.array(np.arange(n + m) >= n)], ["key", "doc", "link"])
+        for ids, sets in _batched_sets(batches, k, 1):
+            keys = [set_keys(x, level, percent).view(np.int64) for x in sets]
+            key, doc, links = hook(np.concatenate(keys), np.repeat(ids[0].to_numpy(), [len(x) for x in keys]))
+            n, m = len(key), links.shape[1]
+            a = pa.array(np.concatenate([key, links[0]]))
+            yield pa.RecordBatch.from_arrays([a, pa.array(np.concatenate([doc, links[1]])), pa.array(np.arange(n + m) >= n)], ["key", "doc", "link"])
+        trim()
 
     def merge(batches):
         import pyarrow as pa
@@ -380,23 +393,42 @@ def _stars(sets: DataFrame, percent: int, levels: np.ndarray) -> DataFrame:
             _, _, links = hook(np.concatenate(keys), np.concatenate(docs))
             yield pa.RecordBatch.from_arrays([pa.array(links[0]), pa.array(links[1])], ["a", "b"])
 
-    rows = sets.mapInArrow(local, "key long, doc long, link boolean")
+    rows = texts.mapInArrow(local, "key long, doc long, link boolean")
     return rows.repartition("key").mapInArrow(merge, "a long, b long")
 
 
-def _with_sets(texts: DataFrame, k: int) -> DataFrame:
+def _batched_sets(batches, k: int, text: int):
+    """(other columns, shingle sets) of slices of about 2 MB of text (column number `text`)."""
+    import pyarrow.compute as pc
+
+    for b in batches:
+        size = np.cumsum(pc.fill_null(pc.binary_length(b.column(text)), 0).to_numpy())
+        lo = 0
+        while lo < b.num_rows:
+            before = int(size[lo - 1]) if lo else 0
+            hi = max(lo + 1, int(np.searchsorted(size, before + (1 << 21), side="right")))
+            texts = [sh.lowered(t) for t in b.column(text).slice(lo, hi - lo).to_pylist()]
+            sets = [s for part in sh.in_groups(texts) for s in sh.shingle_sets(texts[part], k)]
+            yield [c.slice(lo, hi - lo) for i, c in enumerate(b.columns) if i != text], sets
+            lo = hi
+
+
+def _with_sets(texts: DataFrame, k: int, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, s, keep..) of rows (doc_id, text, keep..)."""
+
     def run(batches):
         import pyarrow as pa
 
-        from zplane.llm import shingles as sh
+        from zplane.llm.jaccard_join import _batched_sets
+        from zplane.session import trim, worker_cache
 
-        for b in batches:
-            texts = [sh.lowered(t) for t in b.column(1).to_pylist()]
-            for part in sh.in_groups(texts):
-                sets = [s.tobytes() for s in sh.shingle_sets(texts[part], k)]
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(part.start, part.stop - part.start), pa.array(sets, pa.binary())], ["doc_id", "s"])
+        worker_cache(None)
+        for (doc, *kept), sets in _batched_sets(batches, k, 1):
+            yield pa.RecordBatch.from_arrays([doc, pa.array([s.tobytes() for s in sets], pa.binary()), *kept], ["doc_id", "s", *keep])
+        trim()
 
-    return texts.mapInArrow(run, "doc_id long, s binary")
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in texts.schema.fields if f.name in keep)
+    return texts.mapInArrow(run, "doc_id long, s binary" + (", " + kinds if keep else ""))
 
 
 def _spread(sets: DataFrame) -> DataFrame:

@@ -13,7 +13,6 @@ two, so nothing is padded.
 from __future__ import annotations
 
 import re
-from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -159,11 +158,6 @@ class WordEncoder:
         return np.concatenate(docs), np.cumsum([0, *map(len, docs)])
 
 
-@lru_cache(maxsize=2)
-def word_encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
-
-
 class Schedule:
     """Where the tokens of each source's queue lie in the packed stream.
 
@@ -270,9 +264,10 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, rates: dict | None =
     def encode(batches):
         import pyarrow as pa
 
-        from zplane.llm.packing import word_encoder
+        from zplane.llm.packing import WordEncoder
+        from zplane.session import worker_cache
 
-        enc = word_encoder(tokenizer)
+        enc = worker_cache(("words", tokenizer), lambda: WordEncoder(tokenizer))
         for b in batches:
             for part in _slices(b):
                 flat, begins = enc(part.column(2).to_pylist())

@@ -46,7 +46,9 @@ def score_toxicity(docs: DataFrame, model, id_col: str = "doc_id", text_col: str
         import pyarrow as pa
 
         from zplane.llm import gru_model as g
+        from zplane.session import trim, worker_cache
 
+        worker_cache(None)
         scorer = g.Scorer(sent.value) if sent.value else None
         for b in batches:
             for lo in range(0, b.num_rows, 250):
@@ -59,6 +61,8 @@ def score_toxicity(docs: DataFrame, model, id_col: str = "doc_id", text_col: str
                     [part.column(0), part.column(1), pa.array(score), pa.array((score >= 0.5).astype(np.int32)), pa.array([len(g.spans(len(w))) for w in words], pa.int32()), pa.array(first, pa.int32())],
                     ["doc_id", "held_out", "score", "predicted", "windows", "worst_window"],
                 )
+        scorer = None
+        trim()
 
     picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(id_col).alias("held_out"), F.col(text_col).cast("string").alias("text"))
     return picked.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int, windows int, worst_window int")
@@ -75,7 +79,9 @@ def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
         import pyarrow as pa
 
         from zplane.llm import gru_model as g
+        from zplane.session import trim, worker_cache
 
+        worker_cache(None)
         scorer = g.Scorer(sent.value) if sent.value else None
         for b in batches:
             for lo in range(0, b.num_rows, 250):
@@ -84,5 +90,7 @@ def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
                     logit, where = scorer.logits([g.text_words(t) for t in part.column(at).to_pylist()])
                     part = part.filter(pa.array((where < 0) | (scorer.model.score_of(logit) < 0.5)))
                 yield part
+        scorer = None
+        trim()
 
     return docs.mapInArrow(run, docs.schema)
