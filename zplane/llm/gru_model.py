@@ -203,7 +203,7 @@ def index_windows(windows: list[list[str]]) -> tuple[list[str], np.ndarray]:
 class Scorer:
     """Scores whole texts; gate inputs of word types are kept in a table of bounded size."""
 
-    def __init__(self, model: Model, most: int = 150_000, at_once: int = 6000):
+    def __init__(self, model: Model, most: int = 150_000, at_once: int = 3000):
         self.model, self.most, self.at_once = model, most, at_once
         self._reset()
 
