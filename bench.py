@@ -48,7 +48,6 @@ def main() -> None:
         "knn_reduce_unif_k16": lambda: noop(knn.knn_reduce(ps.points(spark, sf_dir, "ps_unif"), 16, ps.cols("ps_unif"), "w")),
         "knn_line_k16": run_knn("ps_line", 16),
         "base_kdtree_unif_k16": lambda: noop(baselines.knn_kdtree_broadcast(ps.points(spark, sf_dir, "ps_customer"), 16, ps.cols("ps_customer"))),
-        "base_grid_unif_k16": lambda: noop(baselines.knn_grid(ps.points(spark, sf_dir, "ps_unif"), 16, ps.cols("ps_unif"))),
         "link_clump_catalogue": run_link("ps_clump", 0.004),
         "link_clump_periodic_catalogue": run_link("ps_clump", 0.004, box=[1.0, 1.0, 1.0]),
         "base_link_grid_clump": lambda: noop(baselines.link_grid(ps.points(spark, sf_dir, "ps_clump"), ps.cols("ps_clump"), 0.004)),
