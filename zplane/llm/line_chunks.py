@@ -3,7 +3,8 @@
 Every line has a hash; a line ends a chunk if a rolling hash of it and the line before says so (one in
 CUT), which depends on content alone, so the same passage is cut the same way wherever it stands. Chunks
 of two lines and more that occur elsewhere too are removed except at their first place. Equality is
-decided by bytes: hashes only choose the candidates, and candidates are grouped by their text.
+decided by bytes: hashes only choose the candidates, and candidates are grouped by their text. Lines that
+share a chunk with foreign lines stay, as do chunks of one line; line_passages removes every repeated run.
 """
 
 from __future__ import annotations

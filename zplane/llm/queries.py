@@ -67,6 +67,12 @@ def op8_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_report(_table(spark, sf_dir, "documents"))
 
 
+def op8_line_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from zplane.llm.line_passages import passage_report
+
+    return passage_report(_table(spark, sf_dir, "documents"))
+
+
 def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zplane.llm.jaccard_join import jaccard_components
 
@@ -87,7 +93,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op6_license_scan, op7_prefix_free_dedup, op8_line_chunks, op9_jaccard_join, op10_curriculum_mix, pipeline)}
+    return {f.__name__: f for f in (op1_token_counts, op2_toxicity, op3_mixture_packing, op4_flac_media, op5_voronoi_topk, op6_license_scan, op7_prefix_free_dedup, op8_line_chunks, op8_line_passages, op9_jaccard_join, op10_curriculum_mix, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
