@@ -2,6 +2,7 @@
 
 import random
 
+import corpus_pipeline
 from zplane.llm.line_passages import drop_repeated_passages, passage_report
 
 
@@ -54,3 +55,19 @@ def test_passages_of_odd_rows(spark):
     got = sorted(((r.doc_id, r.text) for r in drop_repeated_passages(df).collect()), key=repr)
     assert got == sorted([(None, p), (5, ""), (5, ""), (5, "other"), (6, None), (7, ""), (8, "\n\n"), (9, "own\n\nend")], key=repr)
     assert drop_repeated_passages(df.limit(0)).count() == 0
+
+
+def test_line_dedup_takes_planted_passages(spark):
+    rng = random.Random(5)
+    long, two, three = _lines(rng, 1, 50, 50), _lines(rng, 2, 30, 30), _lines(rng, 3, 20, 20)
+    short = _lines(rng, 1, 49, 49)  # a single line that is no passage
+    docs = []
+    for i in range(60):
+        p = (long, two, three, short)[i % 4]
+        docs.append((i, "\n".join(_lines(rng, rng.randint(1, 4)) + p + _lines(rng, rng.randint(1, 4)))))
+    df = spark.createDataFrame(docs, "doc_id long, text string").selectExpr("*", "CAST(length(text) AS BIGINT) AS n_chars")
+    out = {r.doc_id: r for r in dict(corpus_pipeline.STAGES)["line_dedup"](spark, df, "").collect()}
+    assert {i: r.text.split("\n") for i, r in out.items()} == dict(enumerate(brute(docs, long=50)))
+    for i, r in out.items():
+        p, left = (long, two, three, short)[i % 4], r.text.split("\n")
+        assert sum(s in left for s in p) == (len(p) if i < 4 or p is short else 0) and r.n_chars == len(r.text)
