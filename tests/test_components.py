@@ -35,3 +35,13 @@ def test_components_equal_union_find(spark, local):
 
 def test_no_edges(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_link_by_knn_joins_sites_beyond_its_lists(spark):
+    from zplane.operators.baselines import link_by_knn
+
+    sites = [(0.0, 40), (0.5, 40), (9.0, 30), (20.0, 1), (9.4, 1)]  # 40 copies of a place fill every list of 8
+    rows = [(i, x) for i, x in enumerate(x for x, n in sites for _ in range(n))]
+    df = spark.createDataFrame(rows, "id long, x double").repartition(3)
+    got = {r.id: r.group_id for r in link_by_knn(df, ["x"], 1.0, k=4, most=8).collect()}
+    assert got == {i: 0 if x < 1 else 80 if x < 10 else 110 for i, x in rows}

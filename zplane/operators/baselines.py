@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from zplane.components import components, union_find
 from zplane.functions.bounds import dist2
 from zplane.operators.knn import knn, knn_probe, joint_tree, squared
+from zplane.operators.linking import MARK, link_edges
 from zplane.plans.planes import Options
 from zplane.session import ship, stored
 
@@ -239,14 +240,23 @@ def link_grid(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id",
 
 
 def link_by_knn(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id", k: int = 8, most: int = 4096) -> DataFrame:
-    """Linking by repeated neighbour graphs: k doubles until no list is full of points within the linking length."""
+    """Linking by repeated neighbour graphs: k doubles until no list is full of points within the linking length.
+
+    At `most` neighbours doubling ends: a link that no list holds lies between two points with full lists, and these
+    points alone are linked by the walk's spanning edges, so their number is not bounded by a list.
+    """
     n = df.count()
     rows = df.select(F.col(id_col).cast("long").alias("id"), *(F.col(c).alias(c) for c in cols))
     while True:
         near = stored(knn(rows, min(k, n), cols).where(F.col("dist") <= r_link), "near")
         full = near.groupBy("qid").agg(F.count("*").alias("n")).where(F.col("n") >= k)
-        if k >= min(n, most) or full.isEmpty():
+        if k >= n or full.isEmpty():
+            edges = near.select(F.col("qid").alias("a"), F.col("sid").alias("b"))
+            break
+        if k >= most:
+            dense = stored(rows.join(full.select(F.col("qid").alias("id")), "id", "left_semi"), "dense")
+            edges = stored(near.select(F.col("qid").alias("a"), F.col("sid").alias("b")).union(link_edges(dense, cols, r_link)[0].select("a", "b")), "edges")
             break
         k *= 2
-    roots = components(near, "qid", "sid")
+    roots = components(edges).where(F.col("node") < MARK)
     return rows.select("id").join(roots.withColumnRenamed("node", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("group_id"))
