@@ -48,6 +48,13 @@ def test_top_k_with_ties_nulls_and_repeats(spark, monkeypatch):
     assert top_k(df.limit(0), df, 3).count() == 0 and top_k(df, df.limit(0), 3).count() == 0
 
 
+def test_top_k_beyond_many_own_rows(spark):
+    rows = [(0, [-1.0, 0.0])] * 20 + [(i, [-0.5 + i / 64, 0.0]) for i in range(1, 31)]  # 20 rows of the query's id, nearest of all
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = _rows(top_k(df, df.where("vec_id = 0"), 10), "rank", "vec_id")
+    assert got == sorted(((i, i) for i in range(1, 11)), key=repr)
+
+
 def _near_texts(seed, n=160):
     rng = random.Random(seed)
     words = [f"w{i}" for i in range(400)]

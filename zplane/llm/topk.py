@@ -62,8 +62,11 @@ def _assigned(rows: DataFrame, pivots: np.ndarray) -> DataFrame:
     return rows.mapInArrow(run, "id long, v binary, cell int, far double")
 
 
-def _bounds(q_pivots, q_cells, d_pivots, d_cells, k: int) -> dict[int, list[int]]:
-    """For each data cell, the query cells that need it. Cells: {cell: (rows, radius)}; at most pivots squared."""
+def _bounds(q_pivots, q_cells, d_pivots, d_cells, k: int, own: int) -> dict[int, list[int]]:
+    """For each data cell, the query cells that need it. Cells: {cell: (rows, radius)}; at most pivots squared.
+
+    own: rows that share a query's id at most, which are counted in the cells but are no candidates.
+    """
     need: dict[int, list[int]] = {j: [] for j in d_cells}
     js = sorted(d_cells)
     c = d_pivots[js]
@@ -75,7 +78,7 @@ def _bounds(q_pivots, q_cells, d_pivots, d_cells, k: int) -> dict[int, list[int]
         slack = slack * (1 + 1e-9) + 1e-6
         low, up = mid - slack, mid + slack
         order = np.argsort(-low, kind="stable")
-        enough = np.flatnonzero(np.cumsum(rows[order]) >= k + 1)
+        enough = np.flatnonzero(np.cumsum(rows[order]) >= k + own)
         least = low[order[enough[0]]] if len(enough) else -np.inf
         for j in np.flatnonzero(up >= least).tolist():
             need[js[j]].append(i)
@@ -107,7 +110,8 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "ve
     d_rows, q_rows = stored(_assigned(data, d_pivots), "vectors"), stored(_assigned(ask, q_pivots), "queries")
     summary = lambda t: {r["cell"]: (r["n"], r["radius"]) for r in t.groupBy("cell").agg(F.count("*").alias("n"), F.max("far").alias("radius")).collect()}  # noqa: E731  a row for each pivot
     d_cells, q_cells = summary(d_rows), summary(q_rows)
-    need = _bounds(q_pivots, q_cells, d_pivots, d_cells, k)
+    own = d_rows.groupBy("id").agg(F.count("*").alias("n")).join(q_rows.select("id"), "id", "left_semi").agg(F.max("n")).first()[0] or 0
+    need = _bounds(q_pivots, q_cells, d_pivots, d_cells, k, own)
 
     blocks = {i: -(-sum(d_cells[j][0] for j, to in need.items() if i in to) // BLOCK_ROWS) for i in q_cells}
     parts = {i: -(-q_cells[i][0] // (4 * GROUP_QUERIES)) for i in q_cells}
