@@ -4,10 +4,11 @@ A rolling hash of every K bytes picks triggers: in each window of LENGTH bytes t
 hash. The windows that share a trigger make one phrase (their run, with the bytes that the last one
 reaches), so every window of LENGTH bytes lies in exactly one phrase, and equal windows lie at the same
 offset from equal triggers. The distinct phrases are the dictionary, the phrases in document order the
-parse. Of equal phrases only the first in the parse can hold new windows. Where a trigger has several
-phrases, the suffixes of these dictionary entries are sorted to find equal windows, and the place of each
-entry in the parse tells which one comes first. A trigger with very many phrases would gather in one
-task; its windows are dealt out by their own hashes instead.
+parse. Of equal phrases only the first in the parse can hold new windows. No suffix array of dictionary or
+parse is built: where a trigger has several phrases, the hashes of their windows of LENGTH bytes are sorted,
+since only repeats of that length matter here, and the place of each phrase in the parse tells which one
+comes first. A trigger with very many phrases would gather in one task; its windows are dealt out by their
+own hashes instead.
 """
 
 from __future__ import annotations
