@@ -225,3 +225,12 @@ def test_hilbert_neighbours_are_adjacent():
     g = np.array([(i, j) for i in range(8) for j in range(8)])
     order = g[np.argsort(zkey.hilbert_index(g, 3))]
     assert (np.abs(np.diff(order, axis=0)).sum(1) == 1).all()
+
+
+def test_every_option_is_read():
+    import dataclasses
+    import pathlib
+    import re
+
+    code = "".join(p.read_text() for p in pathlib.Path(planes.__file__).parents[1].rglob("*.py"))
+    assert all(re.search(rf"\w\.{f.name}\b", code) for f in dataclasses.fields(Options))

@@ -32,12 +32,11 @@ class Options:
     n_target: int = 64
     domain_rows: int = 150_000
     f_max: float | None = None
-    ngr: int = 32
     schedule: list[int] = field(default_factory=list)
 
 
 def paper_options() -> Options:
-    return Options(n_max0=48, c=8, n_target=1000, ngr=32, f_max=50.0)
+    return Options(n_max0=48, c=8, n_target=1000, f_max=50.0)
 
 
 def estimate_nodes(n: int, n_max: int) -> float:
