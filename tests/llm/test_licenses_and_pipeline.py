@@ -57,3 +57,11 @@ def test_run_survives_missing_texts(spark, sf, tmp_path):
     docs.write.parquet(str(tmp_path / "documents.parquet"))
     spark.createDataFrame([(1, 0, 1)], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
     assert {r.doc_id for r in corpus_pipeline.run(spark, str(tmp_path)).collect()} <= {None, 3}
+
+
+def test_near_copies_of_repeated_ids(spark):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(40)) for x in "abc")
+    rows = [(1, a), (2, a), (2, b), (2, b), (3, c), (3, a), (4, c + " more"), (5, None), (5, ""), (None, a)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = [(r.doc_id, r.text) for r in dict(corpus_pipeline.STAGES)["near_copies"](spark, docs, "").collect()]
+    assert sorted(got, key=repr) == sorted([(1, a), (2, b), (3, c), (5, None), (5, ""), (None, a)], key=repr)
