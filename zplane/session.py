@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -23,10 +24,13 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or our own if that is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or on one machine our own if that is unset."""
     known = spark.conf.get("spark.checkpoint.dir", None)
     if known:
         return known.rstrip("/")
+    master = spark.sparkContext.master
+    if not re.fullmatch(r"local(\[[^-\]]*\])?", master):
+        raise ValueError(f"set spark.checkpoint.dir to a folder that driver and executors of {master} share")
     own = "/tmp/zplane-checkpoints"
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(own)
@@ -57,6 +61,12 @@ def discard(spark: SparkSession, df: DataFrame) -> None:
             path.getFileSystem(conf).delete(path, True)
 
 
+def estimated_bytes(df: DataFrame) -> int:
+    """What Spark's optimiser expects df to hold (files as stored); a table of unknown size counts 128 MB for each partition."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return size if size < 1 << 60 else df.rdd.getNumPartitions() << 27
+
+
 def release(spark: SparkSession) -> None:
     """Let the driver drop what it no longer refers to, so that Spark deletes finished shuffles' files.
 
