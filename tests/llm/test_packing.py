@@ -84,3 +84,14 @@ def test_edges(spark):
     twice = pack(docs.union(docs), PATH, rates={"a": 3, "b": 1}).collect()
     assert sum(r.length for r in twice) == 2 * sum(r.length for r in pack(docs, PATH).collect())
     assert pack(docs.limit(0), PATH).count() == 0
+
+
+def test_words_with_one_polynomial_hash_are_kept_apart():
+    e, t = WordEncoder(PATH), Tokenizer.from_file(PATH)
+    for a, b in ("t", "h"), ("e", "q"):
+        word = a
+        while len(word) < 1024:
+            word += word.translate(str.maketrans(a + b, b + a))
+        other = word.translate(str.maketrans(a + b, b + a))
+        for text in (word, other, f"x {word}, {other}"):
+            assert e([text])[0].tolist() == t.encode(text, add_special_tokens=False).ids

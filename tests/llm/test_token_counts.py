@@ -55,3 +55,16 @@ def test_whole_table_and_edges(spark, sf):
     odd = spark.createDataFrame([(1, None, 5), (None, "x", 5), (1, None, 5)], "doc_id long, text string, n_tokens int")
     assert sorted((r.doc_id or 0, r.n_bytes, r.n_tokens) for r in count_tokens(odd, PATH).collect()) == [(0, 1, 1), (1, 0, 0), (1, 0, 0)]
     assert count_tokens(odd.limit(0), PATH).count() == 0
+
+
+def test_words_with_one_polynomial_hash_are_kept_apart():
+    from zplane.llm.token_fst import UnitCounts
+
+    counts = UnitCounts(compile_model(PATH))
+    for a, b in ("t", "h"), ("a", "1"), ("e", "q"):
+        word = a
+        while len(word) < 1024:
+            word += word.translate(str.maketrans(a + b, b + a))
+        other = word.translate(str.maketrans(a + b, b + a))
+        texts = [word, other, f"x {word} y", f"x {other} y"]
+        assert [int(counts([t])[0]) for t in texts] == _lib(texts) == counts(texts).tolist()

@@ -18,7 +18,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zplane.llm import shingles as sh
+from zplane.llm.unit_table import UnitTable
 from zplane.session import checkpoint, ship
 
 LENGTH, BLOCK = 4096, 256
@@ -33,9 +33,8 @@ _SIMPLE, _PARTS = re.compile(f"[{_LETTERS}{_MARKS}]+"), re.compile(f"[{_LETTERS}
 class WordEncoder:
     """Ids of whole texts by a tokenizers file whose pieces never cross blanks, each blank-separated chunk encoded once.
 
-    Chunks are made distinct in Arrow. What is known of a chunk (its 64-bit hash mixed with its length,
-    and where its ids lie in a pool) is kept in sorted arrays of about 20 bytes for each chunk, `most` of
-    them. New chunks of Latin-1 letters and ASCII marks are cut into words, many of which are encoded in one
+    Chunks are made distinct in Arrow. What is known of a chunk (its bytes, and where its ids lie in a pool)
+    is kept for `most` of them, in a table that compares bytes. New chunks of Latin-1 letters and ASCII marks are cut into words, many of which are encoded in one
     call and parted at word-end pieces; any other new chunk is encoded by itself. A text that holds a
     special token's string goes to the library whole.
     """
@@ -56,7 +55,7 @@ class WordEncoder:
         self._reset()
 
     def _reset(self) -> None:
-        self.runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # (hash, start, ids) sorted by hash
+        self.table, self.starts = UnitTable(), np.zeros(1 << 16, np.int32)  # where the ids of each slot begin, and the end
         self.pool, self.used = np.zeros(1 << 20, self.kind), 0
 
     def _one(self, chunk: str) -> np.ndarray:
@@ -92,43 +91,31 @@ class WordEncoder:
             got[c] = b"".join([got[w] for w in parts])
         return [got[c] for c in new]
 
-    def _add(self, h: np.ndarray, packed: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    def _add(self, slots: np.ndarray, packed: list[bytes]) -> None:
         ids = np.frombuffer(b"".join(packed), self.kind)
         n = np.fromiter(map(len, packed), np.int32, len(packed)) // self.kind.itemsize
         while self.used + len(ids) > len(self.pool):
             self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
         self.pool[self.used : self.used + len(ids)] = ids
-        start = self.used + np.cumsum(n, dtype=np.int64) - n
+        while len(self.starts) <= len(self.table):
+            self.starts = np.concatenate([self.starts, np.zeros_like(self.starts)])
+        self.starts[slots + 1] = self.used + np.cumsum(n)
         self.used += len(ids)
-        order = np.argsort(h)
-        run = h[order], start[order].astype(np.int32), n[order].astype(np.int32)
-        while self.runs and len(self.runs[-1][0]) <= 2 * len(run[0]):  # runs grow geometrically
-            run = tuple(np.concatenate(c) for c in zip(self.runs.pop(), run))
-            order = np.argsort(run[0], kind="stable")
-            run = tuple(c[order] for c in run)
-        self.runs.append(run)
-        return start, n
 
     def _chunks(self, chunks) -> tuple[np.ndarray, np.ndarray]:
         """(start in the pool, ids) of distinct chunks (an Arrow array of large strings)."""
         import pyarrow as pa
 
-        _, offsets, data = chunks.buffers()
-        at = np.frombuffer(offsets, np.int64)[chunks.offset : chunks.offset + len(chunks) + 1]
-        raw = np.frombuffer(data, np.uint8)[at[0] : at[-1]] if data is not None else np.zeros(0, np.uint8)
-        at = at - at[0]
-        h = sh.mix(sh.range_hash(sh.prefix_hash(raw), at[:-1], at[1:]) + np.diff(at).astype(np.uint64))
-        if sum(len(r[0]) for r in self.runs) + len(h) > self.most:
+        if len(self.table) + len(chunks) > self.most or self.used > 1 << 30:
             self._reset()
-        start, n = np.full(len(h), -1, np.int64), np.zeros(len(h), np.int64)
-        for keys, where, count in self.runs:
-            i = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
-            hit = keys[i] == h
-            start[hit], n[hit] = where[i[hit]], count[i[hit]]
-        new = np.flatnonzero(start < 0)
+        slot, h = self.table.find(chunks)
+        new = np.flatnonzero(slot < 0)
         if len(new):
-            start[new], n[new] = self._add(h[new], self._learn(chunks.take(pa.array(new)).to_pylist()))
-        return start, n
+            some = chunks.take(pa.array(new))
+            slot[new] = self.table.add(some, h[new])
+            self._add(slot[new], self._learn(some.to_pylist()))
+        start = self.starts[slot].astype(np.int64)
+        return start, self.starts[slot + 1] - start
 
     def __call__(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts one after the other, where each text's ids begin and the end)."""

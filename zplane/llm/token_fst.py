@@ -24,6 +24,8 @@ from typing import NamedTuple
 
 import numpy as np
 
+from zplane.llm.unit_table import UnitTable
+
 BLANK = "▁"
 _UNITS = re.compile(r"( +)([^ ]*)")
 
@@ -303,41 +305,32 @@ compile_model = lru_cache(maxsize=1)(load_model)
 class UnitCounts:
     """Token counts of many texts at once. Units (a blank mark and a word) start from the reset state, so
     the chunk map of each is one number: distinct units of a batch are found in Arrow, those not met before
-    go through the transducer, and their counts stay in sorted arrays of 12 bytes for each (`most` of them).
+    go through the transducer, and their counts stay in a table (`most` of them) that compares their bytes.
     Texts with runs of blanks, or longer than a chunk, are counted by composing chunk maps."""
 
     def __init__(self, fst: Transducer, most: int = 4_000_000, chunk_chars: int = 1 << 16):
         self.fst, self.most, self.chunk_chars = fst, most, chunk_chars
-        self.runs: list[tuple[np.ndarray, np.ndarray]] = []
         self.feed_resets = "\n" not in fst.edges[0]
+        self._reset()
+
+    def _reset(self) -> None:
+        self.table, self.known = UnitTable(), np.zeros(1 << 16, np.int32)
 
     def _of_units(self, units) -> np.ndarray:
         import pyarrow as pa
 
-        from zplane.llm import shingles as sh
-
-        _, offsets, data = units.buffers()
-        at = np.frombuffer(offsets, np.int64)[units.offset : units.offset + len(units) + 1]
-        raw = np.frombuffer(data, np.uint8)[at[0] : at[-1]] if data is not None else np.zeros(0, np.uint8)
-        at = at - at[0]
-        h = sh.mix(sh.range_hash(sh.prefix_hash(raw), at[:-1], at[1:]) + np.diff(at).astype(np.uint64))
-        if sum(len(r[0]) for r in self.runs) + len(h) > self.most:
-            self.runs = []
-        n = np.full(len(h), -1, np.int32)
-        for keys, count in self.runs:
-            i = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
-            hit = keys[i] == h
-            n[hit] = count[i[hit]]
-        new = np.flatnonzero(n < 0)
+        if len(self.table) + len(units) > self.most:
+            self._reset()
+        slot, h = self.table.find(units)
+        n = np.where(slot >= 0, self.known[slot], -1)
+        new = np.flatnonzero(slot < 0)
         if len(new):
-            n[new] = [self.fst.run_unit(w) for w in units.take(pa.array(new)).to_pylist()]
-            order = new[np.argsort(h[new])]
-            run = h[order], n[order]
-            while self.runs and len(self.runs[-1][0]) <= 2 * len(run[0]):  # runs grow geometrically
-                run = tuple(np.concatenate(c) for c in zip(self.runs.pop(), run))
-                order = np.argsort(run[0], kind="stable")
-                run = tuple(c[order] for c in run)
-            self.runs.append(run)
+            some = units.take(pa.array(new))
+            n[new] = [self.fst.run_unit(w) for w in some.to_pylist()]
+            at = self.table.add(some, h[new])
+            while len(self.known) < len(self.table):
+                self.known = np.concatenate([self.known, np.zeros_like(self.known)])
+            self.known[at] = n[new]
         return n
 
     def __call__(self, texts: list[str]) -> np.ndarray:
