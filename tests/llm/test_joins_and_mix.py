@@ -201,3 +201,31 @@ def test_line_chunks_shift_and_edges(spark):
     assert inside < 0.35 * 30 * 13 and all(p in kept[0].split("\n") for p in passage)
     assert kept[100] is None and kept[101] == "" and drop_repeated_chunks(docs).count() == len(rows)
     assert drop_repeated_chunks(docs.limit(0)).count() == 0
+
+
+def test_words_with_one_polynomial_hash_are_kept_apart(spark):
+    word = "t"
+    while len(word) < 1024:
+        word += word.translate(str.maketrans("th", "ht"))
+    other = word.translate(str.maketrans("th", "ht"))
+    df = spark.createDataFrame([(1, word), (2, other), (3, f"a {word} b"), (4, f"a {other} b"), (5, word)], "doc_id long, text string")
+    assert _rows(jaccard_components(df, 3, 90), "doc_id", "component_id") == [(1, 1), (2, 2), (3, 3), (4, 4), (5, 1)]
+
+
+def test_one_giant_component(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "BLOCK_SHINGLES", 2000)
+    monkeypatch.setattr(jaccard_join, "CROWD", 30)
+    rng = random.Random(9)
+    words = [f"w{i}" for i in range(500)]
+    base = [rng.choice(words) for _ in range(100)]
+    rows = []
+    for i in range(300):  # a chain of near copies and, every third, copies of the base with little change
+        w = list(base)
+        for _ in range(rng.choice([0, 1, 2, 6])):
+            w[rng.randrange(len(w))] = rng.choice(words)
+        rows.append((1000 - i, " ".join(w)))
+        if i % 3 == 0:
+            base[rng.randrange(len(base))] = rng.choice(words)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_components(df, 3, 80).collect()}
+    assert got == _brute_components(rows, 3, 80)

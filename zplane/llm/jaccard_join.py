@@ -1,13 +1,19 @@
 """Exact similarity join of shingle sets with adaptive multi-match prefixes.
 
 Equal sets collapse first. Shingles get a global order, rare ones first, from a count sketch of fixed
-size over all documents. Two sets whose Jaccard similarity reaches the threshold share a shingle within
-their prefixes of n - ceil(t n) + 1 shingles, so all links lie inside the components of the graph that
-ties every document to the smallest document with the same prefix shingle: a star for each shingle, never
-all pairs. The sets of one component are brought together, in blocks of bounded size where the component
-is large, and each pair of blocks is solved in memory: every document lengthens its prefix to l more
-shingles where the estimated cost of candidates falls, and a pair is verified only if the prefixes share
-min(l, l') of them. Pairs that are connected already are not verified again, which loses no component.
+size over all documents. Every document lengthens its prefix of n - ceil(t n) + 1 shingles to l - 1 more,
+with l chosen by the cost that the sketch expects, and goes on only if it shares as many prefix shingles
+as it or a holder of one of them asks for. Two sets that reach the threshold then have a key in common (two
+neighbouring prefix shingles, see set_keys), so all links lie inside the components of the graph that ties
+the holders of each key. Documents are dealt out by their least shingle before keys are made, so most near
+copies meet in one task and send each key once; every task contracts what it ties, and no pairs are listed.
+
+The sets of one component are brought together. Components of more than one block first get hubs: each set
+is compared with its component's hub, which ties large groups of near copies in linear time, and pairs of
+blocks of one class that is tied already are left out. Each other pair of blocks is solved in memory: every
+document lengthens its prefix to l more shingles where the estimated cost of candidates falls, and a pair
+is verified only if the prefixes share min(l, l') of them. Pairs that are connected already are not
+verified again, which loses no component.
 """
 
 from __future__ import annotations
@@ -18,12 +24,13 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zplane.components import components
+from zplane.components import components, union_find
 from zplane.llm import shingles as sh
 from zplane.session import discard, release, ship, stored
 
-#: Width of the count sketch (counts of 4 bytes), and shingles that a block of a component holds.
-SKETCH_BITS, BLOCK_SHINGLES = 22, 150_000
+#: Width of the count sketch (counts of 4 bytes), shingles that a block of a component holds, documents of one
+#: least shingle (or one hub) that a task takes, and rounds of hubs.
+SKETCH_BITS, BLOCK_SHINGLES, CROWD, HUB_ROUNDS = 22, 150_000, 4000, 2
 _PARTS = 16
 
 
@@ -88,7 +95,7 @@ def _levels(counts: np.ndarray) -> np.ndarray:
 
 
 def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> DataFrame:
-    """(doc_id, n, sig, need, prefix): set size, digest of the set, l, and the rarest n - ceil(t n) + l shingles.
+    """(doc_id, n, sig, least, need, prefix): set size, digest of the set, its least shingle, l, and the rarest n - ceil(t n) + l shingles.
 
     l is a quarter of the shortest prefix, or all of it where the sketch expects more other holders of the
     prefix than it has shingles.
@@ -109,9 +116,10 @@ def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> Data
         worker_cache(None)
         level = np.frombuffer(zlib.decompress(sent.value), np.uint8)
         for (ids,), sets in _batched_sets(batches, k, 1):
-            n, sig, need, prefix = [], [], [], []
+            n, sig, least, need, prefix = [], [], [], [], []
             for s in sets:
                 n.append(len(s))
+                least.append(int(s[:1].view(np.int64).sum()))
                 sig.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
                 p = len(s) - needed(len(s), percent) + 1 if len(s) else 0
                 of = level[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
@@ -122,10 +130,10 @@ def _profiles(docs: DataFrame, k: int, percent: int, levels: np.ndarray) -> Data
             lens = np.cumsum([0, *map(len, prefix)])
             flat = np.concatenate([np.zeros(0, np.int64), *prefix])
             lists = pa.ListArray.from_arrays(pa.array(lens, pa.int32()), pa.array(flat, pa.int64()))
-            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(need, pa.int32()), lists], ["doc_id", "n", "sig", "need", "prefix"])
+            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(least, pa.int64()), pa.array(need, pa.int32()), lists], ["doc_id", "n", "sig", "least", "need", "prefix"])
         trim()
 
-    return docs.mapInArrow(run, "doc_id long, n long, sig binary, need int, prefix array<long>")
+    return docs.mapInArrow(run, "doc_id long, n long, sig binary, least long, need int, prefix array<long>")
 
 
 def _with_partners(entries: DataFrame) -> DataFrame:
@@ -138,13 +146,17 @@ def _with_partners(entries: DataFrame) -> DataFrame:
 
 
 class LocalJoin:
-    """Links between sets in memory, as spanning edges; `first` marks the sets of the first block."""
+    """Links between sets in memory, as spanning edges; `first` marks the sets of the first block, `classes`
+    names what is connected already."""
 
-    def __init__(self, ids: list[int], sets: list[np.ndarray], percent: int, first: np.ndarray | None = None):
+    def __init__(self, ids: list[int], sets: list[np.ndarray], percent: int, first: np.ndarray | None = None, classes: list[int] | None = None):
         order = sorted(range(len(ids)), key=lambda i: (len(sets[i]), ids[i]))
         self.ids, self.sets, self.percent = [ids[i] for i in order], [sets[i] for i in order], percent
         self.first = None if first is None else first[order]
         self.parent = list(range(len(ids)))
+        if classes is not None:
+            head: dict[int, int] = {}
+            self.parent = [head.setdefault(classes[j], i) for i, j in enumerate(order)]
         self.edges: list[tuple[int, int]] = []
 
     def find(self, i: int) -> int:
@@ -230,7 +242,7 @@ class LocalJoin:
 
 
 def _solve(sets: DataFrame, percent: int) -> DataFrame:
-    """Spanning links (a, b) of rows (grp, i, j, block, doc_id, s) sorted by (grp, i, j)."""
+    """Spanning links (a, b) of rows (grp, i, j, block, doc_id, s, cls) sorted by (grp, i, j)."""
 
     def run(batches):
         import pyarrow as pa
@@ -242,17 +254,17 @@ def _solve(sets: DataFrame, percent: int) -> DataFrame:
 
         def links(key, rows):
             first = np.array([r[0] == key[1] for r in rows]) if key[1] != key[2] else None
-            return LocalJoin([r[1] for r in rows], [np.frombuffer(r[2], np.uint64) for r in rows], percent, first).run()
+            return LocalJoin([r[1] for r in rows], [np.frombuffer(r[2], np.uint64) for r in rows], percent, first, [r[3] for r in rows]).run()
 
         key, rows = None, []
         for b in batches:
             out = []
-            for grp, i, j, block, doc, s in zip(*(c.to_pylist() for c in b.columns)):
+            for grp, i, j, block, doc, s, cls in zip(*(c.to_pylist() for c in b.columns)):
                 if (grp, i, j) != key:
                     if rows:
                         out += links(key, rows)
                     key, rows = (grp, i, j), []
-                rows.append((block, doc, s))
+                rows.append((block, doc, s, cls))
             yield _edges(pa, out)
         if rows:
             yield _edges(pa, links(key, rows))
@@ -279,39 +291,96 @@ def jaccard_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     levels = _levels(_sketch(picked, k))
     profiles = stored(_profiles(picked, k, percent, levels), "profiles")
     linked = profiles.where("n > 0 and doc_id is not null")
-    classes = linked.groupBy("sig").agg(F.min("doc_id").alias("rep"))
-    members = stored(linked.select("doc_id", "sig").join(classes, "sig").select("doc_id", "rep").distinct(), "members")
-    kept = _survivors(linked, classes)
+    copied = stored(linked.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").drop("rows"), "copied")
+    members = stored(linked.select("doc_id", "sig").join(copied, "sig").where("doc_id <> rep").distinct(), "members")
+    kept = _survivors(linked, members)
     sizes = stored(profiles.select("doc_id", "n"), "sizes")
     discard(spark, profiles)  # the prefixes have done their work
     release(spark)
-    texts = picked.join(kept.hint("shuffle_hash"), "doc_id").select("doc_id", "text")
+    texts = picked.join(kept.hint("shuffle_hash"), "doc_id").select("text", "doc_id", "least", "spot").repartition("least", "spot")
     stars = stored(_stars(texts, k, percent, levels), "stars")
     release(spark)
     groups = stored(components(stars), "groups").withColumnRenamed("node", "doc_id").withColumnRenamed("root", "grp")
-    sized = groups.join(sizes.groupBy("doc_id").agg(F.max("n").alias("n")), "doc_id")
-    total = sized.groupBy("grp").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).cast("int").alias("blocks"))
-    todo = stored(sized.join(total, "grp").select("doc_id", "grp", "blocks"), "todo")
-    release(spark)
+    sized = groups.join(sizes.groupBy("doc_id").agg(F.max("n").alias("n")), "doc_id").join(kept.select("doc_id", "least"), "doc_id")
+    total = sized.groupBy("grp").agg(F.sum("n").alias("load"), F.count("*").alias("holders"))
     # fewer documents are left than had sets made for the stars, so making theirs again beats keeping all
-    todo = _with_sets(picked.join(todo.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "grp", "blocks"), k, ("grp", "blocks"))
-    edges = stored(_solve(_spread(todo), percent), "links")
+    todo = stored(picked.join(sized.join(total, "grp").hint("shuffle_hash"), "doc_id").select("text", "doc_id", "grp", "n", "least", "load", "holders"), "todo")
+    release(spark)
+    known = _hub_links(todo, k, percent)
+    edges = stored(_solve(_spread(todo, known, k), percent), "links")
     release(spark)
     # copies of one set are one component, so rows that repeat an id join what their texts join
-    both = edges.union(members.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")))
+    both = edges.union(members.select(F.col("doc_id").alias("a"), F.col("rep").alias("b")))
+    both = both.union(known) if known is not None else both
     labels = components(both)
     out = sizes.select("doc_id", F.col("n").alias("n_shingles")).join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left")
     return out.select("doc_id", "n_shingles", F.coalesce("root", "doc_id").alias("component_id"))
 
 
-def _survivors(linked: DataFrame, classes: DataFrame) -> DataFrame:
-    """doc_id of one document of each set that may have a link to another set."""
-    reps = linked.join(classes.select(F.col("rep").alias("doc_id"), "sig"), ["doc_id", "sig"], "left_semi").dropDuplicates(["doc_id", "sig"])
+def _survivors(linked: DataFrame, members: DataFrame) -> DataFrame:
+    """(doc_id, least, spot) of one document of each set that may have a link to another set; spot deals out crowds of one least shingle."""
+    reps = linked.join(members.select("doc_id", "sig"), ["doc_id", "sig"], "left_anti").dropDuplicates(["doc_id", "sig"])
     first = stored(_with_partners(reps.select("doc_id", "need", F.explode("prefix").alias("token"))), "entries")
     release(linked.sparkSession)
-    kept = stored(_with_partners(first).select("doc_id").distinct(), "kept")
+    some = _with_partners(first).select("doc_id").distinct()
+    kept = stored(linked.groupBy("doc_id").agg(F.min("least").alias("least")).join(some, "doc_id", "left_semi"), "kept")
     discard(linked.sparkSession, first)
-    return kept
+    crowds = kept.groupBy("least").agg(F.count("*").alias("n")).where(F.col("n") > CROWD)
+    placed = kept.join(crowds, "least", "left")
+    spot = F.when(F.col("n").isNull(), 0).otherwise(F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("n") / CROWD)))
+    return stored(placed.select("doc_id", "least", spot.cast("long").alias("spot")), "placed")
+
+
+def _hub_links(todo: DataFrame, k: int, percent: int) -> DataFrame | None:
+    """Verified links (a, b) to hubs in components of more than one block; None where there is no such component.
+
+    A hub is the smallest id with the commonest least shingle of those not tied yet. Its text goes to every
+    part of its component, so no component gathers in one task.
+    """
+    large = todo.where(F.col("load") > BLOCK_SHINGLES)
+    if large.isEmpty():
+        return None
+    large = stored(large.withColumn("spots", F.ceil(F.col("holders") / CROWD)), "large")
+    known, left = None, large
+
+    def run(batches):
+        import pyarrow as pa
+
+        from zplane.llm.jaccard_join import _batched_sets
+        from zplane.session import trim, worker_cache
+
+        worker_cache(None)
+        hubs: dict = {}
+        for (grp, spot, mine, doc), sets in _batched_sets(batches, k, 4):
+            out = []
+            for g, p, is_hub, d, s in zip(grp.to_pylist(), spot.to_pylist(), mine.to_pylist(), doc.to_pylist(), sets):
+                if is_hub:
+                    hubs = {(g, p): (d, s)}  # rows are sorted, so one at a time
+                    continue
+                hub = hubs.get((g, p))
+                if hub is None or hub[0] == d:
+                    continue
+                a, b = sorted((len(s), len(hub[1])))
+                if 100 * a >= percent * b:
+                    shared = len(np.intersect1d(s, hub[1], assume_unique=True))
+                    if 100 * shared >= percent * (a + b - shared):
+                        out.append((d, hub[0]))
+            yield _edges(pa, out)
+        hubs.clear()
+        trim()
+
+    for _ in range(HUB_ROUNDS):
+        common = left.groupBy("grp", "least").agg(F.count("*").alias("c"), F.min("doc_id").alias("hub"))
+        hubs = common.groupBy("grp").agg(F.min_by("hub", F.struct(-F.col("c"), "hub")).alias("hub"))
+        sent = large.join(hubs.select(F.col("hub").alias("doc_id"), F.col("grp")), ["doc_id", "grp"], "left_semi").dropDuplicates(["doc_id"])
+        sent = sent.withColumn("spot", F.explode(F.sequence(F.lit(0), F.col("spots") - 1))).withColumn("other", F.lit(False))
+        asked = left.withColumn("spot", F.pmod(F.xxhash64("doc_id"), F.col("spots"))).withColumn("other", F.lit(True))
+        rows = sent.unionByName(asked).repartition("grp", "spot").sortWithinPartitions("grp", "spot", "other", "doc_id")
+        found = stored(rows.select("grp", "spot", ~F.col("other"), "doc_id", "text").mapInArrow(run, "a long, b long"), "hubs")
+        known = found if known is None else known.union(found)
+        done = known.select(F.col("a").alias("doc_id")).union(known.select("b")).union(hubs.select("hub"))
+        left = large.join(done.distinct(), "doc_id", "left_anti")
+    return known
 
 
 def pair_prefix(n: int, percent: int) -> int:
@@ -353,14 +422,20 @@ def _stars(texts: DataFrame, k: int, percent: int, levels: np.ndarray) -> DataFr
 
     sent = texts.sparkSession.sparkContext.broadcast(zlib.compress(levels.tobytes(), 1))
 
-    def hook(key: np.ndarray, doc: np.ndarray):
+    def tied(key: np.ndarray, doc: np.ndarray):
+        """The distinct keys, the root of each one's holders, and the links from every tied document to its root."""
         order = np.lexsort((doc, key))
         key, doc = key[order], doc[order]
         first = np.append(True, key[1:] != key[:-1]) if len(key) else np.zeros(0, bool)
         center = doc[np.maximum.accumulate(np.where(first, np.arange(len(key)), 0))] if len(key) else doc
         far = doc != center
-        links = np.unique(np.stack([doc[far], center[far]]), axis=1)
-        return key[first], doc[first], links
+        nodes, roots = union_find(doc[far], center[far])
+        key, doc = key[first], doc[first]
+        if len(nodes):
+            i = np.minimum(np.searchsorted(nodes, doc), len(nodes) - 1)
+            doc = np.where(nodes[i] == doc, roots[i], doc)
+        off = nodes != roots
+        return key, doc, nodes[off], roots[off]
 
     def local(batches):
         import zlib
@@ -372,26 +447,33 @@ def _stars(texts: DataFrame, k: int, percent: int, levels: np.ndarray) -> DataFr
 
         worker_cache(None)
         level = np.frombuffer(zlib.decompress(sent.value), np.uint8)
-        for ids, sets in _batched_sets(batches, k, 1):
+        for ids, sets in _batched_sets(batches, k, 0):
             keys = [set_keys(x, level, percent).view(np.int64) for x in sets]
-            key, doc, links = hook(np.concatenate(keys), np.repeat(ids[0].to_numpy(), [len(x) for x in keys]))
-            n, m = len(key), links.shape[1]
-            a = pa.array(np.concatenate([key, links[0]]))
-            yield pa.RecordBatch.from_arrays([a, pa.array(np.concatenate([doc, links[1]])), pa.array(np.arange(n + m) >= n)], ["key", "doc", "link"])
+            key, doc, node, root = tied(np.concatenate(keys), np.repeat(ids[0].to_numpy(), [len(x) for x in keys]))
+            n, m = len(key), len(node)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([key, node])), pa.array(np.concatenate([doc, root])), pa.array(np.arange(n + m) >= n)], ["key", "doc", "link"])
         trim()
 
     def merge(batches):
         import pyarrow as pa
 
-        keys, docs = [], []
-        for b in batches:
-            key, doc, link = (c.to_numpy(zero_copy_only=False) for c in b.columns)
-            yield pa.RecordBatch.from_arrays([pa.array(key[link]), pa.array(doc[link])], ["a", "b"])
+        from zplane.session import trim, worker_cache
+
+        worker_cache(None)
+        keys, docs, a, b = [], [], [], []
+        for batch in batches:
+            key, doc, link = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
             keys.append(key[~link])
             docs.append(doc[~link])
+            a.append(key[link])
+            b.append(doc[link])
         if keys:
-            _, _, links = hook(np.concatenate(keys), np.concatenate(docs))
-            yield pa.RecordBatch.from_arrays([pa.array(links[0]), pa.array(links[1])], ["a", "b"])
+            _, _, node, root = tied(np.concatenate(keys), np.concatenate(docs))
+            keys.clear(), docs.clear()
+            nodes, roots = union_find(np.concatenate([*a, node]), np.concatenate([*b, root]))
+            off = nodes != roots
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[off]), pa.array(roots[off])], ["a", "b"])
+        trim()
 
     rows = texts.mapInArrow(local, "key long, doc long, link boolean")
     return rows.repartition("key").mapInArrow(merge, "a long, b long")
@@ -431,14 +513,38 @@ def _with_sets(texts: DataFrame, k: int, keep: tuple[str, ...] = ()) -> DataFram
     return texts.mapInArrow(run, "doc_id long, s binary" + (", " + kinds if keep else ""))
 
 
-def _spread(sets: DataFrame) -> DataFrame:
-    """Every set once for each pair of blocks of its component that its own block is part of."""
-    own = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
-    rows = sets.withColumn("block", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("grp", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "doc_id", "s")
+def _spread(todo: DataFrame, known: DataFrame | None, k: int) -> DataFrame:
+    """Every set once for each pair of blocks that its own block is part of. A class of known links that is larger than a
+    block has blocks of its own, which need no comparison with each other; all other sets share the rest."""
+    rows = todo.select("doc_id", "grp", "n")
+    if known is None:
+        rows = rows.withColumn("cls", F.col("doc_id"))
+    else:
+        rows = rows.join(components(known).withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("cls", F.coalesce("root", "doc_id")).drop("root")
+    classes = stored(rows.groupBy("grp", "cls").agg(F.sum("n").alias("load")), "classes")
+    own = classes.where(F.col("load") > BLOCK_SHINGLES).select("grp", "cls", F.ceil(F.col("load") / BLOCK_SHINGLES).alias("parts"))
+    rest = classes.where(F.col("load") <= BLOCK_SHINGLES).groupBy("grp").agg(F.ceil(F.sum("load") / BLOCK_SHINGLES).alias("parts")).where("parts > 0")
+    blocks = own.union(rest.select("grp", F.lit(None).cast("long"), "parts")).withColumn("at", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    blocks = blocks.select("grp", "cls", _block("cls", "at").alias("block"))
+    a, b = blocks.toDF("grp", "x", "i"), blocks.toDF("grp", "y", "j")
+    pairs = stored(a.join(b, "grp").where("i <= j and not (x is not null and x <=> y)").select("grp", "i", "j"), "pairs")
+    placed = rows.join(own, ["grp", "cls"], "left").withColumnRenamed("parts", "mine").join(rest, "grp", "left")
+    block = F.when(F.col("mine").isNotNull(), _block("cls", F.pmod(F.xxhash64("doc_id"), F.col("mine")))).otherwise(_block(F.lit(None), F.pmod(F.xxhash64("cls"), F.col("parts"))))
+    placed = placed.select("doc_id", "grp", "cls", block.alias("block"))
+    sides = pairs.select("grp", F.col("i").alias("block"), "i", "j").union(pairs.where("i <> j").select("grp", F.col("j").alias("block"), "i", "j"))
+    # only documents of some pair have sets made
+    asked = placed.join(sides.select("grp", "block").distinct(), ["grp", "block"], "left_semi")
+    texts = todo.select("doc_id", "text").join(asked.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "grp", "cls", "block")
+    sets = _with_sets(texts, k, ("grp", "cls", "block"))
+    rows = sets.join(sides, ["grp", "block"]).select("grp", "i", "j", "block", "doc_id", "s", "cls")
     return rows.repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j")
 
 
+def _block(cls, at):
+    """Name of a block: of a class, or of the rest."""
+    return F.concat(F.coalesce((F.col(cls) if isinstance(cls, str) else cls).cast("string"), F.lit("")), F.lit("/"), (F.col(at) if isinstance(at, str) else at).cast("string"))
+
+
 SQL = r"""
 WITH RECURSIVE ws AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w

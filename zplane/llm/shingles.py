@@ -1,4 +1,10 @@
-"""Word shingles of many texts at once: words, their 64-bit hashes and distinct k-word shingle sets."""
+"""Word shingles of many texts at once: words, their 62-bit hashes and distinct k-word shingle sets.
+
+Two hashes of byte ranges: prefix_hash / range_hash works modulo 2^64, is cheap and good for dealing out and
+for tables that compare bytes afterwards, but different strings of some shapes (Thue-Morse words and their
+complements) agree by construction whatever the base. RangeHash works modulo two primes, for which no such
+strings are known in advance; shingle sets rest on it.
+"""
 
 from __future__ import annotations
 
@@ -48,6 +54,47 @@ def range_hash(p: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
     return mix((p[end] - p[start]) * _DOWN(len(p))[start])
 
 
+_PRIMES, _BASES = (2147483647, 2147483629), (1102563731, 1735948963)
+_BLOCK = 1 << 20
+
+
+class _PrimePowers:
+    """Powers of a base modulo a prime below 2^31, extended as longer buffers come."""
+
+    def __init__(self, base: int, prime: int):
+        self.base, self.prime, self.out = base, prime, np.ones(1, np.int64)
+
+    def __call__(self, n: int) -> np.ndarray:
+        while len(self.out) < n:
+            step = pow(self.base, len(self.out), self.prime)
+            self.out = np.concatenate([self.out, self.out * step % self.prime])
+        return self.out[:n]
+
+
+_RISE = [_PrimePowers(b, p) for b, p in zip(_BASES, _PRIMES)]
+_FALL = [_PrimePowers(pow(b, -1, p), p) for b, p in zip(_BASES, _PRIMES)]
+
+
+class RangeHash:
+    """Hashes of ranges of a buffer that don't depend on where a range lies: polynomials modulo two primes, 62 bits together."""
+
+    def __init__(self, buf: np.ndarray):
+        self.sums = []
+        for rise, prime in zip(_RISE, _PRIMES):
+            out = np.zeros(len(buf) + 1, np.int64)
+            power = rise(min(len(buf), _BLOCK))
+            for lo in range(0, len(buf), _BLOCK):  # a block's sums stay below 2^60
+                part = buf[lo : lo + _BLOCK].astype(np.int64) + 1
+                up = power[: len(part)] if lo == 0 else power[: len(part)] * pow(rise.base, lo, prime) % prime
+                np.cumsum(part * up, out=out[lo + 1 : lo + len(part) + 1])
+                out[lo + 1 : lo + len(part) + 1] += out[lo] % prime if lo else 0
+            self.sums.append(out)
+
+    def __call__(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        one, two = ((s[end] - s[start]) % p * fall(len(s))[start] % p for s, p, fall in zip(self.sums, _PRIMES, _FALL))
+        return mix((one << 31 | two).astype(np.uint64))
+
+
 def words(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """(hash of every word, index of the first word of each text and the total): words are runs of bytes
     other than blank and the controls 9 to 13."""
@@ -58,7 +105,7 @@ def words(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     edge = np.flatnonzero(gap[1:] != gap[:-1])
     start, end = edge[::2], edge[1::2]
     begins = np.concatenate([[0], np.cumsum([len(t) + 1 for t in texts])])
-    h = range_hash(prefix_hash(buf), start, end) ^ (end - start).astype(np.uint64)
+    h = RangeHash(buf)(start, end) ^ (end - start).astype(np.uint64)
     return h, np.searchsorted(start, begins)
 
 
