@@ -28,7 +28,7 @@ def breakdown(spark: SparkSession, sf_dir: str, src: str, k: int, options: Optio
 
     tree = step("keys, sort and planes", lambda: knn.joint_tree(pts, None, ps.cols(src), options=options))
     ilist = step("node lists", lambda: stored(walk.knn_ilist(tree, k), "ilist"))
-    rows = step("leaf step", lambda: stored(knn.domain_rows(tree, ilist, True).groupBy("domain").applyInArrow(knn._rows_kernel(tree.d, k, None, True, True, None), "qid long, rank int, sid long, dist2 double"), "rows"))
+    rows = step("leaf step", lambda: stored(knn.domain_rows(tree, ilist, True).groupBy("domain").applyInArrow(knn.rows_kernel(tree.d, k, None, True, True, None), "qid long, rank int, sid long, dist2 double"), "rows"))
     step("input order", lambda: rows.orderBy("qid", "rank").write.format("noop").mode("overwrite").save())
     total = sum(t for _, t in steps)
     return [(n, t, t / total) for n, t in steps]

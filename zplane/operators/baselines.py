@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
@@ -9,8 +11,9 @@ from pyspark.sql import functions as F
 
 from zplane.components import components, union_find
 from zplane.functions.bounds import dist2
-from zplane.operators.knn import knn, knn_probe, joint_tree, squared
+from zplane.operators.knn import domain_rows, joint_tree, knn, knn_probe, rows_kernel, squared
 from zplane.operators.linking import MARK, link_edges
+from zplane.plans import walk
 from zplane.plans.planes import Options
 from zplane.session import ship, stored
 
@@ -118,8 +121,29 @@ def knn_one_sided(src: DataFrame, k: int, cols: list[str], queries: DataFrame |
 
 
 def knn_separate_trees(src: DataFrame, k: int, cols: list[str], queries: DataFrame, id_col: str = "id", options: Options | None = None) -> DataFrame:
-    """The usual tree of the sources alone, not refined by the queries (queries are routed to it)."""
-    return knn_one_sided(src, k, cols, queries, id_col, options)
+    """A tree of the sources and another one of the queries, walked against each other (raises where they are too large to broadcast).
+
+    Neither tree is refined by the points of the other, so a query leaf in a region without queries nearby may reach
+    over many source leaves, which the joint tree avoids.
+    """
+    s_tree, q_tree = joint_tree(src, None, cols, id_col, options), joint_tree(queries, None, cols, id_col, options)
+    if not (walk.fits(s_tree) and walk.fits(q_tree)):
+        raise ValueError("the trees are too large for this baseline")
+    spark, ngr = src.sparkSession, s_tree.ngr
+    sources = spark.sparkContext.broadcast(walk.collect_planes(s_tree))
+
+    def make(planes, domains):
+        import pyarrow as pa
+
+        recv, leaf, low = walk.knn_pairs(planes, domains, k, None, True, None, ngr, None, sources.value)
+        pl = planes[0]
+        return pa.RecordBatch.from_arrays([pa.array(pl.domain[recv].astype(np.int32)), pa.array(pl.node[recv]), pa.array(sources.value[0].node[leaf]), pa.array(low)], ["domain", "recv", "src", "r_low"])
+
+    ilist = walk.walk_in_tasks(q_tree, make, "domain int, recv long, src long, r_low double")
+    asked = q_tree.points.withColumn("ptype", F.lit(1))
+    both = replace(q_tree, points=asked.unionByName(s_tree.points.withColumn("domain", F.lit(-1))))  # a source's leaf is that of its own tree
+    rows = domain_rows(both, ilist, False).groupBy("domain").applyInArrow(rows_kernel(len(cols), k, None, True, True, None), "qid long, rank int, sid long, dist2 double")
+    return rows.select("qid", "rank", "sid", F.sqrt("dist2").alias("dist"))
 
 
 def knn_voronoi(src: DataFrame, k: int, cols: list[str], queries: DataFrame | None = None, id_col: str = "id", seeds: int = 64) -> DataFrame:

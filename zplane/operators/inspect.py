@@ -92,7 +92,7 @@ def with_zpos(df_sorted: DataFrame) -> DataFrame:
 
 
 def rebalance(df_with_zpos: DataFrame, n_parts: int) -> DataFrame:
-    """Exactly even partitions after the sort: position div ceil(n / n_parts)."""
-    n = df_with_zpos.count()
-    size = -(-n // n_parts)
-    return df_with_zpos.withColumn("part", F.floor(F.col("zpos") / max(1, size)).cast("int")).repartitionByRange(n_parts, "part").sortWithinPartitions("zpos")
+    """Even partitions after the sort: part i holds the positions from i n / n_parts on, so sizes differ by one at most."""
+    n = max(1, df_with_zpos.count())
+    part = F.expr(f"((zpos + 1) * {n_parts} - 1) div {n}").cast("int")
+    return df_with_zpos.withColumn("part", part).repartitionById(n_parts, "part").sortWithinPartitions("zpos")

@@ -7,27 +7,26 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from zplane.components import components
 from zplane.functions.bounds import dist2, np_bounds
 from zplane.operators.knn import domain_rows, joint_tree, squared, unpack
 from zplane.plans import walk
-from zplane.plans.planes import Options, PlaneTree
+from zplane.plans.planes import NODE_SPAN, Options, PlaneTree
 
 
 def distance_join(a: DataFrame, b: DataFrame | None, r: float, cols: list[str], id_col: str = "id", box=None, options: Options | None = None, method: str = "auto") -> DataFrame:
     """(qid, sid, dist2): all pairs within r of a (queries) and b (sources); without b the pairs qid < sid of a itself."""
     self_query = b is None
     tree = joint_tree(a, None, cols, id_col, options) if self_query else joint_tree(b, a, cols, id_col, options)
-    d = tree.d
+    d, ngr = tree.d, tree.ngr
 
     def make(planes, domains):
         import pyarrow as pa
 
-        recv, src = walk.radius_pairs(planes, domains, r, box, self_query)
+        recv, src = walk.radius_pairs(planes, domains, r, box, self_query, ngr)
         pl = planes[0]
         return pa.RecordBatch.from_arrays([pa.array(pl.domain[recv].astype(np.int32)), pa.array(pl.node[recv]), pa.array(pl.node[src])], ["domain", "recv", "src"])
 
-    if method == "stages" or (method == "auto" and tree.nodes.count() > walk.BROADCAST_NODES):
+    if method == "stages" or (method == "auto" and not walk.fits(tree)):
         ilist = walk.radius_stages(tree, r, box, self_query)[0].withColumn("r_low", F.lit(0.0))
     else:
         ilist = walk.walk_in_tasks(tree, make, "domain int, recv long, src long").withColumn("r_low", F.lit(0.0))
@@ -53,16 +52,50 @@ def distance_join(a: DataFrame, b: DataFrame | None, r: float, cols: list[str],
     return domain_rows(tree, ilist, self_query).groupBy("domain").applyInArrow(run, "qid long, sid long, dist2 double")
 
 
-def count_within(a: DataFrame, b: DataFrame | None, r: float, cols: list[str], id_col: str = "id", box=None, options: Options | None = None) -> DataFrame:
-    """(id, n): sources within r of each point (of a itself without b, the point included)."""
-    pairs = distance_join(a, b, r, cols, id_col, box, options)
-    if b is None:
-        ends = pairs.select(F.col("qid").alias("id")).unionAll(pairs.select(F.col("sid").alias("id")))
-        extra = 1
+def count_within(a: DataFrame, b: DataFrame | None, r: float, cols: list[str], id_col: str = "id", box=None, options: Options | None = None, method: str = "auto") -> DataFrame:
+    """(id, n): sources within r of each point (of a itself without b, the point included), one row for each row of a.
+
+    Nodes that lie surely within r are added whole; only leaves at the rim have their points tested.
+    """
+    self_query = b is None
+    tree = joint_tree(a, None, cols, id_col, options) if self_query else joint_tree(b, a, cols, id_col, options)
+    d, ngr = tree.d, tree.ngr
+
+    def make(planes, domains):
+        import pyarrow as pa
+
+        (recv, src), n = walk.count_pairs(planes, domains, r, box, self_query, ngr)
+        leaf = np.flatnonzero(n)
+        pl, m = planes[0], len(leaf)
+        of = np.concatenate([recv, leaf])
+        return pa.RecordBatch.from_arrays(
+            [pa.array(pl.domain[of].astype(np.int32)), pa.array(pl.node[of]), pa.array(np.concatenate([pl.node[src], np.full(m, -1)])), pa.array(np.concatenate([np.zeros(len(recv)), n[leaf].astype(float)]))],
+            ["domain", "recv", "src", "r_low"],
+        )
+
+    if method == "stages" or (method == "auto" and not walk.fits(tree)):  # both ends of a self pair see each other
+        pairs = walk.radius_stages(tree, r, box, self_query)[0]
+        if self_query:
+            pairs = pairs.union(pairs.where("recv <> src").select(F.floor(F.col("src") / NODE_SPAN).cast("int"), "src", "recv"))
+        ilist = pairs.withColumn("r_low", F.lit(0.0))
     else:
-        ends, extra = pairs.select(F.col("qid").alias("id")), 0
-    n = ends.groupBy("id").agg(F.count("*").alias("c"))
-    return a.select(F.col(id_col).cast("long").alias("id")).join(n, "id", "left").select("id", (F.coalesce("c", F.lit(0)) + extra).cast("long").alias("n"))
+        ilist = walk.walk_in_tasks(tree, make, "domain int, recv long, src long, r_low double")
+
+    def run(table):
+        import pyarrow as pa
+
+        (q_leaf, q_id, q, _), (s_leaf, _, s, _), (p_leaf, p_src, p_n) = unpack(table, d)
+        n = np.zeros(len(q_id), np.int64)
+        ends = [np.searchsorted(q_leaf, p_leaf, x) for x in ("left", "right")] + [np.searchsorted(s_leaf, p_src, x) for x in ("left", "right")]
+        for (lo, hi, c, e), src, m in zip(zip(*(x.tolist() for x in ends)), p_src.tolist(), p_n.tolist()):
+            if src < 0:
+                n[lo:hi] += int(m)
+                continue
+            for x in range(lo, hi, 2048):
+                n[x : min(x + 2048, hi)] += (squared(q[x : min(x + 2048, hi)], s[c:e], box) <= r * r).sum(1)
+        return pa.table({"id": q_id, "n": n})
+
+    return domain_rows(tree, ilist, self_query).groupBy("domain").applyInArrow(run, "id long, n long")
 
 
 def has_neighbour(a: DataFrame, b: DataFrame, r: float, cols: list[str], id_col: str = "id", box=None) -> DataFrame:
@@ -72,24 +105,24 @@ def has_neighbour(a: DataFrame, b: DataFrame, r: float, cols: list[str], id_col:
 
 def isolated_points(a: DataFrame, r: float, cols: list[str], id_col: str = "id", box=None) -> DataFrame:
     """Rows of a with no other point of a within r."""
-    pairs = distance_join(a, None, r, cols, id_col, box)
-    met = pairs.select(F.col("qid").alias(id_col)).unionAll(pairs.select(F.col("sid").alias(id_col)))
-    return a.join(met, id_col, "left_anti")
+    alone = count_within(a, None, r, cols, id_col, box).where("n = 1").select(F.col("id").alias(id_col))
+    return a.join(alone, id_col, "left_semi")
 
 
-def pair_counts(df: DataFrame, edges: list[float], cols: list[str], id_col: str = "id", box=None, options: Options | None = None) -> DataFrame:
+def pair_counts(df: DataFrame, edges: list[float], cols: list[str], id_col: str = "id", box=None, options: Options | None = None, method: str = "auto") -> DataFrame:
     """(bin, pairs): unordered pairs at distance in (edges[i], edges[i + 1]] (the first bin includes its lower end).
 
-    Pairs of leaves whose bounds lie inside one bin are counted whole.
+    Pairs of leaves whose bounds lie inside one bin are counted whole (where the planes are too large to
+    broadcast, all open leaf pairs are tested).
     """
     tree = joint_tree(df, None, cols, id_col, options)
-    d, e = tree.d, np.asarray(edges, float)
+    d, e, ngr = tree.d, np.asarray(edges, float), tree.ngr
     e2 = e * e
 
     def make(planes, domains):
         import pyarrow as pa
 
-        recv, src = walk.radius_pairs(planes, domains, float(e[-1]), box, True)
+        recv, src = walk.radius_pairs(planes, domains, float(e[-1]), box, True, ngr)
         pl = planes[0]
         low, up = np_bounds(pl.c[recv], pl.ext[recv], pl.c[src], pl.ext[src], box)
         i, j = np.searchsorted(e, low * (1 - 1e-12), "left") - 1, np.searchsorted(e, up * (1 + 1e-12), "left") - 1
@@ -97,9 +130,12 @@ def pair_counts(df: DataFrame, edges: list[float], cols: list[str], id_col: str
         n = np.where(whole, pl.n_src[recv] * pl.n_src[src], 0)
         return pa.RecordBatch.from_arrays([pa.array(pl.domain[recv].astype(np.int32)), pa.array(pl.node[recv]), pa.array(pl.node[src]), pa.array(i.astype(np.int32)), pa.array(n), pa.array(whole)], ["domain", "recv", "src", "bin", "n", "whole"])
 
-    rows = walk.walk_in_tasks(tree, make, "domain int, recv long, src long, bin int, n long, whole boolean")
-    sure = rows.where("whole").groupBy("bin").agg(F.sum("n").alias("n"))
-    ilist = rows.where("NOT whole").select("domain", "recv", "src", F.lit(0.0).alias("r_low"))
+    if method == "stages" or (method == "auto" and not walk.fits(tree)):
+        sure, ilist = None, walk.radius_stages(tree, float(e[-1]), box, True)[0].withColumn("r_low", F.lit(0.0))
+    else:
+        rows = walk.walk_in_tasks(tree, make, "domain int, recv long, src long, bin int, n long, whole boolean")
+        sure = rows.where("whole").groupBy("bin").agg(F.sum("n").alias("n"))
+        ilist = rows.where("NOT whole").select("domain", "recv", "src", F.lit(0.0).alias("r_low"))
 
     def run(table):
         import pyarrow as pa
@@ -117,23 +153,23 @@ def pair_counts(df: DataFrame, edges: list[float], cols: list[str], id_col: str
         return pa.table({"bin": pa.array(np.arange(len(count)), pa.int32()), "n": pa.array(count)})
 
     tested = domain_rows(tree, ilist, True).groupBy("domain").applyInArrow(run, "bin int, n long")
-    return sure.unionAll(tested).groupBy("bin").agg(F.sum("n").alias("pairs"))
+    return (tested if sure is None else sure.unionAll(tested)).groupBy("bin").agg(F.sum("n").alias("pairs"))
 
 
 def density_clusters(df: DataFrame, r: float, min_pts: int, cols: list[str], id_col: str = "id", box=None) -> DataFrame:
     """(id, cluster): density-based clusters. Core points have min_pts points within r (themselves included); the
     cluster of a core is its smallest core id; other points take the smallest cluster in reach, or null (noise)."""
+    from zplane.operators.linking import link_clusters
     from zplane.session import stored
 
-    pairs = stored(distance_join(df, None, r, cols, id_col, box).select("qid", "sid"), "pairs")
-    both = pairs.unionAll(pairs.select(F.col("sid"), F.col("qid")))
-    ids = df.select(F.col(id_col).cast("long").alias("id"))
-    core = stored(both.groupBy("qid").agg((F.count("*") + 1).alias("n")).where(F.col("n") >= min_pts).select(F.col("qid").alias("id")) if min_pts > 1 else ids, "cores")
-    inner = pairs.join(core.withColumnRenamed("id", "qid"), "qid", "left_semi").join(core.withColumnRenamed("id", "sid"), "sid", "left_semi")
-    roots = components(inner, "qid", "sid")
-    label = core.join(roots.withColumnRenamed("node", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("cluster"))
-    border = both.join(label.withColumnRenamed("id", "sid"), "sid").groupBy("qid").agg(F.min("cluster").alias("near")).withColumnRenamed("qid", "id")
-    return ids.join(label, "id", "left").join(border, "id", "left").select("id", F.coalesce("cluster", "near").alias("cluster"))
+    points = df.select(F.col(id_col).cast("long").alias("id"), *(F.col(c).alias(c) for c in cols))
+    counted = stored(points.join(count_within(points, None, r, cols, box=box), "id"), "counted")
+    label = link_clusters(counted.where(F.col("n") >= min_pts).drop("n"), cols, r, box=box).select("id", F.col("group_id").alias("cluster"))
+    label = stored(label, "cores")
+    # points that are no cores have fewer than min_pts others in reach, so these pairs are few
+    near = distance_join(counted.where(F.col("n") < min_pts), counted.where(F.col("n") >= min_pts), r, cols, box=box)
+    border = near.join(label.withColumnRenamed("id", "sid"), "sid").groupBy("qid").agg(F.min("cluster").alias("near")).withColumnRenamed("qid", "id")
+    return points.select("id").join(label, "id", "left").join(border, "id", "left").select("id", F.coalesce("cluster", "near").alias("cluster"))
 
 
 def range_query(tree: PlaneTree, center: list[float], r: float, box=None) -> DataFrame:

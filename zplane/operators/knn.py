@@ -143,7 +143,7 @@ class LeafSearch:
         return best
 
 
-def _rows_kernel(d, k, box, include_self, early_exit, k_pass):
+def rows_kernel(d, k, box, include_self, early_exit, k_pass):
     def run(table):
         import pyarrow as pa
 
@@ -161,17 +161,18 @@ def _rows_kernel(d, k, box, include_self, early_exit, k_pass):
     return run
 
 
-def knn(src: DataFrame, k: int, cols: list[str], queries: DataFrame | None = None, id_col: str = "id", include_self: bool = True, box=None, options: Options | None = None, order: str | None = None, early_exit: bool = True, k_pass: int | None = None, method: str = "auto", on_invalid: str = "error", tree: PlaneTree | None = None) -> DataFrame:
+def knn(src: DataFrame, k: int, cols: list[str], queries: DataFrame | None = None, id_col: str = "id", include_self: bool = True, box=None, options: Options | None = None, order: str | None = None, early_exit: bool = True, k_pass: int | None = None, method: str = "auto", on_invalid: str = "error", tree: PlaneTree | None = None, heap_slots: int | None = None) -> DataFrame:
     """(qid, rank, sid, dist): the k nearest sources of every query point; ties go to the smaller id.
 
     Without queries the sources are their own queries (include_self=False leaves a point itself out, by
     id). box gives a period for each dimension or None. order: 'z', 'input' or None (as computed, which
-    costs no shuffle). A query with fewer than k sources gets fewer rows.
+    costs no shuffle). A query with fewer than k sources gets fewer rows. heap_slots: the walk finds its radii
+    in heaps of so many places.
     """
     self_query = queries is None
     tree = tree or joint_tree(src, queries, cols, id_col, options, (), on_invalid)
-    ilist = walk.knn_ilist(tree, k + (self_query and not include_self), box, self_query, method)
-    rows = domain_rows(tree, ilist, self_query).groupBy("domain").applyInArrow(_rows_kernel(tree.d, k, box, include_self, early_exit, k_pass), "qid long, rank int, sid long, dist2 double")
+    ilist = walk.knn_ilist(tree, k + (self_query and not include_self), box, self_query, method, heap_slots)
+    rows = domain_rows(tree, ilist, self_query).groupBy("domain").applyInArrow(rows_kernel(tree.d, k, box, include_self, early_exit, k_pass), "qid long, rank int, sid long, dist2 double")
     out = rows.select("qid", "rank", "sid", F.sqrt("dist2").alias("dist"))
     if order == "input":
         return out.orderBy("qid", "rank")
@@ -243,13 +244,14 @@ def knn_metrics(src: DataFrame, k: int, cols: list[str], queries: DataFrame | No
     return out.withColumns({"checked_share": share, "early_exit_share": F.col("skipped") / F.col("listed"), "node_factor": F.col("leaves") / F.lit(2 * tree.n / tree.limits[0]), "ilist_factor": F.col("listed") / F.lit(2 * tree.n / tree.limits[0]), "remote_share": F.col("shipped") / F.col("n_sources") - 1})
 
 
-def knn_probe(tree: PlaneTree, queries: DataFrame, k: int, cols: list[str], id_col: str = "id", box=None) -> DataFrame:
+def knn_probe(tree: PlaneTree, queries: DataFrame, k: int, cols: list[str], id_col: str = "id", box=None, method: str = "auto") -> DataFrame:
     """Few queries against a kept tree: each query walks the planes alone (one-sided), and meets the points of its leaves.
 
-    The planes are broadcast below walk.BROADCAST_NODES nodes; queries are dealt over tasks.
+    The planes are broadcast up to walk.BROADCAST_NODES nodes, and queries walk in tasks; larger trees are walked by
+    one DataFrame stage for each plane.
     """
     ask = queries.select(F.col(id_col).cast("long").alias("qid"), *(F.col(c).cast("double").alias(f"q{i}") for i, c in enumerate(cols)))
-    pairs = one_sided_leaves(tree, ask, k, box)
+    pairs = one_sided_leaves(tree, ask, k, box, method)
     met = pairs.join(tree.points.where("ptype = 0").select("leaf", F.col("id").alias("sid"), *(f"x{i}" for i in range(tree.d))), "leaf")
     from pyspark.sql import Window as W
 
@@ -260,8 +262,32 @@ def knn_probe(tree: PlaneTree, queries: DataFrame, k: int, cols: list[str], id_c
     return met.withColumn("d2", d2).withColumn("rank", rank).where(F.col("rank") <= k).select("qid", F.col("rank").cast("int").alias("rank"), "sid", F.sqrt("d2").alias("dist"))
 
 
-def one_sided_leaves(tree: PlaneTree, ask: DataFrame, k: int, box=None) -> DataFrame:
+def _one_sided_stages(tree: PlaneTree, ask: DataFrame, k: int, box=None) -> DataFrame:
+    from pyspark.sql import Window as W
+
+    from zplane.functions import bounds
+    from zplane.session import stored
+
+    d = tree.d
+    col = lambda name: [F.col(name)[i] for i in range(d)]
+    now, none = None, [F.lit(0.0)] * d
+    for p in range(tree.planes - 1, -1, -1):
+        nodes = tree.nodes.where((F.col("plane") == p) & (F.col("n_src") > 0)).select("node", "parent", "n_src", "c", "ext")
+        joined = ask.crossJoin(F.broadcast(nodes.drop("parent"))) if now is None else now.join(nodes, "parent").drop("parent")  # the top plane is small
+        at = [F.col(f"q{i}") for i in range(d)]
+        low, high = bounds.d_low(at, none, col("c"), col("ext"), box), bounds.d_up(at, none, col("c"), col("ext"), box)
+        rows = joined.withColumns({"low": F.when(F.isnan(low), F.lit(0.0)).otherwise(low), "high": F.when(F.isnan(high), F.lit(float("inf"))).otherwise(high)})
+        got = F.sum("n_src").over(W.partitionBy("qid").orderBy("high", "node").rowsBetween(W.unboundedPreceding, 0))
+        limit = F.min(F.when(F.col("got") >= k, F.col("high"))).over(W.partitionBy("qid"))
+        rows = rows.withColumn("got", got).withColumn("r_max", limit).where(F.col("r_max").isNull() | (F.col("low") <= F.col("r_max") * (1 + BOUND_SLACK)))
+        now = stored(rows.select("qid", *(f"q{i}" for i in range(d)), F.col("node").alias("parent")), "probe")
+    return now.withColumnRenamed("parent", "leaf")
+
+
+def one_sided_leaves(tree: PlaneTree, ask: DataFrame, k: int, box=None, method: str = "auto") -> DataFrame:
     """(qid, q0.., leaf): the leaves that each query alone must look at."""
+    if method == "stages" or (method == "auto" and not walk.fits(tree)):
+        return _one_sided_stages(tree, ask, k, box)
     spark = tree.points.sparkSession
     sent = spark.sparkContext.broadcast(walk.collect_planes(tree))
     d = tree.d

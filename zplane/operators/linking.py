@@ -29,15 +29,17 @@ def linking_length(n: int, volume: float, d: int = 3, alpha: float = 0.2) -> flo
 def link_edges(df: DataFrame, cols: list[str], r_link: float, id_col: str = "id", box=None, options: Options | None = None, tree: PlaneTree | None = None, method: str = "auto") -> tuple[DataFrame, PlaneTree]:
     """Edges (a, b) whose components are the groups (points, and node markers from MARK on), and the tree."""
     tree = tree or joint_tree(df, None, cols, id_col, options)
-    if method == "stages" or (method == "auto" and tree.nodes.count() > walk.BROADCAST_NODES):
+    if method == "stages" or (method == "auto" and not walk.fits(tree)):
         pairs, marks, leaves = walk.radius_stages(tree, r_link, box, True, link=True)
         inside = tree.points.join(leaves.withColumnRenamed("node", "leaf"), "leaf").select(F.col("id").alias("a"), walk.marker(F.col("leaf"), 0).alias("b"))
         return _tested(tree, pairs, r_link, box).unionAll(marks).unionAll(inside), tree
 
+    ngr = tree.ngr
+
     def make(planes, domains):
         import pyarrow as pa
 
-        recv, src, (leaf, root) = walk.link_pairs(planes, domains, r_link, box)
+        (recv, src), (leaf, root) = walk.link_pairs(planes, domains, r_link, box, ngr)
         pl = planes[0]
         a = np.concatenate([pl.node[recv], pl.node[leaf]])
         return pa.RecordBatch.from_arrays(

@@ -2,8 +2,10 @@
 
 Domains are whole Morton cells of at most `domain_rows` points (or one coincident site), found by counting
 key prefixes from coarse to fine and refining the heavy ones only. No node crosses a domain, so each domain
-sorts its keys and cuts all its planes by itself, in one grouped Arrow pass. Only domain boundaries (one
-key for each domain) and per-plane level histograms reach the driver.
+sorts its keys and cuts its planes by itself, in one grouped Arrow pass. Where there are several domains,
+their top nodes are cut into coarser planes in the same way, round by round (nodes stand in for points, with
+their counts), until the top plane is small: its size does not grow with the number of points. Only domain
+boundaries (one key for each domain) and per-plane level histograms reach the driver.
 """
 
 from __future__ import annotations
@@ -19,13 +21,15 @@ from zplane.functions import zkey
 from zplane.session import ship, stored
 
 POINT, NODE = "domain int, leaf long, pos long, zkey binary, id long, ptype int", "plane int, node long, parent long, first_pos long, last_pos long, n_src long, n_qry long, lvl int, domain int"
+_NODE = "plane:int,node:long,parent:long,first_pos:long,last_pos:long,n_src:long,n_qry:long,lvl:int,c:array<double>,ext:array<double>,k0:binary,k1:binary"
 #: Node ids are domain * NODE_SPAN + index within the domain and plane.
 NODE_SPAN = 1 << 32
 
 
 @dataclass
 class Options:
-    """n_max0, c and n_target set the planes; domain_rows bounds what one task holds; f_max caps node volumes (None: off)."""
+    """n_max0, c and n_target set the planes; domain_rows bounds what one task holds; f_max caps node volumes (None: off);
+    ngr top nodes make a super node, from which walks start."""
 
     n_max0: int = 128
     c: int = 8
@@ -33,10 +37,11 @@ class Options:
     domain_rows: int = 150_000
     f_max: float | None = None
     schedule: list[int] = field(default_factory=list)
+    ngr: int = 32
 
 
 def paper_options() -> Options:
-    return Options(n_max0=48, c=8, n_target=1000, f_max=50.0)
+    return Options(n_max0=48, c=8, n_target=1000, f_max=50.0, ngr=32)
 
 
 def estimate_nodes(n: int, n_max: int) -> float:
@@ -254,6 +259,7 @@ class PlaneTree:
     d: int
     starts: list[bytes]
     n: int
+    ngr: int = 32
 
     @property
     def planes(self) -> int:
@@ -262,13 +268,13 @@ class PlaneTree:
     def save(self, path: str) -> None:
         self.points.write.mode("overwrite").partitionBy("domain").parquet(f"{path}/points")
         self.nodes.write.mode("overwrite").partitionBy("plane").parquet(f"{path}/nodes")
-        meta = [(self.plan.d, self.plan.top, self.plan.low, self.limits, self.d, [bytearray(s) for s in self.starts], self.n)]
-        self.points.sparkSession.createDataFrame(meta, "kd int, top int, low int, limits array<long>, d int, starts array<binary>, n long").write.mode("overwrite").parquet(f"{path}/meta")
+        meta = [(self.plan.d, self.plan.top, self.plan.low, self.limits, self.d, [bytearray(s) for s in self.starts], self.n, self.ngr)]
+        self.points.sparkSession.createDataFrame(meta, "kd int, top int, low int, limits array<long>, d int, starts array<binary>, n long, ngr int").write.mode("overwrite").parquet(f"{path}/meta")
 
     @staticmethod
     def load(spark, path: str) -> "PlaneTree":
         m = spark.read.parquet(f"{path}/meta").first()
-        return PlaneTree(spark.read.parquet(f"{path}/points"), spark.read.parquet(f"{path}/nodes"), zkey.KeyPlan(m.kd, m.top, m.low), list(m.limits), m.d, [bytes(s) for s in m.starts], m.n)
+        return PlaneTree(spark.read.parquet(f"{path}/points"), spark.read.parquet(f"{path}/nodes"), zkey.KeyPlan(m.kd, m.top, m.low), list(m.limits), m.d, [bytes(s) for s in m.starts], m.n, m.ngr)
 
 
 def normalise(df: DataFrame, cols: list[str], on_invalid: str = "error") -> DataFrame:
@@ -305,28 +311,115 @@ def build_tree(df: DataFrame, cols: list[str], id_col: str = "id", type_col: str
     extra = [*(f"x{i}" for i in range(d)), *(f"y{i}" for i in range(len(payload)))]
     routed = _with_domain(keyed, starts, extra)
     caps = None
-    schema = f"{POINT}, {', '.join(f'{c} double' for c in extra)}, nodes array<struct<plane:int,node:long,parent:long,first_pos:long,last_pos:long,n_src:long,n_qry:long,lvl:int,c:array<double>,ext:array<double>>>"
+    schema = f"{POINT}, {', '.join(f'{c} double' for c in extra)}, nodes array<struct<{_NODE}>>"
     if opt.f_max is not None:
         caps = _caps(routed, plan, limits, opt.f_max, d)
     built = stored(routed.groupBy("domain").applyInArrow(_build_domain(plan, limits, d, caps, extra), schema), "tree")
     nodes = built.where("nodes IS NOT NULL").select("domain", F.explode("nodes").alias("m")).select("m.*", "domain")
-    return PlaneTree(built.where("nodes IS NULL").drop("nodes"), nodes, plan, limits, d, starts, n)
+    if len(starts) > 1:
+        nodes, limits = _upper_planes(nodes, plan, limits, opt, d)
+    return PlaneTree(built.where("nodes IS NULL").drop("nodes"), nodes.drop("k0", "k1"), plan, limits, d, starts, n, opt.ngr)
+
+
+def _upper_planes(nodes: DataFrame, plan: zkey.KeyPlan, limits: list[int], opt: Options, d: int) -> tuple[DataFrame, list[int]]:
+    """nodes with the planes above the domains, and all limits. A round cuts whole cells of at most domain_rows top nodes."""
+    parts, limits, rows = [], list(limits), max(opt.domain_rows, 2 * opt.n_target)
+    while True:
+        last = len(limits) - 1
+        top = nodes.where(F.col("plane") == last)
+        parts.append(nodes.where(F.col("plane") < last))
+        starts, info = assign_domains(top.select(F.col("k0").alias("zkey")), plan, rows)
+        routed = _routed(top.withColumnRenamed("domain", "of"), starts, "k0").select("domain", "of", "node", "n_src", "n_qry", "lvl", "c", "ext", "first_pos", "last_pos", "k0", "k1")
+        alone = len(starts) == 1
+        up = stored(routed.groupBy("domain").applyInArrow(_build_upper(plan, last, limits[-1], opt, d, alone, rows), "nodes array<struct<" + _NODE + ",domain:int>>"), "upper")
+        nodes = up.select(F.explode("nodes").alias("m")).select("m.*")
+        height = nodes.agg(F.max("plane")).first()[0]
+        for _ in range(height - last):
+            limits.append(limits[-1] * opt.c)
+        if alone or height == last:
+            return stored(_all(parts).unionByName(nodes), "nodes"), limits
+
+
+def _all(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+def _build_upper(plan, plane, limit, opt, d, alone, rows):
+    """The nodes of one group with their parents, and the planes above them: to n_target nodes where the group is all there is,
+    else as many planes as a full group needs."""
+
+    def build(table):
+        import pyarrow as pa
+
+        first, last = (np.frombuffer(b"".join(table.column(c).to_pylist()), np.uint8).reshape(table.num_rows, -1) for c in ("k0", "k1"))
+        order = np.lexsort([first[:, j] for j in range(first.shape[1] - 1, -1, -1)])
+        first, last = first[order], last[order]
+        t = table.take(order)
+        domain = t.column("domain")[0].as_py()
+        base, n = domain * NODE_SPAN, t.num_rows
+        src, qry = t.column("n_src").to_numpy(), t.column("n_qry").to_numpy()
+        centre = np.array(t.column("c").to_pylist(), float).reshape(n, d)
+        bits = np.full(n + 1, -1, np.int64)
+        bits[1:-1] = zkey.common_bits(last[:-1], first[1:], plan)
+        upto_s, upto_q = np.concatenate([[0], np.cumsum(src)]), np.concatenate([[0], np.cumsum(qry)])
+        at, planes, cap, made = np.arange(n + 1), [], limit, 0
+        total = max(int(upto_s[-1]), int(upto_q[-1]))
+        while (len(at) - 1 > opt.n_target and cap < total) if alone else rows > opt.c**made:
+            cap, made = cap * opt.c, made + 1
+            left, right = gap_ranges(bits[at])
+            count = np.maximum(upto_s[at[right]] - upto_s[at[left]], upto_q[at[right]] - upto_q[at[left]])
+            keep = count > cap
+            keep[0] = keep[-1] = True
+            at = at[keep]
+            planes.append(at)
+        keys0, keys1 = [k.tobytes() for k in first], [k.tobytes() for k in last]
+        out = []
+        for i, r in enumerate(t.select(["of", "node", "first_pos", "last_pos", "lvl", "c", "ext"]).to_pylist()):
+            up = base + int(np.searchsorted(planes[0], i, side="right")) - 1 if planes else -1
+            out.append({"plane": plane, "node": r["node"], "parent": up, "first_pos": r["first_pos"], "last_pos": r["last_pos"], "n_src": int(src[i]), "n_qry": int(qry[i]), "lvl": r["lvl"], "c": r["c"], "ext": r["ext"], "k0": None if planes else keys0[i], "k1": None if planes else keys1[i], "domain": r["of"]})
+        for p, at in enumerate(planes):
+            a, z = at[:-1], at[1:] - 1
+            lvl = zkey.level_of_bits(zkey.common_bits(first[a], last[z], plan), plan)
+            c, ext = zkey.cells(centre[a], lvl)
+            up = np.searchsorted(planes[p + 1], a, side="right") - 1 if p + 1 < len(planes) else np.full(len(a), -1 - base)
+            top = p + 1 == len(planes)
+            for j in range(len(a)):
+                out.append({"plane": plane + 1 + p, "node": base + j, "parent": base + int(up[j]), "first_pos": 0, "last_pos": 0, "n_src": int(upto_s[z[j] + 1] - upto_s[a[j]]), "n_qry": int(upto_q[z[j] + 1] - upto_q[a[j]]), "lvl": int(lvl[j]), "c": c[j].tolist(), "ext": ext[j].tolist(), "k0": keys0[a[j]] if top else None, "k1": keys1[z[j]] if top else None, "domain": domain})
+        return pa.table({"nodes": pa.array([out], pa.list_(pa.struct([*_node_type(), ("domain", pa.int32())])))})
+
+    return build
+
+
+def _node_type():
+    import pyarrow as pa
+
+    wide = pa.list_(pa.float64())
+    return [("plane", pa.int32()), ("node", pa.int64()), ("parent", pa.int64()), ("first_pos", pa.int64()), ("last_pos", pa.int64()), ("n_src", pa.int64()), ("n_qry", pa.int64()), ("lvl", pa.int32()), ("c", wide), ("ext", wide), ("k0", pa.binary()), ("k1", pa.binary())]
 
 
 def _with_domain(keyed: DataFrame, starts: list[bytes], extra: list[str]) -> DataFrame:
-    """keyed with domain: the place of each key among the domains' first keys (a range join by binary search)."""
+    """keyed with domain: the place of each key among the domains' first keys."""
+    return _routed(keyed, starts, "zkey").select("domain", "zkey", "id", "ptype", *extra)
+
+
+def _routed(rows: DataFrame, starts: list[bytes], key: str) -> DataFrame:
+    """rows with domain, by one search in the sorted first keys (a key for each domain_rows points) for each Arrow batch."""
     if len(starts) == 1:
-        return keyed.withColumn("domain", F.lit(0)).select("domain", "zkey", "id", "ptype", *extra)
+        return rows.withColumn("domain", F.lit(0))
+    wide = max(map(len, starts))
+    sent = rows.sparkSession.sparkContext.broadcast(np.frombuffer(b"".join(s.ljust(wide, b"\0") for s in starts), f"S{wide}"))
 
     @F.pandas_udf("int")
     def domain(keys):
-        import bisect
-
         import pandas as pd
 
-        return pd.Series([bisect.bisect_right(starts, bytes(k)) - 1 for k in keys]).clip(lower=0).astype("int32")
+        at = np.array([k[:wide] for k in keys], f"S{wide}")
+        return pd.Series(np.maximum(np.searchsorted(sent.value, at, side="right") - 1, 0).astype(np.int32))
 
-    return keyed.withColumn("domain", domain("zkey")).select("domain", "zkey", "id", "ptype", *extra)
+    return rows.withColumn("domain", domain(key))
 
 
 def _sorted_domain(table, d: int, extra: list[str] | None = None):
@@ -396,10 +489,11 @@ def _build_domain(plan, limits, d, caps, extra):
             c, ext = zkey.cells(x[first], lvl)
             up = np.searchsorted(splits[p + 1], first, side="right") - 1 if p + 1 < len(splits) else np.full(len(first), -1)
             s = src[at[1:]] - src[first]
+            top = p + 1 == len(splits)
             for j in range(len(first)):
-                nodes.append({"plane": p, "node": base + j, "parent": base + int(up[j]) if up[j] >= 0 else -1, "first_pos": int(first[j]), "last_pos": int(last[j]), "n_src": int(s[j]), "n_qry": int(last[j] - first[j] + 1 - s[j]), "lvl": int(lvl[j]), "c": c[j].tolist(), "ext": ext[j].tolist()})
+                nodes.append({"plane": p, "node": base + j, "parent": base + int(up[j]) if up[j] >= 0 else -1, "first_pos": int(first[j]), "last_pos": int(last[j]), "n_src": int(s[j]), "n_qry": int(last[j] - first[j] + 1 - s[j]), "lvl": int(lvl[j]), "c": c[j].tolist(), "ext": ext[j].tolist(), "k0": keys[first[j]].tobytes() if top else None, "k1": keys[last[j]].tobytes() if top else None})
         leaf = base + np.searchsorted(splits[0], np.arange(n), side="right") - 1
-        kind = pa.list_(pa.struct([("plane", pa.int32()), ("node", pa.int64()), ("parent", pa.int64()), ("first_pos", pa.int64()), ("last_pos", pa.int64()), ("n_src", pa.int64()), ("n_qry", pa.int64()), ("lvl", pa.int32()), ("c", pa.list_(pa.float64())), ("ext", pa.list_(pa.float64()))]))
+        kind = pa.list_(pa.struct(_node_type()))
         pad = lambda a, t, v=None: pa.concat_arrays([pa.array(a, t), pa.array([v], t)])  # noqa: E731  the last row carries the nodes
         cols = {
             "domain": pad(np.full(n, domain, np.int32), pa.int32(), domain), "leaf": pad(leaf, pa.int64()), "pos": pad(np.arange(n), pa.int64()), "zkey": pad([k.tobytes() for k in keys], pa.binary()),
