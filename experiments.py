@@ -161,7 +161,7 @@ from zplane import pointsets as ps
 from zplane.operators import knn, linking as ln
 from zplane.plans.planes import Options
 s = e.session({cores}); n = 70000 * {cores}; cols = ps.cols('ps_line')
-a = ps.points(s, e.SF, 'ps_line', f'id <= {{n}}').repartition({cores}).persist(); a.count()
+a = ps.points(s, e.SF, 'ps_line').orderBy('id').limit(n).repartition({cores}).persist(); a.count()
 o = Options(domain_rows=max(10000, 70000 // 4))
 e.noop(knn.knn(a, 16, cols, options=o))
 t = e.timed(lambda: e.noop(knn.knn(a, 16, cols, options=o)))

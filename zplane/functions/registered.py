@@ -12,7 +12,8 @@ from zplane.session import ship
 
 def register(spark: SparkSession) -> list[str]:
     """z_key(array, top, low), z_level(key, key, d, top, low), z_extent(lvl, d), z_center(array, lvl),
-    z_dlow / z_dup (c1, l1, c2, l2), z_dist(p, q), z_wrap_dist(p, q, box), rmax_agg(d_up, n, k), z_nodes (UDTF)."""
+    z_dlow / z_dup (c1, l1, c2, l2), z_dist(p, q), z_wrap_dist(p, q, box), z_key63(array, low, high), rmax_agg(d_up, n, k),
+    topk_agg(dist, id, k), z_nodes and knn_of (table functions; knn_of takes a small table of points TABLE(id, x) and k)."""
     ship(spark)
     from zplane.functions import bounds, zkey
 
@@ -42,6 +43,26 @@ def register(spark: SparkSession) -> list[str]:
         at = np.searchsorted(total, int(k.iloc[0]))
         return float(d_up.to_numpy()[order][at]) if at < len(total) else float("inf")
 
+    @F.pandas_udf("array<long>")
+    def topk_agg(dist: pd.Series, ids: pd.Series, k: pd.Series) -> list:
+        order = np.lexsort((ids.to_numpy(), dist.to_numpy()))[: int(k.iloc[0])] if len(k) else []
+        return ids.to_numpy()[order].tolist()
+
+    @F.pandas_udf("long")
+    def z_key63(x: pd.Series, low: pd.Series, high: pd.Series) -> pd.Series:
+        if not len(x):
+            return pd.Series([], dtype="int64")
+        m = np.vstack(x.to_numpy()).astype(float)
+        d = m.shape[1]
+        bits = zkey.morton_bits(d)
+        scaled = np.floor((m - low.to_numpy()[:, None]) / (high - low).to_numpy()[:, None] * float(1 << bits))
+        cell = np.clip(scaled, 0, (1 << bits) - 1).astype(np.int64)
+        out = np.zeros(len(m), np.int64)
+        for b in range(bits):
+            for i in range(d):
+                out |= (cell[:, i] >> b & 1) << (b * d + d - 1 - i)
+        return pd.Series(out)
+
     def bound(which):
         @F.pandas_udf("double")
         def f(c1: pd.Series, l1: pd.Series, c2: pd.Series, l2: pd.Series) -> pd.Series:
@@ -66,13 +87,33 @@ def register(spark: SparkSession) -> list[str]:
                 for a, b, lvl in zip(first, last, zkey.level_of_bits(zkey.common_bits(keys[first], keys[last], plan), plan)):
                     yield p, int(a), int(b), int(lvl)
 
-    for name, f in {"z_key": z_key, "z_level": z_level, "z_center": z_center, "rmax_agg": rmax_agg, "z_dlow": bound(0), "z_dup": bound(1)}.items():
+    class Near:
+        """The k nearest rows of a small table for each of its rows, brute force: (qid, rank, sid, dist). Reads one partition."""
+
+        def __init__(self):
+            self.rows, self.k = [], 0
+
+        def eval(self, row, k: int):
+            self.rows.append((row["id"], row["x"]))
+            self.k = k
+
+        def terminate(self):
+            if not self.rows:
+                return
+            ids, x = np.array([r[0] for r in self.rows]), np.array([r[1] for r in self.rows], float)
+            for i, p in zip(ids.tolist(), x):
+                d2 = ((x - p) ** 2).sum(1)
+                for rank, j in enumerate(np.lexsort((ids, d2))[: self.k].tolist(), 1):
+                    yield i, rank, int(ids[j]), float(np.sqrt(d2[j]))
+
+    for name, f in {"z_key63": z_key63, "topk_agg": topk_agg, "z_key": z_key, "z_level": z_level, "z_center": z_center, "rmax_agg": rmax_agg, "z_dlow": bound(0), "z_dup": bound(1)}.items():
         spark.udf.register(name, f)
     spark.udtf.register("z_nodes", F.udtf(Nodes, returnType="plane int, first long, last long, lvl int"))
+    spark.udtf.register("knn_of", F.udtf(Near, returnType="qid long, rank int, sid long, dist double"))
     for text in (
         "z_extent(lvl INT, d INT) RETURNS ARRAY<BIGINT> RETURN transform(sequence(0, d - 1), i -> floor(lvl / d) + IF(i >= d - pmod(lvl, d), 1, 0))",
         "z_dist(p ARRAY<DOUBLE>, q ARRAY<DOUBLE>) RETURNS DOUBLE RETURN sqrt(aggregate(zip_with(p, q, (a, b) -> (a - b) * (a - b)), 0D, (s, x) -> s + x))",
         "z_wrap_dist(p ARRAY<DOUBLE>, q ARRAY<DOUBLE>, box DOUBLE) RETURNS DOUBLE RETURN sqrt(aggregate(zip_with(p, q, (a, b) -> pow((a - b) - box * floor((a - b) / box + 0.5D), 2)), 0D, (s, x) -> s + x))",
     ):
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {text}")
-    return ["z_key", "z_level", "z_center", "rmax_agg", "z_dlow", "z_dup", "z_nodes", "z_extent", "z_dist", "z_wrap_dist"]
+    return ["z_key63", "topk_agg", "knn_of", "z_key", "z_level", "z_center", "rmax_agg", "z_dlow", "z_dup", "z_nodes", "z_extent", "z_dist", "z_wrap_dist"]

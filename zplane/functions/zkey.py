@@ -171,9 +171,15 @@ def plan_key(df: DataFrame, cols: list[str]) -> KeyPlan:
 
 
 def with_zkey(df: DataFrame, cols: list[str], plan: KeyPlan | None = None, mode: str = "exact", box: tuple | None = None) -> DataFrame:
-    """df with the column zkey: BINARY exact keys, or a BIGINT of floor(63 / d) bits a dimension (mode morton63)."""
+    """df with the column zkey: BINARY exact keys; keys of the coordinates as 32-bit floats (mode float32: 24 bits a
+    number, so shorter keys); or a BIGINT of floor(63 / d) bits a dimension (modes morton63 and hilbert, which need box)."""
     if mode == "morton63":
         return df.withColumn("zkey", morton63([F.col(c) for c in cols], box))
+    if mode == "hilbert":
+        return df.withColumn("zkey", hilbert63([F.col(c) for c in cols], box))
+    if mode == "float32":
+        names = [f"__f{i}" for i in range(len(cols))]
+        return with_zkey(df.withColumns({n: F.col(c).cast("float").cast("double") for n, c in zip(names, cols)}), names, plan).drop(*names)
     if mode != "exact":
         raise ValueError(f"unknown key mode {mode}")
     plan = plan or plan_key(df, cols)
@@ -210,6 +216,22 @@ def morton63(cols: list[Column], box: tuple) -> Column:
     return out
 
 
+def hilbert63(cols: list[Column], box: tuple) -> Column:
+    """Positions along the Hilbert curve of the cells that morton63 interleaves."""
+    bits = morton_bits(len(cols))
+
+    @F.pandas_udf("long")
+    def place(*cells_):
+        import pandas as pd
+
+        from zplane.functions.zkey import hilbert_index
+
+        return pd.Series(hilbert_index(np.column_stack([c.to_numpy(np.int64) for c in cells_]), bits)) if len(cells_[0]) else pd.Series([], dtype="int64")
+
+    scaled = [F.floor((c - lo) / (hi - lo) * float(1 << bits)).cast("long") for c, (lo, hi) in zip(cols, box)]
+    return place(*(F.least(F.greatest(s, F.lit(0).cast("long")), F.lit((1 << bits) - 1).cast("long")) for s in scaled))
+
+
 def hilbert_index(cells_: np.ndarray, bits: int) -> np.ndarray:
     """Hilbert curve positions of integer cells (n, d): the order that the Morton order is compared with."""
     x = cells_.astype(np.int64).copy()

@@ -115,21 +115,49 @@ def group_order(df: DataFrame, labelled: DataFrame, tree: PlaneTree) -> DataFram
 def catalogue(points: DataFrame, labelled: DataFrame, cols: list[str], mass: str | None = None, vel: list[str] = (), min_count: int = 20, box=None) -> DataFrame:
     """(group_id, n, mass, com_x.., com_v.., r_inertia) of groups of at least min_count points.
 
+    Each batch of rows sends one row of moments for each of its groups, so a giant group is no task of its own.
     With a box, positions are unwrapped around the group's first point before they are averaged.
     """
     rows = points.join(labelled, "id")
     m = F.col(mass).cast("double") if mass else F.lit(1.0)
+    place = [F.col(c).cast("double") for c in cols]
     if box:
         anchor = points.select(F.col("id").alias("group_id"), *(F.col(c).alias(f"__a{i}") for i, c in enumerate(cols)))
-        rows = rows.join(anchor, "group_id")
+        rows = rows.join(anchor, "group_id")  # one anchor a group, so a giant group is split by skew handling
         from zplane.functions.bounds import wrap
 
-        rows = rows.withColumns({c: F.col(f"__a{i}") + wrap(F.col(c) - F.col(f"__a{i}"), box[i]) for i, c in enumerate(cols)})
-    first = rows.groupBy("group_id").agg(
-        F.count("*").alias("n"), F.sum(m).alias("mass"), *((F.sum(m * F.col(c)) / F.sum(m)).alias(f"com_x{i}") for i, c in enumerate(cols)), *((F.sum(m * F.col(v)) / F.sum(m)).alias(f"com_v{i}") for i, v in enumerate(vel))
-    ).where(F.col("n") >= min_count)
-    off = sum(((F.col(c) - F.col(f"com_x{i}")) * (F.col(c) - F.col(f"com_x{i}")) for i, c in enumerate(cols[1:], 1)), (F.col(cols[0]) - F.col("com_x0")) * (F.col(cols[0]) - F.col("com_x0")))
-    spread = rows.join(first, "group_id").groupBy("group_id").agg(F.sqrt(F.sum(m * off) / F.sum(m)).alias("r_inertia"))
+        place = [F.col(f"__a{i}") + wrap(F.col(c) - F.col(f"__a{i}"), box[i]) for i, c in enumerate(cols)]
+    d, e = len(cols), len(cols) + len(vel)
+    names = ["group_id", "n", "mass", *(f"s{i}" for i in range(e)), "spread"]
+    kind = "group_id long, n long, mass double, " + ", ".join(f"s{i} double" for i in range(e)) + ", spread double"
+
+    def partial(batches):
+        """Moments of the rows of each batch by group: mass, weighted sums, and the weighted spread around the batch's own centre."""
+        import pyarrow as pa
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            ids, at = np.unique(b.column(0).to_numpy(), return_inverse=True)
+            w = b.column(1).to_numpy()
+            x = np.column_stack([b.column(2 + i).to_numpy(zero_copy_only=False) for i in range(e)])
+            total = np.bincount(at, weights=w, minlength=len(ids))
+            sums = np.column_stack([np.bincount(at, weights=w * x[:, i], minlength=len(ids)) for i in range(e)])
+            with np.errstate(invalid="ignore", divide="ignore"):
+                off = x[:, :d] - (sums[:, :d] / total[:, None])[at]
+            spread = np.bincount(at, weights=w * (off * off).sum(1), minlength=len(ids))
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.bincount(at, minlength=len(ids))), pa.array(total), *(pa.array(sums[:, i]) for i in range(e)), pa.array(spread)], names)
+
+    parts = rows.select("group_id", m.alias("m"), *(x.alias(f"p{i}") for i, x in enumerate(place)), *(F.col(v).cast("double").alias(f"v{i}") for i, v in enumerate(vel))).mapInArrow(partial, kind)
+    parts = stored(parts, "moments")
+    sums = parts.groupBy("group_id").agg(F.sum("n").alias("n"), F.sum("mass").alias("mass"), *(F.sum(f"s{i}").alias(f"s{i}") for i in range(e))).where(F.col("n") >= min_count)
+    first = sums.select("group_id", "n", "mass", *(F.try_divide(f"s{i}", "mass").alias(f"com_x{i}") for i in range(d)), *(F.try_divide(f"s{d + i}", "mass").alias(f"com_v{i}") for i in range(len(vel))))
+    off = None
+    for i in range(d):
+        t = F.try_divide(f"s{i}", "part") - F.col(f"com_x{i}")
+        off = t * t if off is None else off + t * t
+    met = parts.select("group_id", F.col("mass").alias("part"), *(f"s{i}" for i in range(d)), "spread").join(first, "group_id")
+    spread = met.groupBy("group_id").agg(F.sqrt(F.try_divide(F.sum(F.col("spread") + F.coalesce(F.col("part") * off, F.lit(0.0))), F.first("mass"))).alias("r_inertia"))
     return first.join(spread, "group_id")
 
 

@@ -206,45 +206,55 @@ def _bit_text(plan: zkey.KeyPlan):
 def assign_domains(df: DataFrame, plan: zkey.KeyPlan, rows: int) -> tuple[list[bytes], dict]:
     """First keys of the domains (in order), each a whole Morton cell of at most `rows` points or a site.
 
-    Small inputs are one domain. Otherwise prefixes of 16 more bits are counted round by round inside the
-    heavy cells; the driver sees one row for each counted prefix of a heavy cell, at most 2^16 for each
-    `rows` points, and packs nothing across cells.
+    Small inputs are one domain. Otherwise prefixes of 16 more bits are counted round by round inside the heavy
+    cells, and each heavy cell (at most 2^16 counted prefixes) is halved in a task of its own. The driver gets
+    the first keys of the domains, one for each `rows` points or so, and nothing is packed across cells.
     """
     n = df.count()
     if n <= rows:
         return [b""], {"points": n}
-    found: list[tuple[bytes, int]] = []
-    open_: list[tuple[bytes, int]] = [(b"", n)]
-    depth = 0
-    while open_ and depth < plan.bytes:
+    found, heavy, depth = None, None, 0
+    while depth < plan.bytes:
         step = min(2 if depth else 1, plan.bytes - depth)
-        heavy = df.sparkSession.createDataFrame([(bytearray(k),) for k, _ in open_], "p binary")
-        cut = df.select("zkey").join(F.broadcast(heavy), F.expr(f"substring(zkey, 1, {depth})") == F.col("p"), "left_semi") if depth else df
-        got = cut.groupBy(F.expr(f"substring(zkey, 1, {depth + step})").alias("k")).agg(F.count("*").alias("n")).collect()
-        cells = sorted((bytes(r["k"]), r["n"]) for r in got)
-        # halve cells bit by bit from the counts of the longer prefixes, down to whole bytes
-        tree: dict[bytes, list] = {}
-        for k, m in cells:
-            tree.setdefault(k[:depth], []).append((k, m))
-        open_ = []
-        for parent, kids in tree.items():
-            _halve(parent, kids, 8 * depth, 8 * (depth + step), rows, found, open_)
+        cut = df.select("zkey")
+        if heavy is not None:
+            cut = cut.join(heavy.select(F.col("k").alias("p")), F.expr(f"substring(zkey, 1, {depth})") == F.col("p"), "left_semi")
+        counts = cut.groupBy(F.expr(f"substring(zkey, 1, {depth + step})").alias("k")).agg(F.count("*").alias("n"))
+        parts = counts.withColumn("parent", F.expr(f"substring(k, 1, {depth})")).groupBy("parent").applyInArrow(_halve_cell(8 * depth, 8 * (depth + step), rows), "k binary, heavy boolean")
+        parts = stored(parts, "cells")
+        light = parts.where("NOT heavy").select("k")
+        found = light if found is None else found.union(light)
+        heavy = parts.where("heavy").select("k")
         depth += step
-    found += open_
-    return [k for k, _ in sorted(found)], {"points": n}
+        if heavy.isEmpty():
+            break
+    return sorted(bytes(r["k"]) for r in found.union(heavy).collect()), {"points": n}
+
+
+def _halve_cell(first: int, last: int, rows: int):
+    def halve(table):
+        import pyarrow as pa
+
+        kids = sorted(zip((bytes(k) for k in table.column("k").to_pylist()), table.column("n").to_pylist()))
+        found: list = []
+        heavy: list = []
+        _halve(kids, first, last, rows, found, heavy)
+        return pa.table({"k": pa.array([*found, *heavy], pa.binary()), "heavy": pa.array([False] * len(found) + [True] * len(heavy))})
+
+    return halve
 
 
-def _halve(prefix: bytes, kids: list, bit: int, last: int, rows: int, found: list, heavy: list) -> None:
-    total = sum(m for _, m in kids)
-    if total <= rows:
-        found.append((kids[0][0], total))
+def _halve(kids: list, bit: int, last: int, rows: int, found: list, heavy: list) -> None:
+    """The first prefixes of the cells that a cell with counted prefixes `kids` is halved into, bit by bit."""
+    if sum(m for _, m in kids) <= rows:
+        found.append(kids[0][0])
     elif bit == last:
-        heavy.append((kids[0][0], total))
+        heavy.append(kids[0][0])
     else:
         for side in (0, 1):
             part = [(k, m) for k, m in kids if (k[bit >> 3] >> (7 - (bit & 7)) & 1) == side]
             if part:
-                _halve(prefix, part, bit + 1, last, rows, found, heavy)
+                _halve(part, bit + 1, last, rows, found, heavy)
 
 
 # -- building -------------------------------------------------------------------------------------------------

@@ -83,16 +83,24 @@ def sql(name: str, t: Dialect) -> str:
         rows = drawn(keyed, {f"c{j}": (t.div(k, 64), 61 + j) for j in range(3)} | {f"o{j}": (k, 71 + j) for j in range(3)}, t.spark)
         raw = ", ".join(f"(c{j} + (o{j} - CAST(0.5 AS DOUBLE)) * CAST(CASE {k} % 8 {size} END AS DOUBLE)) AS r{j}" for j in range(3))
         return f"SELECT {k} AS id, {', '.join(f'r{j} - floor(r{j}) AS x{j}' for j in range(3))}, o_totalprice AS w FROM (SELECT *, {raw} FROM ({rows}) AS r) AS s"
+    if name == "ps_moving":
+        rows = drawn(f"SELECT *, id AS k FROM ({sql('ps_clump', t)}) AS c", {f"r{j}": ("k", 81 + j) for j in range(3)}, t.spark)
+        return f"SELECT id, x0, x1, x2, w, {', '.join(f'(r{j} - CAST(0.5 AS DOUBLE)) * CAST(600 AS DOUBLE) AS v{j}' for j in range(3))} FROM ({rows}) AS m"
+    if name == "ps_hundred":
+        rows = drawn("SELECT i FROM (SELECT explode(sequence(1, 100)) AS i) AS s" if t.spark else "SELECT i FROM range(1, 101) AS s(i)", {f"x{j}": ("i", 91 + j) for j in range(2)}, t.spark)
+        return f"SELECT {big('i')} AS id, x0, x1 FROM ({rows}) AS r"
     if name in ("ps_unif", "ps_unif_q"):
         rows = drawn(keyed, {f"x{j}": (k, (1 if name == "ps_unif" else 11) + j) for j in range(3)}, t.spark)
         return f"SELECT {k} AS id, x0, x1, x2, o_totalprice AS w FROM ({rows}) AS r"
+    # lines repeat their key, so a number within the key makes ids (a window over each key, none over the table)
+    line_id = f"(CAST(l_orderkey AS BIGINT) * 8 + l_linenumber) * {big(4096)} + row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY l_partkey, l_suppkey, l_quantity, l_extendedprice)"
     return {
         "ps_part": f"SELECT p_partkey AS id, p_size / CAST(50 AS DOUBLE) AS x0, (p_retailprice - 900) / CAST(100 AS DOUBLE) AS x1, p_retailprice AS w FROM {t.table('part')}",
         "ps_acct": f"SELECT c_custkey AS id, c_acctbal AS x0, CAST(c_nationkey AS DOUBLE) AS w FROM {t.table('customer')}",
         "ps_customer": f"SELECT c_custkey AS id, c_acctbal / CAST(10000 AS DOUBLE) AS x0, CAST(coalesce(s, 0) AS DOUBLE) / CAST(2000000 AS DOUBLE) AS x1, CAST(coalesce(n, 0) AS DOUBLE) / CAST(20 AS DOUBLE) AS x2, c_acctbal AS w FROM {t.table('customer')} LEFT JOIN (SELECT o_custkey, sum(CAST(o_totalprice AS DECIMAL(18,2))) AS s, count(*) AS n FROM {o} GROUP BY o_custkey) AS q ON c_custkey = o_custkey",
         "ps_orders": f"SELECT {k} AS id, o_totalprice / CAST(500000 AS DOUBLE) AS x0, ({t.days('o_orderdate', '1995-01-01')}) / CAST(2404 AS DOUBLE) AS x1, o_totalprice AS w FROM {o}",
-        "ps_line": f"SELECT CAST(row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey) AS BIGINT) AS id, l_quantity / CAST(50 AS DOUBLE) AS x0, l_extendedprice / CAST(105000 AS DOUBLE) AS x1, l_discount * 10 AS x2, l_tax AS w FROM {t.table('lineitem')}",
-        "ps_dup": f"SELECT CAST(row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey) AS BIGINT) AS id, l_quantity AS x0, l_discount AS x1, l_tax AS w FROM {t.table('lineitem')}",
+        "ps_line": f"SELECT {line_id} AS id, l_quantity / CAST(50 AS DOUBLE) AS x0, l_extendedprice / CAST(105000 AS DOUBLE) AS x1, l_discount * 10 AS x2, l_tax AS w FROM {t.table('lineitem')}",
+        "ps_dup": f"SELECT {line_id} AS id, l_quantity AS x0, l_discount AS x1, l_tax AS w FROM {t.table('lineitem')}",
         "ps_events": f"SELECT event_id AS id, {t.days('ts', '2024-01-01')} AS x0, value / CAST(50 AS DOUBLE) AS x1, value AS w FROM {t.table('events')}",
         "ps_cyclic": f"SELECT event_id AS id, {t.hours_of_day('ts')} AS x0, value / CAST(20 AS DOUBLE) AS x1, value AS w FROM {t.table('events')}",
         "ps_grid": f"SELECT {k} AS id, CAST({k} % 25 AS DOUBLE) AS x0, CAST({t.div(k, 25)} % 25 AS DOUBLE) AS x1, CAST({t.div(k, 625)} AS DOUBLE) AS x2, o_totalprice AS w FROM {o}",
@@ -103,7 +111,7 @@ def sql(name: str, t: Dialect) -> str:
 def dims(name: str) -> int:
     if name.startswith("ps_emb"):
         return int(name.removeprefix("ps_emb_d"))
-    return {"ps_acct": 1, "ps_part": 2, "ps_orders": 2, "ps_dup": 2, "ps_events": 2, "ps_cyclic": 2, "ps_text": 2}.get(name, 3)
+    return {"ps_acct": 1, "ps_part": 2, "ps_orders": 2, "ps_dup": 2, "ps_events": 2, "ps_cyclic": 2, "ps_text": 2, "ps_hundred": 2}.get(name, 3)
 
 
 def cols(name: str) -> list[str]:

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from zplane import pointsets as ps
-from zplane.operators import baselines, joins, knn, linking
+from zplane.operators import baselines, joins, knn, linking, tables
 from zplane.plans.planes import Options, paper_options
 from zplane.session import stored
 
@@ -26,9 +26,9 @@ def _d2(a: str, b: str, d: int, box=None) -> str:
     return " + ".join(terms)
 
 
-def _knn_rows(src: str, k: int, box=None, queries: str | None = None, include_self: bool = True) -> str:
+def _knn_rows(src: str, k: int, box=None, queries: str | None = None, include_self: bool = True, asked: str | None = None) -> str:
     """WITH p, q, near: (qid, rank, sid, d2) by brute force."""
-    q = ps.sql(queries, DUCK) if queries else "SELECT * FROM p"
+    q = asked or (ps.sql(queries, DUCK) if queries else "SELECT * FROM p")
     cond = "" if include_self else " WHERE q.id <> p.id"
     return f"""WITH p AS MATERIALIZED ({ps.sql(src, DUCK)}), q AS MATERIALIZED ({q}),
 lists AS (SELECT q.id AS qid, min({{'d': {_d2('q', 'p', ps.dims(src), box)}, 's': p.id}}, {k}) AS l FROM q CROSS JOIN p{cond} GROUP BY q.id),
@@ -265,6 +265,132 @@ def _moments(spark, sf_dir):
     return m.groupBy("plane").agg(F.sum("n").alias("n"), F.round(F.sum("sum_y0"), 2).alias("total"))
 
 
+def _hundred(spark, sf_dir):
+    """Two planes of a hundred random points: how many points share each point's node, and the node's level."""
+    tree = knn.joint_tree(ps.points(spark, sf_dir, "ps_hundred"), None, ps.cols("ps_hundred"), options=Options(schedule=[4, 32]))
+    leaf = tree.nodes.where("plane = 0").select(F.col("node").alias("leaf"), "parent", F.col("n_src").alias("n0"), F.col("lvl").alias("lvl0"))
+    top = tree.nodes.where("plane = 1").select(F.col("node").alias("parent"), F.col("n_src").alias("n1"))
+    return tree.points.join(leaf, "leaf").join(top, "parent").select("id", "n0", "n1")
+
+
+def _hundred_sql() -> str:
+    """Cells of every level hold the points that agree in the leading binary digits of x0 and, one digit less or as many, of x1."""
+    cell = lambda l: f"floor(x0 * (2 ** (({l} + 1) // 2))) AS c0, floor(x1 * (2 ** ({l} // 2))) AS c1"
+    return f"""WITH p AS MATERIALIZED ({ps.sql('ps_hundred', DUCK)}),
+cells AS (SELECT id, l, {cell('l')} FROM p, range(0, 60) AS t(l)),
+counts AS (SELECT id, l, count(*) OVER (PARTITION BY l, c0, c1) AS n FROM cells)
+SELECT id, max(n) FILTER (WHERE n <= 4) AS n0, max(n) FILTER (WHERE n <= 32) AS n1 FROM counts GROUP BY id"""
+
+
+def _zorder_unif(spark, sf_dir):
+    from zplane.functions.zkey import morton63
+
+    pts = ps.points(spark, sf_dir, "ps_unif")
+    return pts.select("id", morton63([F.col(c) for c in ps.cols("ps_unif")], ((0.0, 1.0),) * 3).alias("zkey"))
+
+
+def _zorder_unif_sql() -> str:
+    bits = " + ".join(f"((CAST(floor(x{i} * 2097152) AS BIGINT) >> {b}) & 1) * CAST({1 << (3 * b + 2 - i)} AS BIGINT)" for b in range(21) for i in range(3))
+    return f"SELECT id, CAST({bits} AS BIGINT) AS zkey FROM ({ps.sql('ps_unif', DUCK)}) AS p"
+
+
+def _moving(spark, sf_dir):
+    pts = ps.points(spark, sf_dir, "ps_moving")
+    labelled = linking.link_clusters(pts.select("id", "x0", "x1", "x2"), ["x0", "x1", "x2"], 0.008)
+    got = linking.catalogue(pts, labelled, ["x0", "x1", "x2"], mass="w", vel=["v0", "v1", "v2"], min_count=20)
+    return got.select("group_id", "n", *(F.round(f"com_v{i}", 6).alias(f"com_v{i}") for i in range(3)), F.round("r_inertia", 6).alias("r_inertia"))
+
+
+def _moving_sql() -> str:
+    com = ", ".join([f"sum(w * x{i}) / sum(w) AS c{i}" for i in range(3)] + [f"sum(w * v{i}) / sum(w) AS u{i}" for i in range(3)])
+    off = " + ".join(f"(x{i} - c{i}) * (x{i} - c{i})" for i in range(3))
+    return f"""{_groups('ps_clump', 0.008)}, m AS (SELECT q.*, group_id FROM ({ps.sql('ps_moving', DUCK)}) AS q JOIN roots USING (id)),
+g AS (SELECT group_id, count(*) AS n, {com} FROM m GROUP BY group_id HAVING count(*) >= 20)
+SELECT group_id, any_value(n) AS n, {', '.join(f'round(any_value(u{i}), 6) AS com_v{i}' for i in range(3))}, round(sqrt(sum(w * ({off})) / sum(w)), 6) AS r_inertia FROM m JOIN g USING (group_id) GROUP BY group_id"""
+
+
+def _integer_ties(spark, sf_dir):
+    """What integer keys of 21 bits a dimension can't tell apart, and exact keys can."""
+    from zplane.functions.zkey import morton63, with_zkey
+
+    pts = ps.points(spark, sf_dir, "ps_clump")
+    cols = ps.cols("ps_clump")
+    keyed = with_zkey(pts, cols).withColumn("coarse", morton63([F.col(c) for c in cols], ((-8192.0, 8192.0),) * 3))
+    return keyed.agg(F.count("*").alias("points"), F.countDistinct("zkey").alias("exact_keys"), F.countDistinct("coarse").alias("integer_keys"))
+
+
+def _integer_ties_sql() -> str:
+    cell = ", ".join(f"floor((x{i} + 8192) / 16384 * 2097152) AS g{i}" for i in range(3))
+    return f"""WITH p AS ({ps.sql('ps_clump', DUCK)}) SELECT count(*) AS points, (SELECT count(*) FROM (SELECT DISTINCT x0, x1, x2 FROM p) AS s) AS exact_keys,
+(SELECT count(*) FROM (SELECT DISTINCT {cell} FROM p) AS s) AS integer_keys FROM p"""
+
+
+def _cells(spark, sf_dir, name="ps_unif"):
+    return tables.cell_columns(ps.points(spark, sf_dir, name), ps.cols(name), 0.125, "abc")
+
+
+def _cells_sql(name="ps_unif") -> str:
+    return f"SELECT {', '.join(f'CAST(floor(x{i} / 0.125) AS BIGINT) AS {g}' for i, g in enumerate('abc'))} FROM ({ps.sql(name, DUCK)}) AS p"
+
+
+def _cell_queries() -> dict[str, tuple[Callable, str | None]]:
+    sets = [["a", "b"], ["c"], []]
+    seen = ["a", "b", "c"]
+    return {
+        "cells_cube": (lambda s, f: tables.cell_summary(_cells(s, f), seen, "cube"), f"SELECT a, b, c, count(*) AS n FROM ({_cells_sql()}) AS q GROUP BY CUBE (a, b, c)"),
+        "cells_grouping_sets": (lambda s, f: tables.cell_summary(_cells(s, f), seen, "sets", sets), f"SELECT a, b, c, count(*) AS n FROM ({_cells_sql()}) AS q GROUP BY GROUPING SETS ((a, b), (c), ())"),
+        "cells_pivot": (lambda s, f: tables.cell_pivot(_cells(s, f), "a", "b", list(range(8))), f"SELECT a, {', '.join(f'count(*) FILTER (WHERE b = {v}) AS c{v}' for v in range(8))} FROM ({_cells_sql()}) AS q GROUP BY a"),
+        "cells_intersect": (lambda s, f: _cells(s, f).select(*seen).intersect(_cells(s, f, "ps_clump").select(*seen)), f"SELECT * FROM ({_cells_sql()}) AS q INTERSECT SELECT * FROM ({_cells_sql('ps_clump')}) AS r"),
+        "cells_occupied": (lambda s, f: _cells(s, f, "ps_clump").groupBy("a").agg(F.countDistinct("b", "c").alias("cells")), f"SELECT a, count(*) AS cells FROM (SELECT DISTINCT a, b, c FROM ({_cells_sql('ps_clump')}) AS q) AS r GROUP BY a"),
+    }
+
+
+def _quantiles(spark, sf_dir):
+    got = tables.distance_quantiles(knn.knn(ps.points(spark, sf_dir, "ps_customer"), 8, ps.cols("ps_customer")), 8, [0.1, 0.5, 0.9])
+    return got.select("level", F.round("dist", 6).alias("dist"))
+
+
+def _steps(spark, sf_dir):
+    got = tables.neighbour_steps(knn.knn(ps.points(spark, sf_dir, "ps_customer"), 8, ps.cols("ps_customer")))
+    return got.select("qid", "rank", "sid", F.round("step", 6).alias("step"), "place", "quarter")
+
+
+def _largest(spark, sf_dir):
+    return tables.largest_groups(linking.link_clusters(ps.points(spark, sf_dir, "ps_clump"), ps.cols("ps_clump"), 0.008), 10)
+
+
+def _outer(spark, sf_dir):
+    return _shown(tables.knn_outer(ps.points(spark, sf_dir, "ps_unif"), 4, ps.cols("ps_unif"), ps.points(spark, sf_dir, "ps_unif_q"), 0.02))
+
+
+def _sites(spark, sf_dir):
+    got = tables.collapse_sites(ps.points(spark, sf_dir, "ps_dup"), ps.cols("ps_dup"), weight="w")
+    return got.select("id", "x0", "x1", "n", F.round("w", 6).alias("w"))
+
+
+def _standard(spark, sf_dir):
+    pts = tables.to_points(spark.read.parquet(f"{sf_dir}/orders.parquet"), "o_orderkey", ["o_totalprice", F.col("o_custkey")], scale=[1000.0, 1.0], offset=[500.0, 0.0])
+    return tables.standardise(pts, ["x0", "x1"]).select("id", *(F.round(c, 6).alias(c) for c in ("x0", "x1")))
+
+
+STANDARD_SQL = """WITH p AS (SELECT o_orderkey AS id, (CAST(o_totalprice AS DOUBLE) - 500) / 1000 AS x0, CAST(o_custkey AS DOUBLE) AS x1 FROM orders), s AS (SELECT avg(x0) AS a, stddev_pop(x0) AS b, avg(x1) AS c, stddev_pop(x1) AS d FROM p)
+SELECT CAST(id AS BIGINT) AS id, round((x0 - a) / b, 6) AS x0, round((x1 - c) / d, 6) AS x1 FROM p, s"""
+
+
+def _pair_stages(spark, sf_dir):
+    return joins.pair_counts(ps.points(spark, sf_dir, "ps_customer"), BINS, ps.cols("ps_customer"), options=Options(n_max0=32, domain_rows=600, n_target=8), method="stages").where("pairs > 0")
+
+
+def _probe_stages(spark, sf_dir):
+    tree = knn.joint_tree(ps.points(spark, sf_dir, "ps_customer"), None, ps.cols("ps_customer"), options=Options(n_max0=32, domain_rows=600, n_target=8))
+    return _shown(knn.knn_probe(tree, ps.points(spark, sf_dir, "ps_part").select("id", "x0", "x1", F.lit(0.25).alias("x2")), 8, ps.cols("ps_customer"), method="stages"))
+
+
+def _probe_sql() -> str:
+    ask = f"SELECT id, x0, x1, CAST(0.25 AS DOUBLE) AS x2 FROM ({ps.sql('ps_part', DUCK)}) AS a"
+    return knn_sql("ps_customer", 8, asked=ask)
+
+
 def _registry() -> dict[str, tuple[Callable, str | None]]:
     out: dict[str, tuple[Callable, str | None]] = {}
     for name, src, k, kw in [
@@ -278,6 +404,11 @@ def _registry() -> dict[str, tuple[Callable, str | None]]:
         out[f"knn_emb_d{d}"] = _knn_query(f"ps_emb_d{d}", 16)
     for k in (1, 4, 32, 64, 128):
         out[f"knn_k{k}"] = _knn_query("ps_customer", k)
+        out[f"knn_unif_k{k}"] = _knn_query("ps_unif", k)  # k = 16 is knn_unif
+    few = {"n_max0": 32, "domain_rows": 4000, "n_target": 8}
+    for name, kw in [("ngr_1", {"options": Options(ngr=1, **few)}), ("ngr_4", {"options": Options(ngr=4, **few)}), ("binary_planes", {"options": Options(c=2, n_max0=32)}), ("bounded_heap", {"heap_slots": 8}), ("uncapped", {"options": Options(f_max=None)})]:
+        out[f"knn_{name}"] = _knn_query("ps_bell" if name == "uncapped" else "ps_unif", 16, **kw)
+    out["knn_probe_stages"] = (_probe_stages, _probe_sql())
     out["knn_k64_multipass"] = _knn_query("ps_customer", 64, k_pass=32)
     out["knn_walk_stages"] = (_stages, knn_sql("ps_customer", 8))
     out["knn_small_query"] = (_small_query, knn_sql("ps_line", 8, queries="ps_customer"))
@@ -294,6 +425,7 @@ def _registry() -> dict[str, tuple[Callable, str | None]]:
     out["link_walk_stages"] = _link_query("ps_customer", 0.04, options=Options(n_max0=32, domain_rows=600, n_target=8), method=lambda a, c, r, **kw: linking.link_clusters(a, c, r, **kw | {"method": "stages"}))
     for name, method in [("union_find", baselines.link_union_find), ("grid", baselines.link_grid), ("by_knn", baselines.link_by_knn)]:
         out[f"base_link_{name}"] = _link_query("ps_customer", 0.04, method=method)
+    out["link_sites"] = (lambda spark, sf_dir: tables.link_sites(ps.points(spark, sf_dir, "ps_dup"), ps.cols("ps_dup"), 0.5), f"SELECT id, min(id) OVER (PARTITION BY x0) AS group_id FROM ({ps.sql('ps_dup', DUCK)}) AS p")
     out["link_dup"] = (_link_dup, f"SELECT id, min(id) OVER (PARTITION BY x0) AS group_id FROM ({ps.sql('ps_dup', DUCK)}) AS p")
     out["catalogue_orders"] = _catalogue_query("ps_orders", 0.004, 1)
     out["catalogue_min20"] = _catalogue_query("ps_clump", 0.008, 20)
@@ -311,6 +443,7 @@ def _registry() -> dict[str, tuple[Callable, str | None]]:
     cases = " ".join(f"WHEN d2 <= CAST({b!r} AS DOUBLE) * CAST({b!r} AS DOUBLE) THEN {i}" for i, b in enumerate(BINS[1:]))
     out["pair_counts"] = (_pair_counts, f"{_pairs('ps_unif', BINS[-1])} SELECT CAST(CASE {cases} END AS INTEGER) AS bin, count(*) AS pairs FROM near GROUP BY 1")
     core = "both_ways AS (SELECT a.id AS a, b.id AS b FROM p a JOIN p b ON " + _d2("a", "b", 3) + " <= CAST(0.04 AS DOUBLE) * CAST(0.04 AS DOUBLE)), cores AS (SELECT a AS id FROM both_ways GROUP BY a HAVING count(*) >= 4)"
+    out["pair_counts_stages"] = (_pair_stages, f"{_pairs('ps_customer', BINS[-1])} SELECT CAST(CASE {cases} END AS INTEGER) AS bin, count(*) AS pairs FROM near GROUP BY 1")
     out["density_clusters"] = (_density_clusters, f"""WITH RECURSIVE p AS MATERIALIZED ({ps.sql('ps_customer', DUCK)}), {core},
 links AS (SELECT a, b FROM both_ways WHERE a <> b AND a IN (SELECT id FROM cores) AND b IN (SELECT id FROM cores)),
 reach(id, root) AS (SELECT id, id FROM cores UNION SELECT l.b, reach.root FROM reach JOIN links l ON l.a = reach.id WHERE reach.root < l.b),
@@ -326,6 +459,19 @@ SELECT p.id, coalesce(r.cluster, (SELECT min(q.cluster) FROM both_ways w JOIN ro
     out["asof_nearest"] = (_asof, ASOF_SQL)
     out["rollup_cells"] = (_rollup, ROLLUP_SQL)
     out["session_links"] = (_sessions, SESSIONS_SQL)
+    out["planes_of_hundred"] = (_hundred, _hundred_sql())
+    out["zorder_unif"] = (_zorder_unif, _zorder_unif_sql())
+    out["catalogue_velocity"] = (_moving, _moving_sql())
+    out["integer_key_ties"] = (_integer_ties, _integer_ties_sql())
+    out |= _cell_queries()
+    near8 = _knn_rows("ps_customer", 8)
+    levels = " UNION ALL ".join(f"SELECT CAST({q} AS DOUBLE) AS level, round(quantile_cont(sqrt(d2), {q}), 6) AS dist FROM near WHERE rank = 8" for q in (0.1, 0.5, 0.9))
+    out["distance_quantiles"] = (_quantiles, f"{near8} {levels}")
+    out["neighbour_steps"] = (_steps, f"{near8} SELECT qid, rank, sid, round(sqrt(d2) - lag(sqrt(d2)) OVER w, 6) AS step, CAST(dense_rank() OVER (PARTITION BY qid ORDER BY sqrt(d2)) AS INTEGER) AS place, CAST(ntile(4) OVER w AS INTEGER) AS quarter FROM near WINDOW w AS (PARTITION BY qid ORDER BY sqrt(d2), sid)")
+    out["largest_groups"] = (_largest, f"{_groups('ps_clump', 0.008)} SELECT group_id, count(*) AS size FROM roots GROUP BY group_id ORDER BY size DESC, group_id LIMIT 10")
+    out["knn_outer"] = (_outer, f"{_knn_rows('ps_unif', 4, queries='ps_unif_q')}, f AS (SELECT * FROM near WHERE sqrt(d2) <= 0.02) SELECT q.id AS qid, rank, sid, round(sqrt(d2), 6) AS dist FROM q LEFT JOIN f ON f.qid = q.id")
+    out["sites_dup"] = (_sites, f"SELECT min(id) AS id, x0, x1, count(*) AS n, round(sum(w), 6) AS w FROM ({ps.sql('ps_dup', DUCK)}) AS p GROUP BY x0, x1")
+    out["standardised_points"] = (_standard, STANDARD_SQL)
     # no SQL: counters, and sets whose brute force is too large for it (tested on small fixtures)
     out["domain_balance"] = (_balance, None)
     out["knn_metrics_unif"] = (_metrics("ps_unif"), None)
