@@ -65,3 +65,35 @@ def test_near_copies_of_repeated_ids(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = [(r.doc_id, r.text) for r in dict(corpus_pipeline.STAGES)["near_copies"](spark, docs, "").collect()]
     assert sorted(got, key=repr) == sorted([(1, a), (2, b), (3, c), (5, None), (5, ""), (None, a)], key=repr)
+
+
+def test_scan_equals_a_plain_scan_with_the_same_weights(spark, sf):
+    import math
+    import re
+
+    model = train_licenses(spark.read.parquet(f"{sf}/documents.parquet"))
+    weights, temperature = dict(model["grams"]), model["temperature"]
+    grant = licenses.NOTICES["mit"][3].split(" ")
+    wrapped = "\n".join(" ".join(grant[i : i + 6]) for i in range(0, len(grant), 6))
+    rows = [(1, f"Some prose.\n{wrapped}.\nMore prose."), (None, "Released under the MIT License."), (2, "Released under the MIT License."), (2, "Released under the MIT License."), (2, "Licensed under CC BY 4.0."), (3, "all rights reserved for the library")]
+    rows += [(10 + i, "\n".join(n for n in licenses.NOTICES[f])) for i, f in enumerate(licenses.FAMILIES)] + [(40 + i, t) for i, t in enumerate(licenses.OTHERS)]
+    want = set()
+    for doc, text in rows:
+        joined = re.sub(r"(?<![.!?:;])[ \t\r]*\n[ \t]*(?=[a-z])", " ", text)
+        for para, line in enumerate(joined.split("\n")):
+            w = re.findall("[a-z0-9]+", line.lower())
+            g = {" ".join(w[i : i + n]) for n in (1, 2, 3) for i in range(len(w) - n + 1)}
+            if not any(x in weights for x in g):
+                continue
+            z = [(round(sum(weights[x][c] for x in sorted(g) if x in weights), 9) + b) / temperature for c, b in enumerate(model["bias"])]
+            best = max(range(len(z)), key=lambda c: (z[c], c == licenses.UNKNOWN))
+            p = 1 / sum(math.exp(v - max(z)) for v in z)
+            if best == licenses.UNKNOWN or p < licenses.LEAST:
+                continue
+            pairs = lambda w: {a + " " + b for a, b in zip(w, w[1:])} if len(w) > 1 else {w[0] + " " + w[0]}
+            near = max(len(pairs(re.findall("[a-z0-9]+", n.lower())) & pairs(w)) / len(pairs(re.findall("[a-z0-9]+", n.lower()))) for n in licenses.NOTICES[licenses.FAMILIES[best]])
+            want.add((doc, para, licenses.FAMILIES[best], round(p, 4), round(near, 4), near >= licenses.SIMILAR))
+    got = scan_licenses(spark.createDataFrame(rows, "doc_id long, text string"), model).collect()
+    assert len(got) == len({(r.doc_id, r.para, r.family) for r in got})
+    assert {(r.doc_id, r.para, r.family, round(r.probability, 4), round(r.similarity, 4), r.confirmed) for r in got} == want
+    assert {(r.doc_id, r.family, r.confirmed) for r in got} >= {(1, "mit", True), (None, "mit", True), (2, "mit", True), (2, "cc-by", True)}

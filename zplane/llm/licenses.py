@@ -1,6 +1,6 @@
 """Licence scans by a trained paragraph classifier, in DataFrame operations only.
 
-Paragraphs (lines) become word 1- to 3-grams. A sparse logistic regression over the grams of known notices
+Paragraphs (lines, wrapped ones joined) become word 1- to 3-grams. A sparse logistic regression over the grams of known notices
 gives each licence family and an unknown class a score; a temperature fitted on paragraphs that were kept
 apart calibrates the probabilities. A family that wins is confirmed by comparing the paragraph with the
 family's notices. Training runs on a bounded set on the driver; scanning joins the exploded grams with the
@@ -54,8 +54,10 @@ OTHERS = [
 ]
 FAMILIES = list(NOTICES)
 UNKNOWN = len(FAMILIES)
-#: Paragraphs of the corpus, variants of each notice, and the probability that a family must reach.
-PLAIN_PARAGRAPHS, VARIANTS, LEAST, SIMILAR = 1500, 24, 0.5, 0.6
+#: Paragraphs of the corpus and documents they are drawn from (about), variants of each notice, and the probability that a family must reach.
+PLAIN_PARAGRAPHS, PLAIN_DOCS, VARIANTS, LEAST, SIMILAR = 1500, 3000, 24, 0.5, 0.6
+#: A line that ends without a closing mark goes on in the next one if that begins with a small letter.
+_WRAP = r"(?<![.!?:;])[ \t\r]*\n[ \t]*(?=[a-z])"
 #: A word in COMMON plain paragraphs is common; STOP words always are.
 COMMON, STOP = 4, "a an and any are as at be by for from he his in is it of on or she that the this to was with you".split()
 
@@ -72,8 +74,9 @@ def grams(words: str) -> Column:
 
 
 def paragraphs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, para, words): the lines of each text with their words; lines without words are left out."""
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.posexplode(F.split(F.coalesce(F.col(text_col).cast("string"), F.lit("")), "\n")).alias("para", "line"))
+    """(doc_id, para, words): the paragraphs of each text with their words; those without words are left out."""
+    whole = F.regexp_replace(F.coalesce(F.col(text_col).cast("string"), F.lit("")), _WRAP, " ")
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.posexplode(F.split(whole, "\n")).alias("para", "line"))
     return rows.select("doc_id", "para", word_array(F.col("line")).alias("words")).where(F.size("words") > 0)
 
 
@@ -95,14 +98,17 @@ def _variants(notice: str, rng: random.Random) -> list[str]:
 def train_licenses(docs: DataFrame, seed: int = 11) -> dict:
     """{"anchors", "grams": [(gram, weights)], "bias", "temperature", "accuracy"}; weights for each family and unknown.
 
-    The training set is bounded: VARIANTS of each notice, and PLAIN_PARAGRAPHS paragraphs of docs by hash
-    (those that share a 3-gram with a notice are not used, so notices in the corpus don't teach unknown).
+    The training set is bounded: VARIANTS of each notice, and PLAIN_PARAGRAPHS paragraphs of about PLAIN_DOCS
+    documents, both by hash, so what reaches the driver does not grow with the table (paragraphs that share a
+    3-gram with a notice are not used, so notices in the corpus don't teach unknown).
     """
     spark = docs.sparkSession
     rng = random.Random(seed)
     known = [(f, v) for f, family in enumerate(FAMILIES) for n in NOTICES[family] for v in _variants(n, rng)] + [(UNKNOWN, v) for n in OTHERS for v in _variants(n, rng)]
     local = spark.createDataFrame([(i, t) for i, (_, t) in enumerate(known)], "doc_id long, text string")
-    plain = paragraphs(docs).orderBy(F.xxhash64("doc_id", "para"), "doc_id", "para").limit(PLAIN_PARAGRAPHS)
+    share = min(1 << 30, (PLAIN_DOCS << 30) // max(1, docs.count()))
+    drawn = docs.select("doc_id", "text").where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) < share)
+    plain = paragraphs(drawn).orderBy(F.xxhash64("doc_id", "para"), "doc_id", "para", "words").limit(PLAIN_PARAGRAPHS)
     feats = [(known[r["doc_id"]][0], r["g"]) for r in paragraphs(local).select("doc_id", grams("words").alias("g")).orderBy("doc_id").collect()]  # bounded
     vocab = sorted({g for y, gs in feats if y != UNKNOWN for g in gs if " " in g or len(g) > 3 or g in ("mit", "gpl", "bsd", "mpl", "isc", "epl", "cc0", "cc", "gnu")})
     telling = {g for y, gs in feats if y != UNKNOWN for g in gs if g.count(" ") == 2}
@@ -176,22 +182,22 @@ def scan_licenses(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col
 
     similarity is the largest share of the 2-grams of one of the family's notices that the paragraph holds
     (1-grams for one-word notices); confirmed tells whether it reaches `similar`. Null and empty texts
-    have no paragraphs; repeated rows give repeated results only where ids differ, since a paragraph is
-    (doc_id, para).
+    have no paragraphs. Rows with a null id are scanned like others. Rows that agree in id, place and words of a
+    paragraph give one result; rows that share an id but not the paragraph give one each.
     """
     spark = docs.sparkSession
     lines = paragraphs(docs, id_col, text_col)
     if model["anchors"] is not None:  # the rest is unknown whatever else it holds
         lines = lines.where(F.arrays_overlap("words", F.array(*(F.lit(a) for a in model["anchors"]))))
-    sums, picks = _scores(spark, lines, model)
-    found = sums.select("doc_id", "para", *picks).where((F.col("family") != F.lit("unknown")) & (F.col("probability") >= least))
+    sums, picks = _scores(spark, lines.distinct(), model)
+    found = sums.select("doc_id", "para", "words", *picks).where((F.col("family") != F.lit("unknown")) & (F.col("probability") >= least))
     notices = [(f, i, t) for f in FAMILIES for i, t in enumerate(NOTICES[f])]
     known = spark.createDataFrame(notices, "family string, notice int, text string")
     pairs = lambda words: F.array_distinct(F.expr(f"filter(transform({words}, (x, i) -> IF(i + 1 < size({words}) OR size({words}) = 1, concat(x, ' ', coalesce({words}[least(i + 1, size({words}) - 1)], '')), NULL)), x -> x IS NOT NULL)"))
-    known = known.withColumn("words", word_array(F.col("text"))).select("family", "notice", pairs("words").alias("of"))
-    hits = found.join(lines, ["doc_id", "para"]).join(F.broadcast(known), "family")  # notices: a fixed table
-    share = F.size(F.array_intersect("of", pairs("words"))) / F.size("of")
-    best = hits.groupBy("doc_id", "para", "family", "probability").agg(F.max(share).alias("similarity"))
+    known = known.withColumn("words", word_array(F.col("text"))).select("family", pairs("words").alias("of"))
+    known = known.groupBy("family").agg(F.collect_list("of").alias("notices"))  # a fixed table
+    hits = found.join(F.broadcast(known), "family").withColumn("mine", pairs("words"))
+    best = hits.withColumn("similarity", F.array_max(F.transform("notices", lambda of: F.size(F.array_intersect(of, F.col("mine"))) / F.size(of))))
     return best.select("doc_id", "para", "family", F.round("probability", 6).alias("probability"), F.round("similarity", 6).alias("similarity"), (F.col("similarity") >= similar).alias("confirmed"))
 
 
@@ -200,8 +206,9 @@ def _scores(spark: SparkSession, lines: DataFrame, model: dict) -> tuple[DataFra
     cols = [f"w{i}" for i in range(len(classes))]
     table = spark.createDataFrame([(g, *w) for g, w in model["grams"]], "gram string, " + ", ".join(f"{c} double" for c in cols))
     table = table.withColumn("key", F.xxhash64("gram")).select("key", *cols)
-    rows = lines.select("doc_id", "para", F.explode(F.array_distinct(grams("words"))).alias("gram")).select("doc_id", "para", F.xxhash64("gram").alias("key"))
-    sums = rows.join(F.broadcast(table), "key").groupBy("doc_id", "para").agg(*(F.sum(c).alias(c) for c in cols))
+    vocab = F.split(F.lit("|".join(g for g, _ in model["grams"])), r"\|")  # only known grams go on, so a long paragraph is not copied for each of its own
+    rows = lines.select("doc_id", "para", "words", F.explode(F.array_intersect(grams("words"), vocab)).alias("gram")).withColumn("key", F.xxhash64("gram")).drop("gram")
+    sums = rows.join(F.broadcast(table), "key").groupBy("doc_id", "para", "words").agg(*(F.sum(c).alias(c) for c in cols))
     logit = [(F.round(F.col(c), 9) + b) / model["temperature"] for c, b in zip(cols, model["bias"])]
     top = F.greatest(*logit)
     probability = 1.0 / sum((F.exp(z - top) for z in logit[1:]), F.exp(logit[0] - top))
