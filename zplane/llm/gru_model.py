@@ -15,12 +15,13 @@ import numpy as np
 WINDOW, STRIDE = 32, 16
 WORD_CELLS, GRAM_CELLS, WORD_DIM, GRAM_DIM, HIDDEN, ATTEND = 4096, 16384, 8, 8, 8, 8
 GRAMS = (3, 4)
-_WORD = re.compile(r"[^\W\d_]{1,40}")
+#: Words are runs of letters and digits, or of marks other than full stops and commas; runs of over 40 are cut.
+_WORD = re.compile(r"[^\W_]{1,40}|(?:[^\w\s.,]|_){1,40}")
 F4 = np.float32
 
 
 def text_words(text: str | None) -> list[str]:
-    """Runs of letters in lower case; runs of over 40 letters are cut."""
+    """The words of a text in lower case."""
     return _WORD.findall((text or "").lower())
 
 

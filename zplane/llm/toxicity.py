@@ -8,8 +8,8 @@ from pyspark.sql import functions as F
 from zplane.llm import gru_model
 from zplane.session import ship
 
-#: Bounds of the training sample: labelled rows of each class.
-TOXIC_ROWS, CLEAN_ROWS = 1500, 2500
+#: Bounds of the training sample: labelled rows of each class, and characters of a text that may be part of it.
+TOXIC_ROWS, CLEAN_ROWS, MOST_CHARS = 1500, 2500, 20_000
 
 
 def held_out(id_col: str = "doc_id"):
@@ -20,6 +20,7 @@ def held_out(id_col: str = "doc_id"):
 def train_toxicity(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_ROWS, clean_rows: int = CLEAN_ROWS, id_col: str = "doc_id", text_col: str = "text"):
     """Fit on a bounded sample (by hash of the id) of labelled rows that are not held out. None without both classes.
 
+    Texts of more than MOST_CHARS are not learnt from, so the driver holds rows and bytes of a fixed bound.
     Rows with a null id or label are ignored; a doc labelled twice counts as toxic if any label says so.
     """
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out("doc_id"))
@@ -27,15 +28,16 @@ def train_toxicity(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_R
     order = [F.xxhash64("__id"), F.col("__id")]
     sample = known.where("__y = 1").orderBy(*order).limit(toxic_rows).union(known.where("__y = 0").orderBy(*order).limit(clean_rows))
     rows = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).cast("string").alias("__text")).join(F.broadcast(sample), "__id")
-    got = sorted(rows.dropDuplicates(["__id"]).collect(), key=lambda r: r["__id"])  # toxic_rows + clean_rows at most
+    rows = rows.where(F.coalesce(F.length("__text"), F.lit(0)) <= MOST_CHARS)
+    got = sorted(rows.groupBy("__id").agg(F.min("__text").alias("__text"), F.max("__y").alias("__y")).collect(), key=lambda r: r["__id"])  # toxic_rows + clean_rows at most
     return gru_model.train([r["__text"] for r in got], [r["__y"] for r in got])
 
 
 def score_toxicity(docs: DataFrame, model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, held_out, score, predicted, windows, worst_window) of every row; one scan, no shuffle.
 
-    score is the calibrated probability of the highest of all overlapping windows; worst_window is its
-    first word. Null and empty texts and texts without letters score 0. Without a model all score 0.
+    score is the calibrated probability of the highest of all windows (32 words each, every 16 words); worst_window is its
+    first word. Null and empty texts and texts of blanks, full stops and commas alone score 0. Without a model all score 0.
     """
     spark = docs.sparkSession
     ship(spark)
