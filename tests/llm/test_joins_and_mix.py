@@ -229,3 +229,21 @@ def test_one_giant_component(spark, monkeypatch):
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_components(df, 3, 80).collect()}
     assert got == _brute_components(rows, 3, 80)
+
+
+def test_top_k_bounds_prune_clustered_vectors():
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    centres = rng.normal(0, 1000, (40, 8))
+    x = np.floor(np.repeat(centres, 100, axis=0) + rng.normal(0, 5, (4000, 8)))
+    pivots = x[::100]
+    cell, far = topk.nearest_pivot(x, pivots)
+    summary = lambda of, near: {j: (int((of == j).sum()), float(far[of == j].max()), float(np.linalg.norm(x[of == j], axis=1).max()), np.sort(far[of == j])[:near]) for j in set(of.tolist())}
+    need = topk._bounds(pivots, summary(cell, 0), pivots, summary(cell, 11), 10, 1)
+    assert sum(map(len, need.values())) < 0.2 * 40 * 40  # of all pairs of groups and cells
+    scores = x @ x.T
+    for q in range(0, 4000, 97):
+        best = np.argsort(-scores[q], kind="stable")
+        best = best[best != q][:10]
+        assert all(cell[q] in need[int(cell[j])] for j in best)

@@ -1,10 +1,11 @@
 """Exact top-k by inner product as a Voronoi join.
 
-Data and queries are grouped by their nearest pivot. Summaries of the groups (count, radius, norms)
-bound the scores between any query group and any data cell from both sides; a data cell is sent to a
-query group only if its upper bound reaches the score that the lower bounds already guarantee for the
-k-th best. Each group is then solved locally in blocks and the blocks' best rows are merged. On data
-that the bounds can't prune, the join degrades to every block against every query group, and stays exact.
+Data and queries are grouped by their nearest pivot. Summaries of the cells (count, radius, longest vector,
+distances of the rows nearest to the pivot) bound the scores between any query group and any data cell from
+both sides: those nearest rows guarantee a k-th best score, and a cell is sent to a query group only if its
+upper bound (by the angle to the pivot, and by the longest vector) reaches it. Each group is then solved
+locally in blocks and the blocks' best rows are merged. On data that the bounds can't prune, the join degrades
+to every block against every query group, and stays exact.
 """
 
 from __future__ import annotations
@@ -16,7 +17,8 @@ from pyspark.sql import functions as F
 
 from zplane.session import ship, stored
 
-DATA_PIVOTS, GROUP_QUERIES, BLOCK_ROWS, QUERY_PIVOTS = 128, 256, 10_000, 128
+#: Least and most data pivots (between them the square root of the rows), queries of a group, rows of a block, query pivots, distances in a summary.
+DATA_PIVOTS, MOST_PIVOTS, GROUP_QUERIES, BLOCK_ROWS, QUERY_PIVOTS, MOST_NEAREST = 128, 2048, 256, 10_000, 128, 1000
 
 
 def quantised(vectors: DataFrame, id_col: str, vec_col: str, scale: int) -> DataFrame:
@@ -56,30 +58,41 @@ def _assigned(rows: DataFrame, pivots: np.ndarray) -> DataFrame:
             x = _matrix(b.column(1), dim)
             cell, far = nearest_pivot(x, pivots)
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array([r.tobytes() for r in x], pa.binary()), pa.array(cell.astype(np.int32)), pa.array(far)], ["id", "v", "cell", "far"]
+                [b.column(0), pa.array([r.tobytes() for r in x], pa.binary()), pa.array(cell.astype(np.int32)), pa.array(far), pa.array(np.linalg.norm(x, axis=1))], ["id", "v", "cell", "far", "length"]
             )
 
-    return rows.mapInArrow(run, "id long, v binary, cell int, far double")
+    return rows.mapInArrow(run, "id long, v binary, cell int, far double, length double")
+
+
+def _summaries(rows: DataFrame, nearest: int) -> dict[int, tuple]:
+    """{cell: (rows, radius, longest, distances of the `nearest` rows closest to the pivot)}: a row for each pivot."""
+    got = {r["cell"]: [r["n"], r["radius"], r["longest"], np.zeros(0)] for r in rows.groupBy("cell").agg(F.count("*").alias("n"), F.max("far").alias("radius"), F.max("length").alias("longest")).collect()}
+    if nearest:
+        place = F.row_number().over(W.partitionBy("cell").orderBy("far"))
+        first = rows.select("cell", "far", place.alias("place")).where(F.col("place") <= nearest)
+        for r in first.groupBy("cell").agg(F.collect_list("far").alias("far")).collect():
+            got[r["cell"]][3] = np.array(r["far"])
+    return {c: tuple(v) for c, v in got.items()}
 
 
 def _bounds(q_pivots, q_cells, d_pivots, d_cells, k: int, own: int) -> dict[int, list[int]]:
-    """For each data cell, the query cells that need it. Cells: {cell: (rows, radius)}; at most pivots squared.
+    """For each data cell, the query cells that need it. Cells: {cell: (rows, radius, longest, nearest distances)}; at most pivots squared.
 
     own: rows that share a query's id at most, which are counted in the cells but are no candidates.
     """
     need: dict[int, list[int]] = {j: [] for j in d_cells}
     js = sorted(d_cells)
     c = d_pivots[js]
-    radius, rows = np.array([d_cells[j][1] for j in js]), np.array([d_cells[j][0] for j in js])
-    far = np.linalg.norm(c, axis=1) + radius
-    for i, (_, spread) in q_cells.items():
-        mid = c @ q_pivots[i]
-        slack = np.linalg.norm(q_pivots[i]) * radius + spread * far
-        slack = slack * (1 + 1e-9) + 1e-6
-        low, up = mid - slack, mid + slack
-        order = np.argsort(-low, kind="stable")
-        enough = np.flatnonzero(np.cumsum(rows[order]) >= k + own)
-        least = low[order[enough[0]]] if len(enough) else -np.inf
+    radius, longest = np.array([d_cells[j][1] for j in js]), np.array([d_cells[j][2] for j in js])
+    size = np.linalg.norm(c, axis=1)
+    near = np.concatenate([d_cells[j][3] for j in js])
+    of = np.repeat(np.arange(len(js)), [len(d_cells[j][3]) for j in js])
+    for i, (_, spread, *_) in q_cells.items():
+        mid, norm = c @ q_pivots[i], np.linalg.norm(q_pivots[i])
+        room = lambda far, at: (norm * far + spread * (size[at] + far)) * (1 + 1e-9) + 1e-6
+        up = np.minimum(mid + room(radius, slice(None)), (norm + spread) * longest * (1 + 1e-9) + 1e-6)
+        low = mid[of] - room(near, of)  # a score that each of the nearest rows surely reaches
+        least = np.partition(low, len(low) - k - own)[len(low) - k - own] if len(low) >= k + own else -np.inf
         for j in np.flatnonzero(up >= least).tolist():
             need[js[j]].append(i)
     return need
@@ -103,14 +116,17 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "ve
         return empty
     dim = max(1, sizes["dim"] or 1, ask.agg(F.max(F.size("v"))).first()[0] or 1)
     exact = (sizes["top"] or 0.0) ** 2 * dim < 2**53
-    picked = data.orderBy(F.xxhash64("id"), "id").limit(DATA_PIVOTS).collect()  # a fixed number of pivots
+    n_pivots = max(DATA_PIVOTS, min(MOST_PIVOTS, int(sizes["n"] ** 0.5)))
+    share = min(1 << 30, (4 * n_pivots << 30) // sizes["n"] + 1)  # each task sends the driver a few candidates only
+    drawn = data.where(F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < share).orderBy(F.xxhash64("id"), "id")
+    picked = drawn.limit(n_pivots).collect() or data.limit(n_pivots).collect()
     d_pivots = np.unique(np.array([list(r["v"]) + [0.0] * (dim - len(r["v"])) for r in picked]), axis=0)
     q_pivots = d_pivots[:: max(1, len(d_pivots) // max(1, min(QUERY_PIVOTS, -(-n_ask // GROUP_QUERIES))))]
 
     d_rows, q_rows = stored(_assigned(data, d_pivots), "vectors"), stored(_assigned(ask, q_pivots), "queries")
-    summary = lambda t: {r["cell"]: (r["n"], r["radius"]) for r in t.groupBy("cell").agg(F.count("*").alias("n"), F.max("far").alias("radius")).collect()}  # noqa: E731  a row for each pivot
-    d_cells, q_cells = summary(d_rows), summary(q_rows)
     own = d_rows.groupBy("id").agg(F.count("*").alias("n")).join(q_rows.select("id"), "id", "left_semi").agg(F.max("n")).first()[0] or 0
+    # where very many rows share a query's id, summaries would grow with them: then nothing is pruned
+    d_cells, q_cells = _summaries(d_rows, k + own if k + own <= MOST_NEAREST else 0), _summaries(q_rows, 0)
     need = _bounds(q_pivots, q_cells, d_pivots, d_cells, k, own)
 
     blocks = {i: -(-sum(d_cells[j][0] for j, to in need.items() if i in to) // BLOCK_ROWS) for i in q_cells}
