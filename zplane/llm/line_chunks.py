@@ -51,27 +51,33 @@ def drop_repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str
     """docs with later copies of repeated chunks taken out of their texts; rows and other columns stay.
 
     A null text stays null; an empty one stays empty. Rows that repeat an id are judged by (id, position),
-    so a full repeat of a row with its id keeps its chunks. Texts without line breaks are one line and stay.
+    so a full repeat of a row with its id keeps its chunks; rows without an id share one, which comes first.
+    Texts without line breaks are one line and stay. Other columns may have any names.
     """
-    return _mended(docs, id_col, text_col, **options).select(*docs.columns)
+    return _mended(docs, id_col, text_col, **options).select("row.*")
+
+
+def packed_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(row, doc_id, text): whole rows as one column, so that no helper column can clash with theirs."""
+    return docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
 def _mended(docs: DataFrame, id_col: str, text_col: str, **options) -> DataFrame:
-    """What drop_repeated_chunks gives, and the number of removed chunks in __n."""
+    """(row, n): the rows of drop_repeated_chunks, and the number of chunks removed."""
     cut = options.get("cut", CUT)
-    gone = repeated_chunks(docs, id_col, text_col, **options).groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set(F.struct("pos", F.xxhash64("chunk").alias("key"))).alias("__gone"))
-    both = docs.join(gone, F.col(id_col).cast("long") == F.col("__id"), "left")
-    parts = chunk_lines(both.where("__gone is not null"), text_col, cut)
-    left = F.expr("filter(__chunks, (c, i) -> NOT array_contains(__gone, named_struct('pos', i, 'key', xxhash64(c))))")
-    mended = parts.withColumn("__n", F.size("__gone")).withColumn(text_col, F.array_join(left, "\n")).select(*docs.columns, "__n")
-    return both.where("__gone is null").select(*docs.columns, F.lit(0).alias("__n")).union(mended)
+    gone = repeated_chunks(docs, id_col, text_col, **options).groupBy(F.col("doc_id").alias("id")).agg(F.collect_set(F.struct("pos", F.xxhash64("chunk").alias("key"))).alias("gone"))
+    both = packed_rows(docs, id_col, text_col).join(gone, F.col("doc_id").eqNullSafe(F.col("id")), "left")
+    parts = chunk_lines(both.where("gone is not null"), "text", cut)
+    left = F.expr("filter(__chunks, (c, i) -> NOT array_contains(gone, named_struct('pos', i, 'key', xxhash64(c))))")
+    mended = parts.select(F.col("row").withField(f"`{text_col}`", F.array_join(left, "\n")).alias("row"), F.size("gone").alias("n"))
+    return both.where("gone is null").select("row", F.lit(0).alias("n")).union(mended)
 
 
 def line_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """(doc_id, n_removed, kept_chars, kept_md5) of every row after drop_repeated_chunks."""
+    rows = _mended(docs.select(id_col, text_col), id_col, text_col, **options).select("row.*", "n")
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = _mended(docs.select(id_col, text_col), id_col, text_col, **options)
-    return rows.select(F.col(id_col).alias("doc_id"), F.col("__n").cast("long").alias("n_removed"), F.length(text).cast("long").alias("kept_chars"), F.md5(text).alias("kept_md5"))
+    return rows.select(F.col(id_col).alias("doc_id"), F.col("n").cast("long").alias("n_removed"), F.length(text).cast("long").alias("kept_chars"), F.md5(text).alias("kept_md5"))
 
 
 SQL = r"""

@@ -14,6 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from zplane.llm.line_chunks import packed_rows
 from zplane.llm.mixing import word_count
 from zplane.session import stored
 
@@ -61,14 +62,13 @@ def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def _mended(docs: DataFrame, id_col: str, text_col: str, **options) -> DataFrame:
-    """What drop_repeated_passages gives, and the number of removed lines in __n."""
-    gone = repeated_runs(docs, id_col, text_col, **options).groupBy(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest")).agg(F.collect_list(F.struct("i", "j")).alias("__gone"))
-    text = F.col(text_col).cast("string")
-    both = docs.join(gone, F.col(id_col).cast("long").eqNullSafe(F.col("__id")) & (F.xxhash64(text) == F.col("__digest")) & text.isNotNull(), "left")
-    parts = both.withColumn("__lines", F.when(F.col("__gone").isNotNull(), F.split(text, "\n", -1))).withColumn("__all", F.size("__lines"))
-    parts = parts.withColumn("__kept", F.when(F.col("__gone").isNotNull(), F.expr("array_except(sequence(0, __all - 1), flatten(transform(__gone, g -> sequence(g.i, g.j))))")))
-    left = F.when(F.col("__gone").isNull(), F.col(text_col)).otherwise(F.expr("array_join(transform(__kept, x -> get(__lines, x)), '\n')"))
-    return parts.withColumn("__n", F.when(F.col("__gone").isNull(), 0).otherwise(F.col("__all") - F.size("__kept"))).withColumn(text_col, left).select(*docs.columns, "__n")
+    """(row, n): the rows of drop_repeated_passages, and the number of lines removed."""
+    gone = repeated_runs(docs, id_col, text_col, **options).groupBy(F.col("doc_id").alias("id"), F.col("digest")).agg(F.collect_list(F.struct("i", "j")).alias("gone"))
+    both = packed_rows(docs, id_col, text_col).join(gone, F.col("doc_id").eqNullSafe(F.col("id")) & (F.xxhash64("text") == F.col("digest")) & F.col("text").isNotNull(), "left")
+    parts = both.withColumn("lines", F.when(F.col("gone").isNotNull(), F.split("text", "\n", -1))).withColumn("total", F.size("lines"))
+    parts = parts.withColumn("kept", F.when(F.col("gone").isNotNull(), F.expr("array_except(sequence(0, total - 1), flatten(transform(gone, g -> sequence(g.i, g.j))))")))
+    left = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.expr("array_join(transform(kept, x -> get(lines, x)), '\n')"))
+    return parts.select(F.col("row").withField(f"`{text_col}`", left).alias("row"), F.when(F.col("gone").isNull(), 0).otherwise(F.col("total") - F.size("kept")).alias("n"))
 
 
 def drop_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
@@ -76,13 +76,13 @@ def drop_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: st
 
     A null text stays null. Every removed line also stands at an earlier place that keeps it. Blank lines go only
     inside a run. Rows of one id with different texts are documents of their own; rows that agree in both are
-    one place and stay alike.
+    one place and stay alike. Other columns may have any names.
     """
-    return _mended(docs, id_col, text_col, **options).select(*docs.columns)
+    return _mended(docs, id_col, text_col, **options).select("row.*")
 
 
 def passage_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """(doc_id, n_removed, kept_chars, kept_md5) of every row after drop_repeated_passages; n_removed counts lines."""
+    rows = _mended(docs.select(id_col, text_col), id_col, text_col, **options).select("row.*", "n")
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = _mended(docs.select(id_col, text_col), id_col, text_col, **options)
-    return rows.select(F.col(id_col).alias("doc_id"), F.col("__n").cast("long").alias("n_removed"), F.length(text).cast("long").alias("kept_chars"), F.md5(text).alias("kept_md5"))
+    return rows.select(F.col(id_col).alias("doc_id"), F.col("n").cast("long").alias("n_removed"), F.length(text).cast("long").alias("kept_chars"), F.md5(text).alias("kept_md5"))

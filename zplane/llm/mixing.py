@@ -96,14 +96,14 @@ def plan_mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", so
 def mix(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The rows of docs as the mix takes them, range-sorted by training position: a document is repeated
     for each pass that takes any of its words (whole texts, also where a pass takes only part), and
-    documents that no pass takes are left out. Columns are those of docs."""
+    documents that no pass takes are left out. Columns are those of docs, of whatever names."""
     plan = plan_mix(docs, id_col, **options).where(F.col("taken") > 0)
     times = F.sequence(F.lit(0).cast("long"), F.ceil(F.col("taken") / F.col("size")).cast("long") - 1)
-    takes = plan.select(F.col("doc_id").alias("__id"), "slope", "goal", "source_size", "size", "words_before", F.explode(times).alias("__pass"))
-    share = (F.col("__pass") * F.col("source_size") + F.col("words_before") + F.col("size") / 2.0) / F.col("goal")
-    takes = takes.select("__id", "__pass", _time(F.col("slope"), share).alias("__position"))
-    out = docs.join(takes.dropDuplicates(["__id", "__pass"]), docs[id_col].cast("long").eqNullSafe(F.col("__id")))
-    return out.orderBy("__position", "__id", "__pass").select(*[docs[c] for c in docs.columns])
+    takes = plan.select("doc_id", "slope", "goal", "source_size", "size", "words_before", F.explode(times).alias("nth"))
+    share = (F.col("nth") * F.col("source_size") + F.col("words_before") + F.col("size") / 2.0) / F.col("goal")
+    takes = takes.select(F.col("doc_id").alias("id"), "nth", _time(F.col("slope"), share).alias("position")).dropDuplicates(["id", "nth"])
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col(id_col).cast("long").alias("doc_id"))
+    return rows.join(takes, F.col("doc_id").eqNullSafe(F.col("id"))).orderBy("position", "id", "nth").select("row.*")
 
 
 SQL = r"""
