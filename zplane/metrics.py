@@ -35,9 +35,9 @@ def breakdown(spark: SparkSession, sf_dir: str, src: str, k: int, options: Optio
 
 
 def ilist_bytes(tree: PlaneTree, k: int) -> DataFrame:
-    """(pairs, per_point, factor): rows of the leaf lists, entries for each point, and over the estimated leaves."""
+    """(pairs, per_point, factor, bytes): rows of the leaf lists, entries for each point, and over the estimated leaves; two longs and a double each."""
     n = tree.n
-    return walk.knn_ilist(tree, k).agg(F.count("*").alias("pairs")).select("pairs", (F.col("pairs") / n).alias("per_point"), (F.col("pairs") / (2 * n / tree.limits[0])).alias("factor"))
+    return walk.knn_ilist(tree, k).agg(F.count("*").alias("pairs")).select("pairs", (F.col("pairs") / n).alias("per_point"), (F.col("pairs") / (2 * n / tree.limits[0])).alias("factor"), (F.col("pairs") * 24).alias("bytes"))
 
 
 def differences(a: DataFrame, b: DataFrame) -> DataFrame:

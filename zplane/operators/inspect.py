@@ -61,8 +61,21 @@ def partition_imbalance(df: DataFrame) -> DataFrame:
     return per.agg(F.count("*").alias("partitions"), (F.max("n") / F.avg("n") - 1).alias("imbalance"))
 
 
-def zsort(df: DataFrame, n_parts: int | None = None) -> DataFrame:
-    """df (with zkey, id) in global Morton order: sampled splitters, one range shuffle, local sorts."""
+def zsort(df: DataFrame, n_parts: int | None = None, samples: int | None = None) -> DataFrame:
+    """df (with zkey, id) in global Morton order: sampled splitters, one range shuffle, local sorts.
+
+    samples: keys drawn for each part (Spark's own number if not given); more of them make parts more even.
+    """
+    name, conf = "spark.sql.execution.rangeExchange.sampleSizePerPartition", df.sparkSession.conf
+    old = conf.get(name)
+    if samples:
+        conf.set(name, str(samples))
+        try:
+            got = zsort(df, n_parts)
+            got._jdf.queryExecution().executedPlan()  # the plan keeps the number
+            return got
+        finally:
+            conf.set(name, old)
     parts = df.repartitionByRange(n_parts, "zkey", "id") if n_parts else df.repartitionByRange("zkey", "id")
     return parts.sortWithinPartitions("zkey", "id")
 

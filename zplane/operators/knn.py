@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from zplane.functions.bounds import BOUND_SLACK
 from zplane.plans import walk
-from zplane.plans.planes import Options, PlaneTree, build_tree
+from zplane.plans.planes import NODE_SPAN, Options, PlaneTree, build_tree
 
 QUERY, SOURCE, PAIR = 0, 1, 2
 
@@ -234,14 +234,34 @@ def knn_metrics(src: DataFrame, k: int, cols: list[str], queries: DataFrame | No
         s = LeafSearch(table, d, k, box)
         for _ in s.leaves():
             pass
-        return pa.table({"n_queries": [len(s.q_id)], "shipped": [len(s.s_id)], "listed": [int(s.listed)], "skipped": [int(s.skipped)], "evaluated": [int(s.evaluated)]})
+        far = int((s.s_leaf // NODE_SPAN != table.column("domain")[0].as_py()).sum())  # sources of other domains
+        return pa.table({"n_queries": [len(s.q_id)], "shipped": [far], "listed": [int(s.listed)], "skipped": [int(s.skipped)], "evaluated": [int(s.evaluated)]})
 
     per = domain_rows(tree, ilist, self_query).groupBy("domain").applyInArrow(run, "n_queries long, shipped long, listed long, skipped long, evaluated long")
     sums = per.agg(*(F.sum(c).alias(c) for c in ("n_queries", "shipped", "listed", "skipped", "evaluated")))
     leaves = tree.nodes.where("plane = 0").agg(F.count("*").alias("leaves"), F.sum("n_src").alias("n_sources"))
     out = sums.crossJoin(leaves)  # one row each
     share = F.col("evaluated") / (F.col("n_queries") * F.col("n_sources"))
-    return out.withColumns({"checked_share": share, "early_exit_share": F.col("skipped") / F.col("listed"), "node_factor": F.col("leaves") / F.lit(2 * tree.n / tree.limits[0]), "ilist_factor": F.col("listed") / F.lit(2 * tree.n / tree.limits[0]), "remote_share": F.col("shipped") / F.col("n_sources") - 1})
+    return out.withColumns({"checked_share": share, "early_exit_share": F.col("skipped") / F.col("listed"), "node_factor": F.col("leaves") / F.lit(2 * tree.n / tree.limits[0]), "ilist_factor": F.col("listed") / F.lit(2 * tree.n / tree.limits[0]), "remote_share": F.col("shipped") / F.col("n_sources")})
+
+
+def knn_plane_counts(src: DataFrame, k: int, cols: list[str], id_col: str = "id", box=None, options: Options | None = None) -> DataFrame:
+    """(plane, looked_at, kept): node pairs of each plane of a self query's walk, before and after pruning."""
+    tree = joint_tree(src, None, cols, id_col, options)
+    ngr = tree.ngr
+
+    def make(planes, domains):
+        import pyarrow as pa
+
+        stats: dict = {}
+        walk.knn_pairs(planes, domains, k, box, True, stats, ngr)
+        plane, looked, kept = zip(*stats["pairs"])
+        return pa.RecordBatch.from_arrays([pa.array(plane, pa.int32()), pa.array(looked, pa.int64()), pa.array(kept, pa.int64())], ["plane", "looked_at", "kept"])
+
+    rows = walk.walk_in_tasks(tree, make, "plane int, looked_at long, kept long") if walk.fits(tree) else None
+    if rows is None:
+        raise ValueError("the planes are too large to broadcast")
+    return rows.groupBy("plane").agg(F.sum("looked_at").alias("looked_at"), F.sum("kept").alias("kept"))
 
 
 def knn_probe(tree: PlaneTree, queries: DataFrame, k: int, cols: list[str], id_col: str = "id", box=None, method: str = "auto") -> DataFrame:

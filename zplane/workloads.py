@@ -325,6 +325,53 @@ def _integer_ties_sql() -> str:
 (SELECT count(*) FROM (SELECT DISTINCT {cell} FROM p) AS s) AS integer_keys FROM p"""
 
 
+def _positions(spark, sf_dir):
+    from zplane.functions.zkey import with_zkey
+    from zplane.operators.inspect import with_zpos, zsort
+
+    return with_zpos(zsort(with_zkey(ps.points(spark, sf_dir, "ps_grid"), ps.cols("ps_grid")), 8)).select("id", "zpos")
+
+
+def _parts(spark, sf_dir):
+    from zplane.functions.zkey import with_zkey
+    from zplane.operators.inspect import rebalance, with_zpos, zsort
+
+    even = rebalance(with_zpos(zsort(with_zkey(ps.points(spark, sf_dir, "ps_unif"), ps.cols("ps_unif")), 4)), 7)
+    held = even.groupBy(F.spark_partition_id().alias("part")).agg(F.count("*").alias("n"), F.min("zpos").alias("first"))
+    return held.select(F.col("part").cast("int").alias("part"), "n", "first")
+
+
+def _group_of_first(spark, sf_dir):
+    labelled = linking.link_clusters(ps.points(spark, sf_dir, "ps_clump"), ps.cols("ps_clump"), 0.008)
+    first = labelled.agg(F.min("id")).first()[0]  # the smallest id names its own group
+    return linking.group_points(labelled, first).select("id")
+
+
+def _range(spark, sf_dir):
+    tree = knn.joint_tree(ps.points(spark, sf_dir, "ps_clump"), None, ps.cols("ps_clump"))
+    return joins.range_query(tree, [0.5, 0.5, 0.5], 0.2).select("id")
+
+
+def _box(spark, sf_dir):
+    """A box, found through ranges of integer keys and then by its coordinates."""
+    from zplane.functions.zkey import morton63
+
+    pts, unit = ps.points(spark, sf_dir, "ps_unif"), ((0.0, 1.0),) * 3
+    keyed = pts.withColumn("zkey", morton63([F.col(c) for c in ps.cols("ps_unif")], unit))
+    keyed = stored(keyed.repartitionByRange("zkey").sortWithinPartitions("zkey"), "keyed")  # row groups outside the ranges are skipped
+    near = None
+    for lo, hi in joins.box_to_key_ranges([0.2, 0.3, 0.1], [0.5, 0.6, 0.7], unit):
+        t = F.col("zkey").between(lo, hi)
+        near = t if near is None else near | t
+    return joins.in_box(keyed.where(near), [0.2, 0.3, 0.1], [0.5, 0.6, 0.7], ps.cols("ps_unif")).select("id")
+
+
+def _intervals(spark, sf_dir):
+    spans = spark.read.parquet(f"{sf_dir}/part.parquet").select("p_partkey", (F.col("p_size") * 20.0).alias("lo"), (F.col("p_size") * 20.0 + 3.0).alias("hi"))
+    pts = ps.points(spark, sf_dir, "ps_events").select("id", F.col("w").alias("t"))
+    return joins.interval_join(pts, spans, 10.0).select("id", "p_partkey")
+
+
 def _cells(spark, sf_dir, name="ps_unif"):
     return tables.cell_columns(ps.points(spark, sf_dir, name), ps.cols(name), 0.125, "abc")
 
@@ -391,6 +438,13 @@ def _probe_sql() -> str:
     return knn_sql("ps_customer", 8, asked=ask)
 
 
+def _dup_sql(k: int) -> str:
+    """Brute force by site: the points of a site share their neighbours."""
+    return f"""WITH p AS MATERIALIZED ({ps.sql('ps_dup', DUCK)}), q AS MATERIALIZED (SELECT DISTINCT x0, x1 FROM p),
+lists AS (SELECT q.x0, q.x1, min({{'d': {_d2('q', 'p', 2)}, 's': p.id}}, {k}) AS l FROM q CROSS JOIN p GROUP BY q.x0, q.x1)
+SELECT p.id AS qid, CAST(i AS INTEGER) AS rank, CAST(l[i].s AS BIGINT) AS sid, round(sqrt(l[i].d), 6) AS dist FROM lists JOIN p USING (x0, x1), unnest(range(1, len(l) + 1)) AS r(i)"""
+
+
 def _registry() -> dict[str, tuple[Callable, str | None]]:
     out: dict[str, tuple[Callable, str | None]] = {}
     for name, src, k, kw in [
@@ -464,6 +518,14 @@ SELECT p.id, coalesce(r.cluster, (SELECT min(q.cluster) FROM both_ways w JOIN ro
     out["catalogue_velocity"] = (_moving, _moving_sql())
     out["integer_key_ties"] = (_integer_ties, _integer_ties_sql())
     out |= _cell_queries()
+    grid_order = _zorder_sql().replace("SELECT id, CAST(", "SELECT id, row_number() OVER (ORDER BY CAST(", 1).replace(" AS BIGINT) AS zkey FROM", " AS BIGINT), id) - 1 AS zpos FROM")
+    out["zorder_positions"] = (_positions, grid_order)
+    out["even_parts"] = (_parts, f"WITH p AS (SELECT count(*) AS m FROM ({ps.sql('ps_unif', DUCK)}) AS s), e AS (SELECT CAST(i AS INTEGER) AS part, i * m // 7 AS first, (i + 1) * m // 7 AS past FROM p, range(0, 7) AS t(i)) SELECT part, past - first AS n, first FROM e")
+    out["group_of_first"] = (_group_of_first, f"{_groups('ps_clump', 0.008)} SELECT id FROM roots WHERE group_id = (SELECT min(id) FROM p)")
+    out["range_query"] = (_range, f"SELECT id FROM ({ps.sql('ps_clump', DUCK)}) AS p WHERE (x0 - 0.5) * (x0 - 0.5) + (x1 - 0.5) * (x1 - 0.5) + (x2 - 0.5) * (x2 - 0.5) <= CAST(0.2 AS DOUBLE) * CAST(0.2 AS DOUBLE)")
+    out["box_points"] = (_box, f"SELECT id FROM ({ps.sql('ps_unif', DUCK)}) AS p WHERE x0 BETWEEN 0.2 AND 0.5 AND x1 BETWEEN 0.3 AND 0.6 AND x2 BETWEEN 0.1 AND 0.7")
+    out["interval_join"] = (_intervals, f"SELECT e.id, p_partkey FROM ({ps.sql('ps_events', DUCK)}) AS e JOIN part ON e.w >= p_size * 20.0 AND e.w < p_size * 20.0 + 3.0")
+    out["knn_plane_counts"] = (lambda spark, sf_dir: knn.knn_plane_counts(ps.points(spark, sf_dir, "ps_unif"), 16, ps.cols("ps_unif"), options=Options(n_max0=32, domain_rows=4000, n_target=8)), None)
     near8 = _knn_rows("ps_customer", 8)
     levels = " UNION ALL ".join(f"SELECT CAST({q} AS DOUBLE) AS level, round(quantile_cont(sqrt(d2), {q}), 6) AS dist FROM near WHERE rank = 8" for q in (0.1, 0.5, 0.9))
     out["distance_quantiles"] = (_quantiles, f"{near8} {levels}")
@@ -472,12 +534,12 @@ SELECT p.id, coalesce(r.cluster, (SELECT min(q.cluster) FROM both_ways w JOIN ro
     out["knn_outer"] = (_outer, f"{_knn_rows('ps_unif', 4, queries='ps_unif_q')}, f AS (SELECT * FROM near WHERE sqrt(d2) <= 0.02) SELECT q.id AS qid, rank, sid, round(sqrt(d2), 6) AS dist FROM q LEFT JOIN f ON f.qid = q.id")
     out["sites_dup"] = (_sites, f"SELECT min(id) AS id, x0, x1, count(*) AS n, round(sum(w), 6) AS w FROM ({ps.sql('ps_dup', DUCK)}) AS p GROUP BY x0, x1")
     out["standardised_points"] = (_standard, STANDARD_SQL)
-    # no SQL: counters, and sets whose brute force is too large for it (tested on small fixtures)
+    # no SQL: counters, and a set whose brute force is too large for it (tested on a small fixture)
     out["domain_balance"] = (_balance, None)
     out["knn_metrics_unif"] = (_metrics("ps_unif"), None)
     out["knn_metrics_emb_d8"] = (_metrics("ps_emb_d8"), None)
     out["knn_line"] = (_knn_query("ps_line", 16)[0], None)
-    out["knn_dup"] = (_knn_query("ps_dup", 8)[0], None)
+    out["knn_dup"] = (_knn_query("ps_dup", 8)[0], _dup_sql(8))
     return out
 
 
