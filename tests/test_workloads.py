@@ -28,3 +28,8 @@ def far_orders(spark, tmp_path):
 def test_grid_keys_of_ten_bits(spark, far_orders):
     got, want = rows_of(spark, far_orders, "zorder_grid", ["orders"])
     assert got == want
+
+
+def test_grid_positions_of_ten_bits(spark, far_orders):
+    got, want = rows_of(spark, far_orders, "zorder_positions", ["orders"])
+    assert got == want
