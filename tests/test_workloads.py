@@ -33,3 +33,10 @@ def test_grid_keys_of_ten_bits(spark, far_orders):
 def test_grid_positions_of_ten_bits(spark, far_orders):
     got, want = rows_of(spark, far_orders, "zorder_positions", ["orders"])
     assert got == want
+
+
+def test_moments_of_three_planes(spark, tmp_path):
+    """A table that would get one plane by itself, and prices whose sum needs all of its rows."""
+    spark.createDataFrame([(i, i % 7 + 1, 900 + i / 4) for i in range(60)], "p_partkey long, p_size int, p_retailprice double").write.parquet(str(tmp_path / "part.parquet"))
+    got, want = rows_of(spark, tmp_path, "node_moments", ["part"])
+    assert got == want and len(got) == 3
