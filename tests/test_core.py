@@ -234,3 +234,15 @@ def test_every_option_is_read():
 
     code = "".join(p.read_text() for p in pathlib.Path(planes.__file__).parents[1].rglob("*.py"))
     assert all(re.search(rf"\w\.{f.name}\b", code) for f in dataclasses.fields(Options))
+
+
+def test_bins_of_a_leaf_whose_sources_come_in_another_order():
+    import pyarrow as pa
+
+    from zplane.operators.joins import bin_counts
+
+    x = [0.0, 1.0, 3.0, 3.0]
+    rows = [(0, 7, None, v) for v in x] + [(1, 7, None, v) for v in x[::-1]] + [(2, 7, 7, None)]
+    kind, leaf, src, at = zip(*rows)
+    table = pa.table({"kind": kind, "leaf": leaf, "src": pa.array(src, pa.int64()), "r": pa.array([None] * 8 + [0.0], pa.float64()), "id": pa.array([*range(4), *range(3, -1, -1), None], pa.int64()), "x0": pa.array(at, pa.float64())})
+    assert bin_counts(table, 1, np.array([0.0, 0.25, 4.0, 9.0])).tolist() == [1, 3, 2]
