@@ -97,3 +97,16 @@ def test_scan_equals_a_plain_scan_with_the_same_weights(spark, sf):
     assert len(got) == len({(r.doc_id, r.para, r.family) for r in got})
     assert {(r.doc_id, r.para, r.family, round(r.probability, 4), round(r.similarity, 4), r.confirmed) for r in got} == want
     assert {(r.doc_id, r.family, r.confirmed) for r in got} >= {(1, "mit", True), (None, "mit", True), (2, "mit", True), (2, "cc-by", True)}
+
+
+def test_line_dedup_goes_through_content_defined_chunks(spark, sf, monkeypatch):
+    from zplane.llm.line_chunks import drop_repeated_chunks, line_report
+    from zplane.llm.line_passages import repeated_runs
+    from zplane.session import stored
+
+    seen = []
+    monkeypatch.setattr(corpus_pipeline, "drop_repeated_chunks", lambda d: seen.append(d) or drop_repeated_chunks(d))
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    out = stored(corpus_pipeline.line_dedup(spark, docs, sf), "t")
+    assert len(seen) == 1 and line_report(docs).where("n_removed > 0").count() and not line_report(out).where("n_removed > 0").count()
+    assert repeated_runs(out, long=corpus_pipeline.LONG).isEmpty()  # the exact pass leaves none
