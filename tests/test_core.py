@@ -246,3 +246,21 @@ def test_bins_of_a_leaf_whose_sources_come_in_another_order():
     kind, leaf, src, at = zip(*rows)
     table = pa.table({"kind": kind, "leaf": leaf, "src": pa.array(src, pa.int64()), "r": pa.array([None] * 8 + [0.0], pa.float64()), "id": pa.array([*range(4), *range(3, -1, -1), None], pa.int64()), "x0": pa.array(at, pa.float64())})
     assert bin_counts(table, 1, np.array([0.0, 0.25, 4.0, 9.0])).tolist() == [1, 3, 2]
+
+
+@pytest.mark.parametrize("include_self,k_pass", [(True, None), (False, None), (False, 3), (True, 3)])
+def test_sites_larger_than_a_leaf_are_one_leaf(spark, include_self, k_pass):
+    """A site of more points than a leaf may hold makes one leaf, not one for each point, and its queries one search."""
+    places = [(0.0, 300), (1.0, 2), (1.5, 1), (4.0, 40), (-2.0, 5)]
+    x = [p for p, n in places for _ in range(n)]
+    random.Random(4).shuffle(x)
+    df = spark.createDataFrame(list(enumerate(x)), "id long, x0 double")
+    tree = knn.joint_tree(df, None, ["x0"], options=Options(n_max0=8, domain_rows=60))
+    sizes = sorted(r.n_src for r in tree.nodes.where("plane = 0").collect())
+    assert sizes[-2:] == [40, 300] and len(sizes) <= 5
+    got = {}
+    for r in knn.knn(df, 7, ["x0"], include_self=include_self, k_pass=k_pass, tree=tree).collect():
+        got.setdefault(r.qid, []).append((r.rank, r.sid, r.dist))
+    for q, v in enumerate(x):
+        want = sorted((abs(v - s), i) for i, s in enumerate(x) if include_self or i != q)[:7]
+        assert [(s, d) for _, s, d in sorted(got[q])] == [(i, d) for d, i in want]
