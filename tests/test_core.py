@@ -264,3 +264,60 @@ def test_sites_larger_than_a_leaf_are_one_leaf(spark, include_self, k_pass):
     for q, v in enumerate(x):
         want = sorted((abs(v - s), i) for i, s in enumerate(x) if include_self or i != q)[:7]
         assert [(s, d) for _, s, d in sorted(got[q])] == [(i, d) for d, i in want]
+
+
+def _domain(q, s, pairs):
+    """A domain's rows as the leaf kernels get them: queries and sources (leaf, id, x), pairs of leaves."""
+    import pyarrow as pa
+
+    rows = [(0, l, None, None, i, x) for l, i, x in q] + [(1, l, None, None, i, x) for l, i, x in s] + [(2, a, b, 0.0, None, None) for a, b in pairs]
+    kind, leaf, src, r, ids, x = zip(*rows)
+    return pa.table({"kind": kind, "leaf": leaf, "src": pa.array(src, pa.int64()), "r": pa.array(r, pa.float64()), "id": pa.array(ids, pa.int64()), "x0": pa.array(x, pa.float64())})
+
+
+def test_semi_join_makes_no_pairs():
+    table = _domain([(0, 1, 0.0), (0, 2, 5.0), (1, 3, 9.0)], [(0, 7, 0.5), (0, 8, 0.4), (1, 9, 5.5)], [(0, 0), (0, 1), (1, 1)])
+    assert sorted(joins.near_ids(table, 1, 0.5).tolist()) == [1, 2]
+
+
+def test_rows_of_a_domain_come_in_parts(monkeypatch):
+    monkeypatch.setattr(knn, "OUT_ROWS", 100)
+    pts = [(i // 10, i, float(i)) for i in range(200)]
+    table = _domain(pts, pts, [(a, b) for a in range(20) for b in range(max(0, a - 1), min(20, a + 2))])
+    got = list(knn.rows_kernel(1, 5, None, True, True, None)(iter(table.to_batches())))
+    assert len(got) >= 9 and sum(b.num_rows for b in got) == 1000 and max(b.num_rows for b in got) <= 150
+
+
+def test_leaves_of_one_group_are_not_measured(monkeypatch):
+    calls = []
+    monkeypatch.setattr(linking, "squared", lambda *a: calls.append(1) or knn.squared(*a))
+    pts = [(i // 50, i, float(i % 50)) for i in range(200)]  # four leaves over the same places
+    table = _domain(pts, pts, [(a, b) for a in range(4) for b in range(a, 4)])
+    a, b = linking.spanning_edges(table, 1, 1.0)
+    assert len(a) == 199 and set(b.tolist()) == {0} and len(calls) < 10
+    a, b = linking.spanning_edges(table, 1, 0.5)  # only copies of a place are linked
+    assert sorted(zip(a.tolist(), b.tolist())) == [(i, i % 50) for i in range(50, 200)]
+
+
+@pytest.mark.parametrize("d", [1, 2, 3])
+def test_one_task_linking_of_dense_points(spark, d):
+    from zplane.operators import baselines
+
+    rng = np.random.default_rng(d)
+    x = np.round(rng.random((300, d)) * 3 - 1, 2)
+    x[200:] = x[:100]
+    r = {1: 0.01, 2: 0.1, 3: 0.25}[d]
+    cols = [f"x{i}" for i in range(d)]
+    df = spark.createDataFrame([(i, *v) for i, v in enumerate(x.tolist())], "id long, " + ", ".join(f"{c} double" for c in cols))
+    near = knn.squared(x, x, None) <= r * r
+    label = np.arange(300)
+    while (new := np.where(near, label[None], 999).min(1)).tolist() != label.tolist():
+        label = new
+    assert [g for _, g in sorted(map(tuple, baselines.link_union_find(df, cols, r).collect()))] == label.tolist()
+
+
+def test_tiles_keep_ties_in_order_of_ids():
+    s_id = np.random.default_rng(1).permutation(20_000)
+    s = (s_id % 3).astype(float)[:, None]
+    row, sid, d2 = knn.nearest(np.array([[0.0], [2.0]]), s, s_id, 4)
+    assert row.tolist() == [0] * 4 + [1] * 4 and sid.tolist() == [0, 3, 6, 9, 2, 5, 8, 11] and not d2.any()
