@@ -321,3 +321,11 @@ def test_tiles_keep_ties_in_order_of_ids():
     s = (s_id % 3).astype(float)[:, None]
     row, sid, d2 = knn.nearest(np.array([[0.0], [2.0]]), s, s_id, 4)
     assert row.tolist() == [0] * 4 + [1] * 4 and sid.tolist() == [0, 3, 6, 9, 2, 5, 8, 11] and not d2.any()
+
+
+def test_plane_counts_of_stages_equal_those_of_tasks(spark, sf, monkeypatch):
+    pts = ps.points(spark, sf, "ps_customer")
+    ask = lambda: sorted(map(tuple, knn.knn_plane_counts(pts, 4, ps.cols("ps_customer"), options=Options(n_max0=8, n_target=4)).collect()))
+    tasks = ask()
+    monkeypatch.setattr(walk, "BROADCAST_NODES", 0)  # planes that are too large to broadcast
+    assert ask() == tasks and len(tasks) > 1
