@@ -247,3 +247,18 @@ def test_top_k_bounds_prune_clustered_vectors():
         best = np.argsort(-scores[q], kind="stable")
         best = best[best != q][:10]
         assert all(cell[q] in need[int(cell[j])] for j in best)
+
+
+def test_near_copies_shuffle_all_texts_once(spark, shuffled):
+    """Random words: every text may be shuffled once, and then only those that have a near copy."""
+    from zplane.session import stored
+
+    rng = random.Random(4)
+    text = lambda n: [f"{rng.getrandbits(200):050x}" for _ in range(n)]
+    rows = [(i, " ".join(text(300))) for i in range(300)]
+    near = [text(300) for _ in range(3)]
+    rows += [(1000 + 10 * i + j, " ".join(w + [f"end{j}"])) for i, w in enumerate(near) for j in range(3)]
+    docs = stored(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), "docs")
+    got, written = shuffled(lambda: {r.doc_id: r.component_id for r in jaccard_components(docs, k=3, percent=90).collect()})
+    assert got == {i: i if i < 1000 else i // 10 * 10 for i, _ in rows}
+    assert written < 1.5 * sum(len(t) for _, t in rows)
