@@ -4,6 +4,7 @@ import random
 
 import corpus_pipeline
 from zplane.llm.line_passages import drop_repeated_passages, passage_report
+from zplane.session import stored
 
 
 def brute(docs, least=2, words=8, long=None):
@@ -71,3 +72,15 @@ def test_line_dedup_takes_planted_passages(spark):
     for i, r in out.items():
         p, left = (long, two, three, short)[i % 4], r.text.split("\n")
         assert sum(s in left for s in p) == (len(p) if i < 4 or p is short else 0) and r.n_chars == len(r.text)
+
+
+def test_line_dedup_shuffles_a_text_once_a_pass(spark, shuffled):
+    """Random lines, so that nothing is compressed away: each of the two passes may carry the texts once, and digests."""
+    rng = random.Random(5)
+    word = lambda: f"{rng.getrandbits(200):050x}"
+    shared = "\n".join(" ".join(word() for _ in range(8)) for _ in range(6))
+    texts = ["\n".join([" ".join(word() for _ in range(40)) for _ in range(8)] + [shared]) for _ in range(300)]
+    df = stored(spark.createDataFrame([(i, t, len(t)) for i, t in enumerate(texts)], "doc_id long, text string, n_chars long").repartition(3), "docs")
+    out, written = shuffled(lambda: corpus_pipeline.line_dedup(spark, df, "").collect())
+    assert sum(shared in r.text for r in out) == 1
+    assert written < 2.5 * sum(map(len, texts))

@@ -14,9 +14,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zplane.llm.line_chunks import packed_rows
+from zplane.llm.line_chunks import CUTS, taken_out
 from zplane.llm.mixing import word_count
-from zplane.session import stored
+from zplane.session import release, stored
 
 #: Lines with words and words that a run needs.
 LEAST, WORDS = 2, 8
@@ -38,51 +38,58 @@ def _shortest(step: int, least: int, words: int) -> str:
     return f"filter(transform(__b, (x, p) -> CASE {' '.join(cases)} END), r -> r IS NOT NULL)"
 
 
-def shortest_runs(docs: DataFrame, id_col: str, text_col: str, least: int = LEAST, words: int = WORDS, long: int | None = None) -> DataFrame:
-    """(doc_id, digest, i, j, key): the shortest qualifying runs, lines i to j counted from 0."""
+def shortest_runs(docs: DataFrame, id_col: str, text_col: str, least: int = LEAST, words: int = WORDS, long: int | None = None, exact: bool = True) -> DataFrame:
+    """(doc_id, digest, i, j, mark, key): the shortest qualifying runs, lines i to j counted from 0, with xxhash64 and SHA-256 of
+    their bytes; or (mark) alone of each run unless exact.
+
+    Runs inside a range that a column CUTS of docs notes are left out: such a range stands whole at an earlier place,
+    where it isn't noted, so the first place of each run is among the others.
+    """
     text = F.col(text_col).cast("string")
-    rows = docs.where(text.isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("digest"), F.split(text, "\n", -1).alias("__lines"))
+    cuts = CUTS in docs.columns
+    rows = docs.where(text.isNotNull()).select(*([CUTS] if cuts else []), F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("digest"), F.split(text, "\n", -1).alias("__lines"))
     sized = rows.withColumn("__w", F.transform("__lines", word_count))
     body = sized.withColumn("__b", F.expr("filter(transform(__w, (w, i) -> named_struct('i', i, 'w', w)), s -> s.w > 0)"))
     alone = [] if long is None else [f"transform(filter(__b, x -> x.w >= {long}), x -> named_struct('i', x.i, 'j', x.i))"]
     runs = body.withColumn("__runs", F.expr(f"concat({', '.join([_shortest(1, least, words), _shortest(-1, least, words), *alone])})"))
-    keyed = F.expr("transform(__runs, r -> named_struct('i', r.i, 'j', r.j, 'key', unhex(sha2(array_join(slice(__lines, r.i + 1, r.j - r.i + 1), '\n'), 256))))")
-    return runs.select("doc_id", "digest", F.explode(keyed).alias("r")).select("doc_id", "digest", "r.i", "r.j", "r.key")
+    if cuts:
+        runs = runs.withColumn("__runs", F.expr(f"filter(__runs, r -> NOT exists({CUTS}, c -> r.i >= c.i AND r.j <= c.j))"))
+    own = "array_join(slice(__lines, r.i + 1, r.j - r.i + 1), '\n')"
+    if not exact:
+        return runs.select(F.explode(F.expr(f"transform(__runs, r -> xxhash64({own}))")).alias("mark"))
+    keyed = F.expr(f"transform(__runs, r -> named_struct('i', r.i, 'j', r.j, 'mark', xxhash64({own}), 'key', unhex(sha2({own}, 256))))")
+    return runs.select("doc_id", "digest", F.explode(keyed).alias("r")).select("doc_id", "digest", "r.i", "r.j", "r.mark", "r.key")
 
 
 def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """(doc_id, digest, i, j): shortest qualifying runs that stand at an earlier place too.
 
-    Places are ordered by id (null first), digest of the text and line.
+    Places are ordered by id (null first), digest of the text and line. Runs whose 64-bit mark stands nowhere else are
+    left out first, so SHA-256 and place are kept for few.
     """
-    runs = stored(shortest_runs(docs, id_col, text_col, **options), "runs")
+    often = shortest_runs(docs, id_col, text_col, exact=False, **options).groupBy("mark").agg(F.count("*").alias("n")).where("n > 1").select("mark")
+    often = stored(often, "marks")
+    release(docs.sparkSession)
+    runs = stored(shortest_runs(docs, id_col, text_col, **options).join(often, "mark").drop("mark"), "runs")
+    release(docs.sparkSession)
     first = runs.groupBy("key").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "digest", "i")).alias("first")).where("n > 1").select("key", "first")
     inside = F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("digest") == F.col("first.digest")) & (F.col("i") <= F.col("first.i") + F.col("j") - F.col("i"))
     return runs.join(first, "key").where(~inside).select("doc_id", "digest", "i", "j")
 
 
-def _mended(docs: DataFrame, id_col: str, text_col: str, **options) -> DataFrame:
-    """(row, n): the rows of drop_repeated_passages, and the number of lines removed."""
-    gone = repeated_runs(docs, id_col, text_col, **options).groupBy(F.col("doc_id").alias("id"), F.col("digest")).agg(F.collect_list(F.struct("i", "j")).alias("gone"))
-    both = packed_rows(docs, id_col, text_col).join(gone, F.col("doc_id").eqNullSafe(F.col("id")) & (F.xxhash64("text") == F.col("digest")) & F.col("text").isNotNull(), "left")
-    parts = both.withColumn("lines", F.when(F.col("gone").isNotNull(), F.split("text", "\n", -1))).withColumn("total", F.size("lines"))
-    parts = parts.withColumn("kept", F.when(F.col("gone").isNotNull(), F.expr("array_except(sequence(0, total - 1), flatten(transform(gone, g -> sequence(g.i, g.j))))")))
-    left = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.expr("array_join(transform(kept, x -> get(lines, x)), '\n')"))
-    return parts.select(F.col("row").withField(f"`{text_col}`", left).alias("row"), F.when(F.col("gone").isNull(), 0).otherwise(F.col("total") - F.size("kept")).alias("n"))
-
-
 def drop_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """docs with later copies of repeated passages taken out of their texts; rows and other columns stay.
 
     A null text stays null. Every removed line also stands at an earlier place that keeps it. Blank lines go only
     inside a run. Rows of one id with different texts are documents of their own; rows that agree in both are
-    one place and stay alike. Other columns may have any names.
+    one place and stay alike. Other columns may have any names; but the lines that a column CUTS of docs notes go too.
     """
-    return _mended(docs, id_col, text_col, **options).select("row.*")
+    return taken_out(docs, repeated_runs(docs, id_col, text_col, **options), id_col, text_col).select("row.*")
 
 
 def passage_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """(doc_id, n_removed, kept_chars, kept_md5) of every row after drop_repeated_passages; n_removed counts lines."""
-    rows = _mended(docs.select(id_col, text_col), id_col, text_col, **options).select("row.*", "n")
+    docs = docs.select(id_col, text_col)
+    rows = taken_out(docs, repeated_runs(docs, id_col, text_col, **options), id_col, text_col).select("row.*", "n")
     text = F.coalesce(F.col(text_col), F.lit(""))
     return rows.select(F.col(id_col).alias("doc_id"), F.col("n").cast("long").alias("n_removed"), F.length(text).cast("long").alias("kept_chars"), F.md5(text).alias("kept_md5"))
