@@ -40,3 +40,20 @@ def test_moments_of_three_planes(spark, tmp_path):
     spark.createDataFrame([(i, i % 7 + 1, 900 + i / 4) for i in range(60)], "p_partkey long, p_size int, p_retailprice double").write.parquet(str(tmp_path / "part.parquet"))
     got, want = rows_of(spark, tmp_path, "node_moments", ["part"])
     assert got == want and len(got) == 3
+
+
+def test_worked_gaps_follow_the_table(spark, tmp_path):
+    """Prices that repeat, and neighbours on both sides of a power of two."""
+    cents = [1, 2, 3, 3, 7, 8, 9, 64, 65, 1000, 1023, 1024, 1024, 90_000]
+    spark.createDataFrame([(i, c / 100) for i, c in enumerate(cents)], "p_partkey long, p_retailprice double").write.parquet(str(tmp_path / "part.parquet"))
+    got, want = rows_of(spark, tmp_path, "planes_worked_example", ["part"])
+    assert got == want and len(got) == 11
+
+
+def test_gap_rows_equal_the_gap_table(spark):
+    from zplane.operators.inspect import gap_rows, gap_table
+
+    x = [1.6, 3.1, 3.3, 4.6, 5.6, 6.8, 9.4, 9.7]
+    want = gap_table(spark, [(v,) for v in x], [2, 4]).where("pos > 0 AND pos < 8").collect()
+    got = gap_rows(spark.createDataFrame([(v,) for v in [*x[::-1], 3.1]], "x0 double"), ["x0"], [2, 4]).orderBy("pos").collect()
+    assert [tuple(r) for r in got] == [tuple(r) for r in want]
