@@ -57,3 +57,19 @@ def test_gap_rows_equal_the_gap_table(spark):
     want = gap_table(spark, [(v,) for v in x], [2, 4]).where("pos > 0 AND pos < 8").collect()
     got = gap_rows(spark.createDataFrame([(v,) for v in [*x[::-1], 3.1]], "x0 double"), ["x0"], [2, 4]).orderBy("pos").collect()
     assert [tuple(r) for r in got] == [tuple(r) for r in want]
+
+
+def test_grid_makes_no_rows_of_pairs(spark, monkeypatch):
+    """A dense clump and far points, negative ones too: results of brute force, and no join of queries with sources."""
+    import random
+
+    from zplane.operators import baselines
+
+    rng = random.Random(2)
+    rows = [(i, rng.gauss(0, 0.01), rng.gauss(0, 0.01)) for i in range(1500)] + [(2000 + i, rng.uniform(-9, 9), rng.uniform(-9, 9)) for i in range(60)] + [(3000 + i, 5.0, 5.0) for i in range(12)]
+    df = spark.createDataFrame(rows, "id long, x double, y double").repartition(2)
+    plans, keep = [], baselines.stored
+    monkeypatch.setattr(baselines, "stored", lambda d, name: plans.append(d._jdf.queryExecution().optimizedPlan().toString()) or keep(d, name))
+    got = sorted(tuple(r) for r in baselines.knn_grid(df, 8, ["x", "y"]).collect())
+    assert got == sorted(tuple(r) for r in baselines.knn_brute(df, 8, ["x", "y"]).collect()) and len(got) == 8 * len(rows)
+    assert plans and not any("Join Inner" in p for p in plans)
