@@ -262,3 +262,25 @@ def test_near_copies_shuffle_all_texts_once(spark, shuffled):
     got, written = shuffled(lambda: {r.doc_id: r.component_id for r in jaccard_components(docs, k=3, percent=90).collect()})
     assert got == {i: i if i < 1000 else i // 10 * 10 for i, _ in rows}
     assert written < 1.5 * sum(len(t) for _, t in rows)
+
+
+def test_prefixes_are_shuffled_in_turns(spark, shuffled, monkeypatch):
+    """No job of the search for partners may shuffle more than a share of the prefixes of random texts."""
+    from zplane.llm import jaccard_join
+
+    rng = random.Random(5)
+    rows = [(i, " ".join(f"{rng.getrandbits(20):05x}" for _ in range(400))) for i in range(400)]
+    rows += [(1000 + i, t + " more") for i, t in rows[:5]]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    kept, write = {}, jaccard_join.stored
+
+    def measured(df, name="table"):
+        out, n = shuffled(lambda: write(df, name))
+        kept[name] = max(n, kept.get(name, 0))
+        return out
+
+    monkeypatch.setattr(jaccard_join, "stored", measured)
+    got = {r.doc_id: r.component_id for r in jaccard_components(docs, k=5, percent=80).collect()}
+    assert got == {i: i % 1000 for i, _ in rows}
+    del kept["texts"]  # all texts go once, as test_near_copies_shuffle_all_texts_once says
+    assert max(kept.values()) < 24 * 100 * len(rows)  # a prefix has about 100 shingles; all at once took about 40 bytes each
