@@ -45,3 +45,26 @@ def test_link_by_knn_joins_sites_beyond_its_lists(spark):
     df = spark.createDataFrame(rows, "id long, x double").repartition(3)
     got = {r.id: r.group_id for r in link_by_knn(df, ["x"], 1.0, k=4, most=8).collect()}
     assert got == {i: 0 if x < 1 else 80 if x < 10 else 110 for i, x in rows}
+
+
+def test_link_by_knn_doubles_only_lists_that_are_full(spark, monkeypatch):
+    from zplane.operators import baselines
+
+    calls, plain = [], baselines.knn
+
+    def noted(src, k, cols, queries=None, **kw):
+        calls.append((k, src.count() if queries is None else queries.count()))
+        return plain(src, k, cols, queries=queries, **kw)
+
+    monkeypatch.setattr(baselines, "knn", noted)
+
+    def groups(places):
+        calls.clear()
+        df = spark.createDataFrame([(i, x) for i, x in enumerate(places)], "id long, x double").repartition(3)
+        return [r.group_id for r in sorted(baselines.link_by_knn(df, ["x"], 1.0, k=4).collect())]
+
+    crowd, lone = [i / 100 for i in range(10)], [10.0 + 2 * i for i in range(50)]
+    assert groups(3 * crowd + lone) == [0] * 30 + list(range(30, 80))  # copies are one site
+    assert calls == [(4, 60), (8, 10)]  # all ten are full again, so no list of 16 is made
+    assert groups([i / 100 for i in range(500)] + [7.5, 7.0, 5.0]) == [0] * 500 + [500, 500, 0]
+    assert calls == [(4, 503)]
