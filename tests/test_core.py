@@ -329,3 +329,25 @@ def test_plane_counts_of_stages_equal_those_of_tasks(spark, sf, monkeypatch):
     tasks = ask()
     monkeypatch.setattr(walk, "BROADCAST_NODES", 0)  # planes that are too large to broadcast
     assert ask() == tasks and len(tasks) > 1
+
+
+def test_sifted_pairs_hold_the_nearest():
+    """A matrix product leaves few pairs of many dimensions to be measured, and none of the nearest is among those left out."""
+    from zplane.operators.knn import sifted, squared
+
+    rng = np.random.default_rng(2)
+    s = rng.normal(size=(2000, 64)) + 50.0
+    s[100:140] = s[:40]  # ties
+    q = np.concatenate([s[:60], rng.normal(size=(40, 64)) + 50.0])
+    d2 = squared(q, s, None)
+    worst = np.where(np.arange(100) % 2, np.inf, np.sort(d2, axis=1)[:, 9])
+    r, c, v = sifted(q, s, 16, worst)
+    assert (v == d2[r, c]).all() and len(v) < 100 * 16 * 4
+    kept = np.zeros(d2.shape, bool)
+    kept[r, c] = True
+    assert kept[d2 <= np.minimum(np.sort(d2, axis=1)[:, 15], worst)[:, None]].all()
+    own = np.zeros(d2.shape, bool)
+    own[np.arange(60), np.arange(60)] = True
+    r, c, _ = sifted(q, s, 16, np.full(100, np.inf), own)
+    assert not own[r, c].any() and (np.bincount(r, minlength=100) >= 16).all()
+    assert sifted(q * 1e200, s, 16, worst) is None
