@@ -284,3 +284,19 @@ def test_prefixes_are_shuffled_in_turns(spark, shuffled, monkeypatch):
     assert got == {i: i % 1000 for i, _ in rows}
     del kept["texts"]  # all texts go once, as test_near_copies_shuffle_all_texts_once says
     assert max(kept.values()) < 24 * 100 * len(rows)  # a prefix has about 100 shingles; all at once took about 40 bytes each
+
+
+def test_levels_need_little_memory_on_the_driver():
+    import tracemalloc
+
+    import numpy as np
+
+    counts = np.random.default_rng(1).poisson(3, 1 << jaccard_join.SKETCH_BITS).astype(np.int32)
+    counts[::1000] = 50_000
+    mean = float(counts.mean())
+    plain = np.ceil(np.log2(np.maximum(0, counts - mean - 4 * np.sqrt(mean) - 4) + 1)).astype(np.uint8)
+    tracemalloc.start()
+    levels = jaccard_join._levels(counts)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert (levels == plain).all() and peak < 30e6

@@ -67,3 +67,18 @@ def test_edges(spark):
     assert train_toxicity(docs, labels.limit(0)) is None
     assert {r.score for r in score_toxicity(docs, None).collect()} == {0.0}
     assert score_toxicity(docs.limit(0), model).count() == 0
+
+
+def test_driver_does_not_train(spark, monkeypatch):
+    """The sample and the training lie in one task, not beside the driver's JVM."""
+    docs = spark.createDataFrame([(i, ("vile nasty " if i % 2 else "a fine day ") * 20) for i in range(60)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(60)], "doc_id long, toxic int")
+    rows = [i for i in range(60) if zlib.crc32(str(i).encode()) % 5]
+    same = g.train([("vile nasty " if i % 2 else "a fine day ") * 20 for i in rows], [i % 2 for i in rows])
+
+    def here(*_, **__):
+        raise AssertionError("trained on the driver")
+
+    monkeypatch.setattr(g, "train", here)
+    model = train_toxicity(docs, labels)
+    assert all(np.allclose(model.w[k], same.w[k], atol=1e-5) for k in same.w)

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import pickle
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zplane.llm import gru_model
 from zplane.session import ship
 
 #: Bounds of the training sample: labelled rows of each class, and characters of a text that may be part of it.
@@ -20,8 +21,8 @@ def held_out(id_col: str = "doc_id"):
 def train_toxicity(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_ROWS, clean_rows: int = CLEAN_ROWS, id_col: str = "doc_id", text_col: str = "text"):
     """Fit on a bounded sample (by hash of the id) of labelled rows that are not held out. None without both classes.
 
-    Texts of more than MOST_CHARS are not learnt from, so the driver holds rows and bytes of a fixed bound.
-    Rows with a null id or label are ignored; a doc labelled twice counts as toxic if any label says so.
+    Texts of more than MOST_CHARS are not learnt from, so the one task that trains holds rows and bytes of a fixed bound;
+    the driver gets the weights alone. Rows with a null id or label are ignored; a doc labelled twice counts as toxic if any label says so.
     """
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out("doc_id"))
     known = known.groupBy(F.col("doc_id").cast("long").alias("__id")).agg(F.max("toxic").cast("int").alias("__y"))
@@ -29,8 +30,27 @@ def train_toxicity(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_R
     sample = known.where("__y = 1").orderBy(*order).limit(toxic_rows).union(known.where("__y = 0").orderBy(*order).limit(clean_rows))
     rows = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).cast("string").alias("__text")).join(F.broadcast(sample), "__id")
     rows = rows.where(F.coalesce(F.length("__text"), F.lit(0)) <= MOST_CHARS)
-    got = sorted(rows.groupBy("__id").agg(F.min("__text").alias("__text"), F.max("__y").alias("__y")).collect(), key=lambda r: r["__id"])  # toxic_rows + clean_rows at most
-    return gru_model.train([r["__text"] for r in got], [r["__y"] for r in got])
+    rows = rows.groupBy("__id").agg(F.min("__text").alias("__text"), F.max("__y").alias("__y"))
+    ship(docs.sparkSession)
+
+    def run(batches):
+        import pickle
+
+        import pyarrow as pa
+
+        from zplane.llm import gru_model as g
+        from zplane.session import trim, worker_cache
+
+        worker_cache(None)
+        got = sorted(r for b in batches for r in zip(*(c.to_pylist() for c in b.columns)))  # toxic_rows + clean_rows at most
+        model = g.train([r[1] for r in got], [r[2] for r in got])
+        got.clear()
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], ["model"])
+        del model
+        trim()
+
+    made = rows.select("__id", "__text", "__y").repartition(1).mapInArrow(run, "model binary").collect()  # one row, under 2 MB
+    return pickle.loads(made[0]["model"]) if made else None
 
 
 def score_toxicity(docs: DataFrame, model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
