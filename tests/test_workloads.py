@@ -73,3 +73,12 @@ def test_grid_makes_no_rows_of_pairs(spark, monkeypatch):
     got = sorted(tuple(r) for r in baselines.knn_grid(df, 8, ["x", "y"]).collect())
     assert got == sorted(tuple(r) for r in baselines.knn_brute(df, 8, ["x", "y"]).collect()) and len(got) == 8 * len(rows)
     assert plans and not any("Join Inner" in p for p in plans)
+
+
+def test_grid_keys_of_all_bits(spark, far_orders):
+    """Grid points beyond 1,023 in the third dimension, and beyond what a key holds, keep their own cells."""
+    spark.createDataFrame([(625 * x + 7, 1.0) for x in (1023, 1024, 2047, 2048, 100_000, (1 << 21) - 1, 1 << 21)], "o_orderkey long, o_totalprice double").write.mode("append").parquet(str(far_orders / "orders.parquet"))
+    got, want = rows_of(spark, far_orders, "zorder_grid", ["orders"])
+    keys = dict(got)
+    assert got == want and len(set(keys.values())) == len(keys) - 1  # the last two share the last cell
+    assert [k for k, _ in sorted(keys.items(), key=lambda kv: kv[1]) if k % 625 == 7] == sorted(k for k in keys if k % 625 == 7)
