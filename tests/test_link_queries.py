@@ -10,6 +10,7 @@ from zplane.operators import linking
 LINKED = [
     "link_clump",
     "link_orders",
+    "catalogue_orders",
 ]
 
 
