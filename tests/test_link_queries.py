@@ -11,6 +11,7 @@ LINKED = [
     "link_clump",
     "link_orders",
     "catalogue_orders",
+    "catalogue_min20",
 ]
 
 
