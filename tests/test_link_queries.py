@@ -12,6 +12,7 @@ LINKED = [
     "link_orders",
     "catalogue_orders",
     "catalogue_min20",
+    "group_sizes",
 ]
 
 
