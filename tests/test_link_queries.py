@@ -13,6 +13,7 @@ LINKED = [
     "catalogue_orders",
     "catalogue_min20",
     "group_sizes",
+    "group_of_first",
 ]
 
 
