@@ -14,6 +14,7 @@ LINKED = [
     "catalogue_min20",
     "group_sizes",
     "group_of_first",
+    "largest_groups",
 ]
 
 
