@@ -15,6 +15,7 @@ LINKED = [
     "group_sizes",
     "group_of_first",
     "largest_groups",
+    "catalogue_velocity",
 ]
 
 
