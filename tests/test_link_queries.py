@@ -16,6 +16,7 @@ LINKED = [
     "group_of_first",
     "largest_groups",
     "catalogue_velocity",
+    "link_clump_periodic",
 ]
 
 
